@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphsplit.llm import mixing
+from graphsplit.llm import mixing, packing
 from graphsplit.llm.common import table
 
 
@@ -10,7 +10,12 @@ def op1_pareto_mix(spark, sf_dir):
     return mixing.plan(table(spark, sf_dir, "documents")).drop("copies")
 
 
+def op2_pattern_packing(spark, sf_dir):
+    return packing.pack(table(spark, sf_dir, "documents"))
+
+
 QUERIES = {
+    "op2_pattern_packing": op2_pattern_packing,
     "op1_pareto_mix": op1_pareto_mix,
 }
 
