@@ -33,6 +33,11 @@ def words(text: Column) -> Column:
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), GAP), "")
 
 
+def let(value: Column, then) -> Column:
+    """then(value), with value computed once for the row."""
+    return F.get(F.transform(F.array(value), then), 0)
+
+
 def word_count(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 

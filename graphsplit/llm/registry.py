@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphsplit.llm import mixing, packing
+from graphsplit.llm import cleaning, mixing, packing
 from graphsplit.llm.common import table
 
 
@@ -14,11 +14,17 @@ def op2_pattern_packing(spark, sf_dir):
     return packing.pack(table(spark, sf_dir, "documents"))
 
 
+def op5_line_cleaning(spark, sf_dir):
+    return cleaning.clean(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text", "cleaned")
+
+
 QUERIES = {
+    "op5_line_cleaning": op5_line_cleaning,
     "op2_pattern_packing": op2_pattern_packing,
     "op1_pareto_mix": op1_pareto_mix,
 }
 
 SQL = {
+    "op5_line_cleaning": cleaning.SQL,
     "op1_pareto_mix": mixing.SQL,
 }
