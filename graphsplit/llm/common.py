@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import tempfile
+from collections.abc import Callable, Iterator
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -63,3 +65,33 @@ def join_small(big: DataFrame, small: DataFrame, keys: list[str], rows: int, how
     other = small.select(*[F.col(k).alias(f"_k_{k}") for k in keys], *[c for c in small.columns if c not in keys], F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("_other"))
     on = reduce(lambda a, b: a & b, [F.col(k).eqNullSafe(F.col(f"_k_{k}")) for k in keys]) & (F.col("_salt") == F.col("_other"))
     return salted.join(other, on, how).drop("_salt", "_other", *[f"_k_{k}" for k in keys])
+
+
+#: Rows whose texts are Python strings at one time.
+PORTION = 256
+
+
+def map_texts(df: DataFrame, keep: list[str], start: Callable[[], Callable[[list], list[list]]], added: list[tuple[str, str, pa.DataType]], text: str = "text") -> DataFrame:
+    """Columns `keep` of df as they are, and those added (name, SQL type, Arrow type) that start()(texts) returns for whole texts, null ones included."""
+    names = [*keep, *[n for n, _, _ in added]]
+    schema = ", ".join([*[f"`{c}` {df.schema[c].dataType.simpleString()}" for c in keep], *[f"`{n}` {t}" for n, t, _ in added]])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        work = start()
+        for batch in batches:
+            for k in range(0, batch.num_rows, PORTION):
+                part = batch.slice(k, PORTION)
+                found = work(part.column(len(keep)).to_pylist())
+                yield pa.RecordBatch.from_arrays([*[part.column(j) for j in range(len(keep))], *[pa.array(x, t) for x, (_, _, t) in zip(found, added, strict=True)]], names=names)
+
+    return df.select(*[F.col(f"`{c}`") for c in keep], text).mapInArrow(run, schema)
+
+
+def labelled(labels: DataFrame, label: str, held: Callable[[Column], Column], most: int, seed: str) -> DataFrame:
+    """doc_id and y (0 or 1) of about `most` labelled rows that aren't held out, all of them if there are fewer; chosen by a hash of doc_id.
+
+    A doc_id labelled more than once counts once, with its larger label.
+    """
+    own = labels.filter(F.col("doc_id").isNotNull() & F.col(label).isin(0, 1) & ~held(F.col("doc_id"))).groupBy("doc_id").agg(F.max(label).cast("int").alias("y"))
+    own = cut(own.withColumn("_u", unit_hash(seed, F.col("doc_id"))))
+    return own.filter(F.col("_u") < most / max(most, own.count())).drop("_u")
