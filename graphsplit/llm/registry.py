@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphsplit.llm import cleaning, mixing, packing
+from graphsplit.llm import cleaning, language, mixing, packing, rules, toxicity
 from graphsplit.llm.common import table
 
 
@@ -18,7 +18,22 @@ def op5_line_cleaning(spark, sf_dir):
     return cleaning.clean(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text", "cleaned")
 
 
+def op4_rule_ensemble(spark, sf_dir):
+    return rules.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op6_output_codes(spark, sf_dir):
+    return language.predictions(table(spark, sf_dir, "documents"))
+
+
+def op10_noisy_or(spark, sf_dir):
+    return toxicity.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 QUERIES = {
+    "op4_rule_ensemble": op4_rule_ensemble,
+    "op6_output_codes": op6_output_codes,
+    "op10_noisy_or": op10_noisy_or,
     "op5_line_cleaning": op5_line_cleaning,
     "op2_pattern_packing": op2_pattern_packing,
     "op1_pareto_mix": op1_pareto_mix,
