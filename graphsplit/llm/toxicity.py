@@ -13,6 +13,7 @@ train once. Empty input gives an empty result. Other columns don't matter.
 
 from __future__ import annotations
 
+import math
 import re
 
 import numpy as np
@@ -23,20 +24,41 @@ from pyspark.sql import functions as F
 from graphsplit.llm.common import cut, held_out, labelled, map_texts
 
 ACCEPT = 0.3
+#: Log odds that a sentence without telling words is toxic, before fitting.
+BIAS = -8.0
 SENTENCE = re.compile(r"[^.!?\n]+")
 TOKEN = re.compile(r"[^\W\d_]+")
 
 
-def tokens(sentence: str) -> list[str]:
-    return TOKEN.findall(sentence.lower())
+#: Lengths of the beginnings of a word that count as its stems.
+STEMS = (4, 5, 6, 7)
 
 
-class SentenceModel:
-    def __init__(self, words: list[str], weights: np.ndarray, bias: float):
-        self.weights, self.bias = {w: float(x) for w, x in zip(words, weights, strict=True) if abs(x) > 1e-3}, float(bias)
+def features(word: str) -> list[str]:
+    """The word itself, and its longer beginnings, which inflected and compound forms share."""
+    return [word, *[word[:k] + "*" for k in STEMS if len(word) > k]]
+
+
+class Known(dict):
+    """Weight of each word: the sum of its features'. Remembers up to 500,000 words."""
+
+    def __init__(self, weights: dict[str, float]):
+        super().__init__()
+        self.weights = weights
+
+    def __missing__(self, word: str) -> float:
+        x = sum(self.weights.get(f, 0.0) for f in features(word))
+        if len(self) > 500_000:
+            self.clear()
+        self[word] = x
+        return x
+
 
+class SentenceModel:
+    def __init__(self, names: list[str], weights: np.ndarray, bias: float):
+        self.weights, self.bias = {w: float(x) for w, x in zip(names, weights, strict=True) if x}, float(bias)
 
-    def judge(self, text: str | None) -> tuple[float, list[tuple[int, int]]]:
+    def judge(self, text: str | None, known: Known) -> tuple[float, list[tuple[int, int]]]:
         """Score of a document; bounds (code points, end exclusive) of its offending sentences."""
         if not self.weights:
             return 0.0, []
@@ -45,27 +67,29 @@ class SentenceModel:
         if len(low) != len(text):  # a letter whose lower case is longer: keep places
             low = "".join(c.lower() if len(c.lower()) == 1 else c for c in text)
         clean, found = float(-np.logaddexp(0, self.bias)), []  # log of the chance that a sentence without known words is clean
-        total, n = 0.0, 0
+        total, weight = 0.0, known.__getitem__
         for s in SENTENCE.finditer(low):
-            n += 1
-            hits = [self.weights[w] for w in TOKEN.findall(s.group()) if w in self.weights]
-            if not hits:
+            z = sum(map(weight, TOKEN.findall(s.group())))
+            if not z:
                 total += clean
                 continue
-            z = self.bias + sum(hits)
-            total -= float(np.logaddexp(0, z))
-            if z > 0:
+            total -= float(np.logaddexp(0, z + self.bias))
+            if z + self.bias > 0:
                 found.append(s.span())
-        return 1 - float(np.exp(total if n else clean)), found
+        return 1 - math.exp(total or clean), found
+
 
+def fit_noisy_or(bags: list[list[list[int]]], lone: np.ndarray, y: np.ndarray, begin: np.ndarray, bias: float, rounds: int = 300, ridge: float = 1e-3) -> tuple[np.ndarray, float]:
+    """Word weights and bias, from the first guess `begin` on, to which a ridge penalty ties them.
 
-def fit_noisy_or(bags: list[list[list[int]]], lone: np.ndarray, y: np.ndarray, size: int, rounds: int = 400, penalty: float = 2e-4) -> tuple[np.ndarray, float]:
-    """Word weights and bias. bags: for each document its sentences with known words, as word numbers; lone: how many sentences have none."""
+    bags: for each document its sentences with known words, as word numbers; lone: how many sentences have none.
+    """
+    size = len(begin)
     doc = np.asarray([d for d, b in enumerate(bags) for _ in b], dtype=np.int64)
     sentence = [s for b in bags for s in b]
     at = np.repeat(np.arange(len(sentence)), [len(s) for s in sentence])
     word = np.asarray([w for s in sentence for w in s], dtype=np.int64)
-    w, b, n = np.zeros(size), -7.0, len(y)
+    w, b, n = begin.copy(), bias, len(y)
     m1, m2, k1, k2 = np.zeros(size + 1), np.zeros(size + 1), 0.9, 0.999
     for r in range(1, rounds + 1):
         z = b + np.bincount(at, weights=w[word], minlength=len(sentence))
@@ -76,10 +100,10 @@ def fit_noisy_or(bags: list[list[list[int]]], lone: np.ndarray, y: np.ndarray, s
         back = np.where(y > 0, np.exp(log_clean) / toxic, -1.0)
         gz = -back[doc] * p  # times d log_clean / dz = -p
         g = np.append(np.bincount(word, weights=gz[at], minlength=size), gz.sum() + (-back * lone * p0).sum()) / n
-        g[:-1] += penalty * np.sign(w) * (w != 0)
+        g[:-1] += ridge * (w - begin) / n
         m1, m2 = k1 * m1 + (1 - k1) * g, k2 * m2 + (1 - k2) * g * g
-        step = 0.1 * (m1 / (1 - k1**r)) / (np.sqrt(m2 / (1 - k2**r)) + 1e-8)
-        w, b = w - step[:-1], float(np.clip(b - step[-1], -14, -3))
+        step = 0.05 * (m1 / (1 - k1**r)) / (np.sqrt(m2 / (1 - k2**r)) + 1e-8)
+        w, b = w - step[:-1], float(np.clip(b - step[-1], -14, -4))
     w[np.abs(w) < 0.2] = 0
     return w, b
 
@@ -88,25 +112,39 @@ def not_for_training(doc_id: Column) -> Column:
     return held_out(doc_id, 4, 2)
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = 12_000, vocabulary: int = 500, least: int = 4, held=not_for_training) -> SentenceModel:
+def train(docs: DataFrame, labels: DataFrame, sample: int = 12_000, vocabulary: int = 2000, least: int = 4, held=not_for_training) -> SentenceModel:
     chosen = labelled(labels, "toxic", held, sample, "toxicity")
     texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")  # `sample` rows of labels at most, about
 
     def start():
-        return lambda texts: [[sorted(set(tokens(x or ""))) for x in texts], [[s.group().lower() for s in SENTENCE.finditer(x or "")] for x in texts]]
+        def work(texts: list) -> list[list]:
+            cut_up = [[m.group().lower() for m in SENTENCE.finditer(x or "")] for x in texts]
+            return [[sorted({f for s in ss for w in set(TOKEN.findall(s)) for f in features(w)}) for ss in cut_up], cut_up]
 
-    known = map_texts(texts, ["doc_id", "y"], start, [("words", "array<string>", pa.list_(pa.string())), ("sentences", "array<string>", pa.list_(pa.string()))])
-    once = cut(known.groupBy("doc_id", "y").agg(F.min_by("words", F.size("words")).alias("words"), F.min_by("sentences", F.size("words")).alias("sentences")))
+        return work
+
+    columns = [("words", "array<string>", pa.list_(pa.string())), ("sentences", "array<string>", pa.list_(pa.string()))]
+    known = map_texts(texts, ["doc_id", "y"], start, columns)
+    once = cut(known.groupBy("doc_id", "y").agg(F.min(F.struct(F.size("words"), "words", "sentences")).alias("_x")).select("doc_id", "y", "_x.words", "_x.sentences"))
     n = {r["y"]: r["n"] for r in once.groupBy("y").agg(F.count("*").alias("n")).collect()}
     if len(n) < 2:
-        return SentenceModel([], np.zeros(0), -14.0)
+        return SentenceModel([], np.zeros(0), BIAS)
     seen = once.select("y", F.explode("words").alias("word")).groupBy("word").agg(F.sum("y").alias("t"), F.count("*").alias("c")).filter(F.col("c") >= least)
     share = n[1] / (n[0] + n[1])
     z = (F.col("t") - F.col("c") * share) / F.sqrt(F.col("c") * share * (1 - share))
-    words = [r["word"] for r in seen.withColumn("z", z).filter("z > 2").orderBy(F.desc("z"), "word").limit(vocabulary).collect()]
-    if not words:
-        return SentenceModel([], np.zeros(0), -14.0)
-    number = {w: k for k, w in enumerate(words)}
+    best = seen.withColumn("z", z).filter("z > 4").orderBy(F.desc("z"), F.length("word"), "word").limit(vocabulary).collect()
+    number: dict[str, int] = {}
+    begin = []
+    for r in best:
+        stem = r["word"].rstrip("*")
+        if any(stem.startswith(x.rstrip("*")) or x.rstrip("*").startswith(stem) for x in number):
+            continue  # a feature that tells more covers the same words
+        number[r["word"]] = len(number)
+        pure = (r["t"] + 4 * share) / (r["c"] + 4)
+        excess = min(0.98, max(0.02, (pure - share) / (1 - share)))
+        begin.append(math.log(excess / (1 - excess)) - BIAS)
+    if not number:
+        return SentenceModel([], np.zeros(0), BIAS)
     shared = docs.sparkSession.sparkContext.broadcast(number)
 
     def bag(batches):
@@ -114,7 +152,7 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 12_000, vocabulary:
         for b in batches:
             ids, ys, bags, lone = [], [], [], []
             for doc_id, y, sentences in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
-                found = [[number[w] for w in TOKEN.findall(s) if w in number] for s in sentences.as_py()]
+                found = [[number[f] for w in TOKEN.findall(s) for f in features(w) if f in number] for s in sentences.as_py()]
                 bags.append([s for s in found if s])
                 lone.append(len(found) - len(bags[-1]))
                 ids.append(doc_id)
@@ -123,8 +161,8 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 12_000, vocabulary:
 
     rows = once.select(F.col("doc_id").cast("long"), "y", "sentences").mapInArrow(bag, "doc_id long, y int, bags array<array<int>>, lone long").toArrow().sort_by("doc_id")
     bags, lone, y = rows.column("bags").to_pylist(), np.asarray(rows.column("lone")), np.asarray(rows.column("y"))
-    w, b = fit_noisy_or(bags, lone, y, len(words))
-    return SentenceModel(words, w, b)
+    w, b = fit_noisy_or(bags, lone, y, np.asarray(begin), BIAS)
+    return SentenceModel(list(number), w, b)
 
 
 def judge(docs: DataFrame, model: SentenceModel) -> DataFrame:
@@ -132,8 +170,11 @@ def judge(docs: DataFrame, model: SentenceModel) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def start():
+        model = shared.value
+        known = Known(model.weights)
+
         def work(texts: list) -> list[list]:
-            found = [shared.value.judge(x) for x in texts]
+            found = [model.judge(x, known) for x in texts]
             return [[s for s, _ in found], [",".join(f"{a}:{b}" for a, b in spans) for _, spans in found]]
 
         return work
