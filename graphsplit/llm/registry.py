@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphsplit.llm import cleaning, language, mixing, packing, rules, toxicity
+from graphsplit.llm import cleaning, impact_index, language, link_trust, mixing, packing, rules, toxicity
 from graphsplit.llm.common import table
 
 
@@ -30,7 +30,17 @@ def op10_noisy_or(spark, sf_dir):
     return toxicity.scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op3_link_trust(spark, sf_dir):
+    return link_trust.judge(table(spark, sf_dir, "pages"))
+
+
+def op8_impact_index(spark, sf_dir):
+    return impact_index.nearest(table(spark, sf_dir, "embeddings"))
+
+
 QUERIES = {
+    "op3_link_trust": op3_link_trust,
+    "op8_impact_index": op8_impact_index,
     "op4_rule_ensemble": op4_rule_ensemble,
     "op6_output_codes": op6_output_codes,
     "op10_noisy_or": op10_noisy_or,
@@ -40,6 +50,7 @@ QUERIES = {
 }
 
 SQL = {
+    "op8_impact_index": impact_index.SQL,
     "op5_line_cleaning": cleaning.SQL,
     "op1_pareto_mix": mixing.SQL,
 }
