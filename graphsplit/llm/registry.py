@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphsplit.llm import cleaning, impact_index, language, link_trust, mixing, packing, rules, toxicity
+from graphsplit.llm import cleaning, impact_index, language, link_trust, mixing, packing, privacy, rules, toxicity
 from graphsplit.llm.common import table
 
 
@@ -38,7 +38,12 @@ def op8_impact_index(spark, sf_dir):
     return impact_index.nearest(table(spark, sf_dir, "embeddings"))
 
 
+def op7_weak_supervision(spark, sf_dir):
+    return privacy.find(table(spark, sf_dir, "documents"))
+
+
 QUERIES = {
+    "op7_weak_supervision": op7_weak_supervision,
     "op3_link_trust": op3_link_trust,
     "op8_impact_index": op8_impact_index,
     "op4_rule_ensemble": op4_rule_ensemble,
