@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphsplit.llm import cleaning, impact_index, language, link_trust, mixing, packing, privacy, rules, toxicity
+from graphsplit.llm import cleaning, impact_index, language, link_trust, mixing, near_dup, packing, privacy, rules, toxicity
 from graphsplit.llm.common import table
 
 
@@ -42,7 +42,12 @@ def op7_weak_supervision(spark, sf_dir):
     return privacy.find(table(spark, sf_dir, "documents"))
 
 
+def op9_super_minhash(spark, sf_dir):
+    return near_dup.group(table(spark, sf_dir, "documents"), width=3, limit=0.85)
+
+
 QUERIES = {
+    "op9_super_minhash": op9_super_minhash,
     "op7_weak_supervision": op7_weak_supervision,
     "op3_link_trust": op3_link_trust,
     "op8_impact_index": op8_impact_index,
@@ -55,6 +60,7 @@ QUERIES = {
 }
 
 SQL = {
+    "op9_super_minhash": near_dup.SQL,
     "op8_impact_index": impact_index.SQL,
     "op5_line_cleaning": cleaning.SQL,
     "op1_pareto_mix": mixing.SQL,
