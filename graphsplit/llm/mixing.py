@@ -49,12 +49,9 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), share: float
     return fill(ranked.drop("_at"), [], "cap", "weight", "total", "target").select("source", "source_size", "target")
 
 
-def plan(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), share: float = 1.0, most: int = 3, seed: str = "mix", buckets: int = BUCKETS, keep: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, size, source_size, target, taken, copies of each row of docs; columns named in `keep` stay beside them."""
-    kept = [F.col(c) for c in keep]
-    base = cut(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), *kept).withColumn("size_class", F.length(F.bin("size")).cast("long")))
-    classes = base.groupBy("source", "size_class").agg(F.sum("size").alias("class_size"))
-    classes = cut(classes)
+def levels(base: DataFrame, weights: tuple[int, ...], share: float, most: int) -> tuple[int, DataFrame]:
+    """How many (source, size_class) there are, and for each of them source_size, target, certain, chance, open_words."""
+    classes = cut(base.groupBy("source", "size_class").agg(F.sum("size").alias("class_size")))
     sources = targets(classes.groupBy("source").agg(F.sum("class_size").alias("source_size")), weights, share, most)
     n = classes.count()
     shares = join_small(classes, sources, ["source"], n)
@@ -62,30 +59,73 @@ def plan(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), share: float = 1
     shares = fill(shares, ["source"], "cap", "weight", "target", "class_target")
     shares = shares.withColumn("mean", F.when(F.col("class_size") > 0, F.col("class_target") / F.col("class_size")).otherwise(F.lit(0.0)))
     shares = shares.withColumn("certain", F.floor("mean")).withColumn("chance", F.col("mean") - F.col("certain"))
-    shares = cut(shares.withColumn("open_words", F.col("target") - F.sum(F.col("certain") * F.col("class_size")).over(Window.partitionBy("source"))).select("source", "size_class", "source_size", "target", "certain", "chance", "open_words"))
+    shares = shares.withColumn("open_words", F.col("target") - F.sum(F.col("certain") * F.col("class_size")).over(Window.partitionBy("source")))
+    return n, cut(shares.select("source", "size_class", "source_size", "target", "certain", "chance", "open_words"))
+
+
+def with_rank(base: DataFrame, shares: DataFrame, n: int, seed: str, buckets: int) -> DataFrame:
+    """base with its class's share, its rank (null: nothing to draw) and the rank's bucket."""
     u = unit_hash(seed, F.col("doc_id"))
-    ranked = join_small(base, shares, ["source", "size_class"], n)
-    ranked = ranked.withColumn("_odds", u / (F.lit(1.0) - u)).withColumn("rank", F.when((F.col("chance") > 0) & (F.col("size") > 0), F.col("_odds") / (F.col("chance") / (F.lit(1.0) - F.col("chance")))))
-    ranked = ranked.withColumn("bucket", F.least(F.lit(buckets - 1), F.floor(F.col("rank") / (F.lit(1.0) + F.col("rank")) * buckets))).drop("_odds")
+    odds = F.when((F.col("chance") > 0) & (F.col("size") > 0), (u / (F.lit(1.0) - u)) / (F.col("chance") / (F.lit(1.0) - F.col("chance"))))
+    ranked = join_small(base, shares, ["source", "size_class"], n).withColumn("rank", odds)
+    return ranked.withColumn("bucket", F.least(F.lit(buckets - 1), F.floor(F.col("rank") / (F.lit(1.0) + F.col("rank")) * buckets)))
+
+
+def edges(ranked: DataFrame) -> DataFrame:
+    """source, edge, before: the bucket in which the source's open words end, and the words of earlier buckets. Sources that take all have none."""
     ends = Window.partitionBy("source").orderBy("bucket")
     by_bucket = ranked.filter("rank is not null").groupBy("source", "bucket").agg(F.sum("size").alias("in_bucket"), F.first("open_words").alias("open_words"))
     edge = by_bucket.withColumn("_end", F.sum("in_bucket").over(ends)).withColumn("before", F.col("_end") - F.col("in_bucket"))
-    edge = cut(edge.filter("before <= open_words and open_words < _end").select("source", F.col("bucket").alias("edge"), "before"))
-    placed = join_small(ranked, edge, ["source"], n, "left")
-    on_edge = F.coalesce(F.col("bucket") == F.col("edge"), F.lit(False))
+    return cut(edge.filter("before <= open_words and open_words < _end").select("source", F.col("bucket").alias("edge"), "before"))
+
+
+def on_edge(placed: DataFrame) -> DataFrame:
+    """The rows of the edge buckets, with extra: 1 as long as the words up to their middle fit."""
     upto = Window.partitionBy("source").orderBy("rank", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
-    sorted_ = placed.filter(on_edge).withColumn("_middle", F.col("before") + F.sum("size").over(upto) - F.col("size") / 2)
-    sorted_ = sorted_.withColumn("extra", (F.col("_middle") <= F.col("open_words")).cast("long")).drop("_middle")
-    rest = placed.filter(~on_edge).withColumn("extra", F.when(F.col("rank").isNull(), 0).when(F.col("edge").isNull() | (F.col("bucket") < F.col("edge")), 1).otherwise(0).cast("long"))
-    both = rest.unionByName(sorted_).withColumn("copies", F.when(F.col("size") > 0, F.col("certain") + F.col("extra")).otherwise(F.lit(0)).cast("long"))
-    return both.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"), "copies", *keep)
-
-
-def mix(docs: DataFrame, **settings) -> DataFrame:
-    """The mixed corpus itself: every row of docs as often as the plan takes it, with its columns."""
-    keyed = docs.withColumn("_row", F.struct(*docs.columns))
-    taken = plan(keyed.select("doc_id", "source", "text", "_row"), keep=("_row",), **settings)
-    return taken.filter("copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select("_row.*")
+    rows = placed.filter("bucket = edge").withColumn("_middle", F.col("before") + F.sum("size").over(upto) - F.col("size") / 2)
+    return rows.withColumn("extra", (F.col("_middle") <= F.col("open_words")).cast("long")).drop("_middle")
+
+
+def off_edge(rank: Column, bucket: Column, edge: Column) -> Column:
+    return F.when(rank.isNull(), 0).when(edge.isNull() | (bucket < edge), 1).otherwise(0).cast("long")
+
+
+def copies(extra: Column) -> Column:
+    return F.when(F.col("size") > 0, F.col("certain") + extra).otherwise(F.lit(0)).cast("long")
+
+
+def sized(docs: DataFrame, *more: Column) -> DataFrame:
+    return docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), *more).withColumn("size_class", F.length(F.bin("size")).cast("long"))
+
+
+def plan(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), share: float = 1.0, most: int = 3, seed: str = "mix", buckets: int = BUCKETS) -> DataFrame:
+    """doc_id, size, source_size, target, taken of each row of docs."""
+    base = cut(sized(docs))
+    n, shares = levels(base, weights, share, most)
+    ranked = with_rank(base, shares, n, seed, buckets)
+    placed = join_small(ranked, edges(ranked), ["source"], n, "left")
+    rest = placed.filter("edge is null or bucket is null or bucket <> edge").withColumn("extra", off_edge(F.col("rank"), F.col("bucket"), F.col("edge")))
+    both = rest.unionByName(on_edge(placed))
+    return both.select("doc_id", "size", "source_size", "target", (copies(F.col("extra")) * F.col("size")).alias("taken"))
+
+
+def mix(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), share: float = 1.0, most: int = 3, seed: str = "mix", buckets: int = BUCKETS) -> DataFrame:
+    """The mixed corpus itself: every row of docs as often as it is taken, with its columns.
+
+    The last rank taken of each source is a small table, so that texts are read once more and never shuffled. Rows of one doc_id and
+    size have one rank and are taken together here.
+    """
+    base = cut(sized(docs))
+    n, shares = levels(base, weights, share, most)
+    ranked = with_rank(base, shares, n, seed, buckets)
+    edge = edges(ranked)
+    place = lambda size: F.struct("rank", F.col("doc_id").isNotNull(), "doc_id", size)
+    last = on_edge(join_small(ranked, edge, ["source"], n)).filter("extra = 1").groupBy(F.col("source").alias("_s")).agg(F.max(place("size")).alias("last"))
+    edge = cut(edge.join(last, F.col("source").eqNullSafe(F.col("_s")), "left").drop("_s"))
+    rows = join_small(with_rank(sized(docs, F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")), shares, n, seed, buckets), edge, ["source"], n, "left")
+    extra = F.when(F.col("bucket") == F.col("edge"), F.coalesce(place("size") <= F.col("last"), F.lit(False)).cast("long")).otherwise(off_edge(F.col("rank"), F.col("bucket"), F.col("edge")))
+    taken = rows.withColumn("_copies", copies(extra)).filter("_copies > 0")
+    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select("_row.*")
 
 
 SQL = r"""

@@ -7,7 +7,7 @@ from graphsplit.llm.common import table
 
 
 def op1_pareto_mix(spark, sf_dir):
-    return mixing.plan(table(spark, sf_dir, "documents")).drop("copies")
+    return mixing.plan(table(spark, sf_dir, "documents"))
 
 
 def op2_pattern_packing(spark, sf_dir):
