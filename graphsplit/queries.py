@@ -2,9 +2,25 @@
 
 from __future__ import annotations
 
+from graphsplit.sources import graphs
+
 QUERIES: dict = {}
 SQL: dict = {}
 
 
+def query(name, sql=None):
+    def add(f):
+        QUERIES[name] = f
+        if sql:
+            SQL[name] = sql
+        return f
+
+    return add
+
+
+for _name in graphs.BUILDERS:
+    query(f"g_{_name}_edges", f"WITH raw_e AS ({graphs.SQL[_name][0]}) SELECT u, v, w::BIGINT AS w FROM raw_e")(lambda spark, sf_dir, name=_name: graphs.BUILDERS[name](spark, sf_dir).edges)
+
+
 def flagship(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/part.parquet").select("p_partkey")
+    return graphs.load_graph(spark, sf_dir, "copurchase").vertices
