@@ -18,7 +18,10 @@ def snapshot(df: DataFrame) -> DataFrame:
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
         sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
-    return df.checkpoint(eager=True)
+    saved = df.checkpoint(eager=True)
+    # without the size estimates of the plan so far: they multiply from join to join, and planning a long loop would take ever longer
+    session = df.sparkSession
+    return DataFrame(session._jsparkSession.internalCreateDataFrame(saved._jdf.queryExecution().toRdd(), saved._jdf.schema(), False), session)
 
 
 @dataclass(frozen=True)

@@ -93,6 +93,6 @@ def extend(g: Graph, partition: DataFrame, spans: list[int], target: int, parts:
         part = kernels.split(csr, children[b], limits, seed + 31 * b, strong) + starts[b]
         return pa.table({"vid": pa.array(ids), "block": pa.array(part.astype(np.int32))})
 
-    inside = induced_subgraphs(g, partition).groupBy("block")
+    inside = induced_subgraphs(g, partition).withColumnRenamed("block", "_block").groupBy("_block")
     own = g.vertices.join(partition, "vid").select("block", "vid", "c").groupBy("block")
     return snapshot(own.cogroup(inside).applyInArrow(split_block, "vid long, block int")), [s for x in children for s in x]
