@@ -3,14 +3,17 @@
 A text's set holds hashes of its word shingles. Texts with equal sets are one class, whose smallest doc_id stands for it; only classes are
 compared. A signature gives every element a random order of the registers, rank by rank: in each round an element offers its value to one
 register, and a text is done as soon as all its registers are filled, which for long texts takes a round or two. Bands of registers that
-agree make candidates. They are verified on the full sets, in three steps, each of which only looks at candidates in different groups so far:
+agree make candidates. They are verified on the full sets:
 
-1. every class against the smallest of the leaders (least ids) of its buckets,
-2. every class against the leaders of all its buckets,
-3. all others: in buckets that hold more than one group, pairs of members whose signatures agree nearly as much as the limit asks.
+1. Every class against the smallest of the leaders (least ids) of its buckets. Links that hold make first groups.
+2. In buckets that hold several groups, members of different groups whose signatures agree nearly as much as the limit asks are joined to
+   families. A task only puts out a spanning forest.
+3. In families of several groups, the full sets of those outside the largest group are compared with all others: shared shingles are
+   counted by products of incidence matrices. Again a task only puts out the links that join groups.
 
-So a bucket of n near copies costs n verifications, not n squared, and no candidate stays unverified. Large buckets are cut into blocks in
-step 3. Groups are connected components, by large and small stars on the links; nothing but counts reaches the driver.
+So what is put out grows with the members, not with their pairs, and no candidate stays unverified. Large buckets and families are cut
+into blocks that meet in tasks of their own. Groups are connected components, by large and small stars on the links; nothing but counts
+reaches the driver.
 
 Registers and bands follow from the limit so that a pair at the limit is missed with a chance of 1e-6 at most.
 
@@ -31,8 +34,10 @@ from pyspark.sql import functions as F
 from graphsplit.llm.common import BROADCAST_ROWS, cut, map_texts
 
 REGISTERS = 128
-#: Members of one bucket that a task compares at a time in step 3, and members that share one leader's set in a task.
+#: Members of one bucket or family that a task compares, and members that share one leader's set in a task.
 MEMBERS = 2048
+#: Shingles of the sets that a task of step 3 holds of each block.
+SHINGLES = 2_000_000
 U = np.uint64
 
 
@@ -187,34 +192,117 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> Dat
     return cut(sets.repartition("key", "part").sortWithinPartitions("key", "part", "role").mapInArrow(compare, "a long, b long"))
 
 
-def rest_of_buckets(members: DataFrame, limit: float, used: int) -> DataFrame:
-    """Pairs a > b of different groups that share a bucket and whose signatures agree about as much as the limit asks.
+class Forest:
+    """Union-find over group numbers, with the root of every row at hand."""
 
-    members: bucket, id, group, registers, of the buckets with more than one group. Agreement is a mean over `used` registers; six
-    standard deviations below the limit are let through.
+    def __init__(self, groups: np.ndarray):
+        self.roots = np.unique(groups, return_inverse=True)[1]
+
+    def join(self, i: int, j: int) -> bool:
+        a, b = self.roots[i], self.roots[j]
+        if a == b:
+            return False
+        self.roots[self.roots == max(a, b)] = min(a, b)
+        return True
+
+
+def families(members: DataFrame, limit: float, used: int) -> DataFrame:
+    """a, b: a forest of the groups whose members share a bucket and agree about as much as the limit asks.
+
+    members: bucket, id, group, registers, of the buckets with several groups. Agreement is a mean over `used` registers; five standard
+    deviations below the limit are let through.
     """
-    enough = (limit - 6 * (limit * (1 - limit) / used) ** 0.5) * used
+    enough = (limit - 5 * (limit * (1 - limit) / used) ** 0.5) * used
     sizes = members.groupBy("bucket").agg(F.count("*").alias("n")).select("bucket", F.ceil(F.col("n") / MEMBERS).cast("int").alias("blocks"))
     placed = members.join(sizes, "bucket").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    placed = placed.select("bucket", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "id", "group", "registers")
+    placed = placed.select("bucket", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "group", "registers")
+
+    def compare(table: pa.Table) -> pa.Table:
+        groups = np.asarray(table.column("group"))
+        x = np.frombuffer(b"".join(table.column("registers").to_pylist()), np.uint32).reshape(len(groups), -1)[:, :used]
+        forest, a, b = Forest(groups), [], []
+        sizes = np.bincount(forest.roots)
+        for k in np.flatnonzero(forest.roots != sizes.argmax()).tolist():
+            other = np.flatnonzero(forest.roots != forest.roots[k])
+            for h in other[(x[other] == x[k]).sum(axis=1) >= enough].tolist():
+                if forest.join(k, h):
+                    a.append(groups[k])
+                    b.append(groups[h])
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return placed.groupBy("bucket", "i", "j").applyInArrow(compare, "a long, b long")
+
+
+def shared_counts(left: list[np.ndarray], right: list[np.ndarray], width: int = 4096) -> np.ndarray:
+    """How many elements each set of the left has in common with each of the right, by products of incidence matrices."""
+    values = np.concatenate([*left, *right])
+    of = np.repeat(np.arange(len(left) + len(right)), [len(s) for s in (*left, *right)])
+    _, at, times = np.unique(values, return_inverse=True, return_counts=True)
+    number = np.cumsum(times > 1) - 1
+    keep = times[at] > 1
+    column, of = number[at[keep]], of[keep]
+    order = np.argsort(column, kind="stable")
+    column, of = column[order], of[order]
+    out = np.zeros((len(left), len(right)), np.float32)
+    for c in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+        part = slice(*np.searchsorted(column, [c, c + width]))
+        x = np.zeros((len(left) + len(right), width), np.float32)
+        x[of[part], column[part] - c] = 1
+        out += x[: len(left)] @ x[len(left) :].T
+    return out
+
+
+def links_in_families(docs: DataFrame, members: DataFrame, width: int, percent: int) -> DataFrame:
+    """a, b: links that join the groups of a family. members: family, id, group, n_shingles, of the families with several groups.
+
+    The largest group's members don't meet each other. Blocks are bounded by members and by shingles.
+    """
+    groups = members.groupBy("family", "group").agg(F.count("*").alias("n"), F.sum("n_shingles").alias("words"))
+    parts = F.greatest(F.ceil(F.col("n") / MEMBERS), F.ceil(F.col("words") / SHINGLES)).cast("int")
+    main = groups.groupBy("family").agg(F.max_by("group", F.struct("n", "group")).alias("main"), F.max(F.struct("n", "group", "words")).alias("m"), F.sum("n").alias("all_n"), F.sum("words").alias("all_words"))
+    main = main.select("family", "main", F.col("m.n").alias("n"), F.col("m.words").alias("words"), "all_n", "all_words").withColumn("main_parts", parts)
+    main = main.withColumn("n", F.col("all_n") - F.col("n")).withColumn("words", F.col("all_words") - F.col("words")).withColumn("parts", F.greatest(F.lit(1), parts)).select("family", "main", "main_parts", "parts")
+    rows = members.join(main, "family").withColumn("is_main", F.col("group") == F.col("main"))
+    block = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
+    every = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
+    own = F.when(F.col("is_main"), block("main_parts")).otherwise(block("parts"))
+    rows = rows.withColumn("block", own)
+    # tasks (i, j, 0): block i of the others against block j of the main group; (i, j, 1) with i <= j: two blocks of the others
+    to_main = F.transform(every("main_parts"), lambda j: F.struct(F.col("block").alias("i"), j.alias("j"), F.lit(0).alias("kind")))
+    to_others = F.transform(every("parts"), lambda j: F.struct(F.least("block", j).alias("i"), F.greatest("block", j).alias("j"), F.lit(1).alias("kind")))
+    from_main = F.transform(every("parts"), lambda i: F.struct(i.alias("i"), F.col("block").alias("j"), F.lit(0).alias("kind")))
+    tasks = rows.withColumn("t", F.explode(F.when(F.col("is_main"), from_main).otherwise(F.concat(to_main, to_others))))
+    wanted = cut(tasks.select("id", "family", "group", "block", "is_main", "t.i", "t.j", "t.kind"))
+    wanted = F.broadcast(wanted) if wanted.count() <= BROADCAST_ROWS else wanted
+
+    def start():
+        return lambda texts: [[shingles(x, width).tobytes() for x in texts]]
+
+    texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text").join(wanted, "id")
+    sets = map_texts(texts, ["id", "family", "group", "block", "is_main", "i", "j", "kind"], start, [("set", "binary", pa.binary())])
 
     def compare(table: pa.Table) -> pa.Table:
-        ids, groups, blocks = (np.asarray(table.column(c)) for c in ("id", "group", "block"))
-        cross = table.column("i")[0].as_py() != table.column("j")[0].as_py()
-        x = np.frombuffer(b"".join(table.column("registers").to_pylist()), np.uint32).reshape(len(ids), -1)[:, :used]
-        a, b = [], []
-        if (groups != groups[0]).any():
-            for k in range(len(ids) - 1):
-                near = (groups[k + 1 :] != groups[k]) & ((blocks[k + 1 :] != blocks[k]) | (not cross))
-                at = k + 1 + np.flatnonzero(near)
-                at = at[(x[at] == x[k]).sum(axis=1) >= enough]
-                a.append(np.maximum(ids[at], ids[k]))
-                b.append(np.minimum(ids[at], ids[k]))
-        join = lambda parts: np.concatenate(parts) if parts else np.zeros(0, np.int64)
-        return pa.table({"a": pa.array(join(a), pa.int64()), "b": pa.array(join(b), pa.int64())})
-
-    return placed.groupBy("bucket", "i", "j").applyInArrow(compare, "a long, b long").distinct()
+        ids, groups, blocks, main = (np.asarray(table.column(c)) for c in ("id", "group", "block", "is_main"))
+        i, j, kind = (table.column(c)[0].as_py() for c in ("i", "j", "kind"))
+        left = np.flatnonzero(~main & (blocks == i)) if kind == 0 else np.flatnonzero(blocks == i)
+        right = np.flatnonzero(main) if kind == 0 else np.flatnonzero(blocks == j)
+        raw = [np.frombuffer(x.as_py(), np.uint64) for x in table.column("set")]
+        forest, a, b = Forest(groups), [], []
+        if len(left) and len(right) and (groups != groups[0]).any():
+            for k in range(0, len(left), 512):
+                some = left[k : k + 512]
+                both = shared_counts([raw[x] for x in some], [raw[x] for x in right])
+                size = lambda rows: np.asarray([len(raw[x]) for x in rows], np.float32)
+                near = 100 * both >= percent * (size(some)[:, None] + size(right)[None, :] - both)
+                near &= (both > 0) & (groups[some][:, None] != groups[right][None, :])
+                for p, q in np.argwhere(near).tolist():
+                    if forest.join(some[p], right[q]):
+                        a.append(ids[some[p]])
+                        b.append(ids[right[q]])
+        return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+    return sets.groupBy("family", "i", "j", "kind").applyInArrow(compare, "a long, b long")
 
 
 def group(docs: DataFrame, width: int = 5, limit: float = 0.8) -> DataFrame:
@@ -223,28 +311,26 @@ def group(docs: DataFrame, width: int = 5, limit: float = 0.8) -> DataFrame:
     rows, bands = layout(limit)
     made = cut(sketch(docs, width, limit))
     named = made.filter(F.col("same").isNotNull() & F.col("doc_id").isNotNull())
-    # rows of equal sets are one class; rows of equal ids are linked
-    classes = cut(named.groupBy("same").agg(F.min("doc_id").alias("id"), F.min_by("bands", "doc_id").alias("bands"), F.min_by("registers", "doc_id").alias("registers")))
-    copies = named.select("same", "doc_id").join(classes.select("same", "id"), "same").filter("doc_id <> id").select(F.col("doc_id").alias("a"), F.col("id").alias("b"))
-    bucketed = classes.select("id", F.explode("bands").alias("bucket"))
+    # rows of equal sets are one class
+    classes = cut(named.groupBy("same").agg(F.min("doc_id").alias("id")))
+    copies = named.select("same", "doc_id").join(classes, "same").filter("doc_id <> id").select(F.col("doc_id").alias("a"), F.col("id").alias("b"))
+    own = named.select(F.col("doc_id").alias("id"), "same", "bands").join(classes, ["id", "same"])
+    bucketed = own.select("id", F.explode("bands").alias("bucket"))
     heads = cut(bucketed.groupBy("bucket").agg(F.min("id").alias("head"), F.count("*").alias("n")).filter("n > 1").select("bucket", "head"))
     shared = cut(bucketed.join(heads, "bucket").select("bucket", "id", "head"))
     first = shared.groupBy("id").agg(F.min("head").alias("head")).filter("id <> head")
     links = verified(docs, first.select(F.col("id").alias("a"), F.col("head").alias("b")), width, percent)
-
-    def with_groups(links: DataFrame) -> DataFrame:
-        found = components(links)
-        return lambda df, c, out: df.join(found.select(F.col("node").alias(c), F.col("component").alias("_g")), c, "left").withColumn(out, F.coalesce("_g", c)).drop("_g")
-
-    grouped = with_groups(links)
-    open_ = grouped(grouped(shared.select("id", "head").distinct().filter("id <> head"), "id", "g"), "head", "h").filter("g <> h")
-    more = verified(docs, open_.join(first, ["id", "head"], "left_anti").select(F.col("id").alias("a"), F.col("head").alias("b")), width, percent)
-    links = links.union(more)
-    grouped = with_groups(links)
-    spread = grouped(shared.select("bucket", "id"), "id", "group")
+    found = cut(components(links))
+    spread = shared.select("bucket", "id").join(found.select(F.col("node").alias("id"), F.col("component").alias("_g")), "id", "left").select("bucket", "id", F.coalesce("_g", "id").alias("group"))
     several = spread.groupBy("bucket").agg(F.min("group").alias("_a"), F.max("group").alias("_b")).filter("_a <> _b").select("bucket")
-    left = spread.join(several, "bucket").join(classes.select("id", "registers"), "id")
-    links = links.union(verified(docs, rest_of_buckets(left.select("bucket", "id", "group", "registers"), limit, rows * bands), width, percent))
+    left = cut(spread.join(several, "bucket"))
+    detail = made.join(left.select(F.col("id").alias("doc_id")).distinct(), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("id")).agg(F.min("registers").alias("registers"))
+    joined = cut(families(left.join(detail, "id").select("bucket", "id", "group", "registers"), limit, rows * bands).distinct())
+    kin = components(joined).select(F.col("node").alias("group"), F.col("component").alias("family"))
+    people = classes.select("id").join(found.select(F.col("node").alias("id"), F.col("component").alias("_g")), "id", "left").select("id", F.coalesce("_g", "id").alias("group")).distinct()
+    words = made.groupBy(F.col("doc_id").alias("id")).agg(F.max("n_shingles").alias("n_shingles"))
+    relatives = cut(people.join(kin, "group").join(words, "id").select("family", "id", "group", "n_shingles"))
+    links = links.union(cut(links_in_families(docs, relatives, width, percent)))
     found = components(links.union(copies))
     out = made.select("doc_id", "n_shingles").join(found.select(F.col("node").alias("doc_id"), "component"), "doc_id", "left")
     out = out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
