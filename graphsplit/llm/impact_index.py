@@ -1,10 +1,11 @@
 """Exact top-k inner products with an impact-ordered index, processed a score at a time.
 
-Vectors are cut into blocks. In a block every dimension is a posting list, ordered by impact quantised to a few levels; equal levels are a
-segment. A query goes through the segments of all dimensions by descending gain, the most a segment adds above the dimension's least
-contribution, and adds up lower bounds. What a vector may still gain is bounded by the next segment of each dimension that it hasn't met.
-The search of a block stops only when that proves all but a few vectors out of its k best; those few are rescored exactly. The k best of
-each block are merged.
+Vectors are cut into blocks. In a block every dimension is a posting list, whose impacts are quantised to a few levels; equal levels are a
+segment. Queries go through the segments by descending impact: in each round every dimension gives its next best segment, from the top
+where the query's weight is positive and from the bottom where it is negative. What is known then bounds the score of every vector from
+below and above: met components lie in their level, the others can't be better than the next segment. A query's search of a block stops only
+when that proves all but a few vectors out of its k best; those few are rescored exactly. The k best of each block are merged. The bounds of
+all queries of a block are matrix products.
 
 Blocks of queries meet blocks of the index by an equi-join on the block's number: every query meets every vector once, and tasks hold one
 block of each. Nothing is broadcast.
@@ -28,7 +29,9 @@ from graphsplit.llm.common import cut
 
 BLOCK = 4096
 QUERIES = 512
-LEVELS = 12
+LEVELS = 24
+#: Rounds between checks of the bounds.
+CHECK = 4
 
 
 def quantised(vector: Column, scale: float = 1024.0) -> Column:
@@ -64,65 +67,52 @@ def blocks(rows: DataFrame, size: int, column: str) -> DataFrame:
 
 
 class Postings:
-    """The impact-ordered lists of one block."""
+    """The quantised lists of one block: the level of each component, from 0 to LEVELS - 1 by rising impact."""
 
     def __init__(self, ids: np.ndarray, x: np.ndarray, levels: int = LEVELS):
-        self.ids, self.x = ids, x
-        low, high = (int(x.min()), int(x.max())) if x.size else (0, 0)
-        self.width = (high - low) // levels + 1
-        level = (x - low) // self.width
-        self.order = np.argsort(level, axis=0, kind="stable")
-        self.segments = []  # (dimension, least and most component, rows)
-        for d in range(x.shape[1]):
-            sorted_ = level[self.order[:, d], d]
-            bounds = np.flatnonzero(np.diff(sorted_)) + 1
-            for rows in np.split(self.order[:, d], bounds):
-                least = low + int(level[rows[0], d]) * self.width
-                self.segments.append((d, least, least + self.width - 1, rows))
-        self.dimension = np.asarray([s[0] for s in self.segments])
-        self.least, self.most = (np.asarray([s[k] for s in self.segments], dtype=np.int64) for k in (1, 2))
-
-    def top(self, query_id: int, q: np.ndarray, k: int, check: int = 48) -> list[tuple[int, int]]:
-        """(id, score) of the k best rows of the block."""
-        if self.x.shape[1] != len(q):
-            width = max(self.x.shape[1], len(q))
+        self.ids, self.x, self.levels = ids, x, levels
+        self.low, high = (int(x.min()), int(x.max())) if x.size else (0, 0)
+        self.width = (high - self.low) // levels + 1
+        self.level = (x - self.low) // self.width
+
+    def bounds(self, rounds: int) -> tuple[np.ndarray, ...]:
+        """Least and most of each component as known after so many segments from the top, and the same from the bottom."""
+        least = (self.low + self.level * self.width).astype(float)
+        most = least + (self.width - 1)
+        floor, roof = float(self.low), float(self.low + self.levels * self.width - 1)
+        met = self.level >= self.levels - rounds
+        met_below = self.level < rounds
+        edge, edge_below = float(self.low + (self.levels - rounds) * self.width - 1), float(self.low + rounds * self.width)
+        return np.where(met, least, floor), np.where(met, most, edge), np.where(met_below, least, edge_below), np.where(met_below, most, roof)
+
+    def top(self, query_ids: np.ndarray, q: np.ndarray, k: int) -> list[tuple[int, int, int]]:
+        """(query, id, score) of the k best rows of the block for each query."""
+        if self.x.shape[1] != q.shape[1]:
+            width = max(self.x.shape[1], q.shape[1])
             self = Postings(self.ids, np.pad(self.x, ((0, 0), (0, width - self.x.shape[1]))))
-            q = np.pad(q, (0, width - len(q)))
-        n, dims = self.x.shape
-        own = self.ids == query_id
-        weight = q[self.dimension]
-        lower, upper = np.minimum(weight * self.least, weight * self.most), np.maximum(weight * self.least, weight * self.most)
-        floor = np.full(dims, np.iinfo(np.int64).max)
-        np.minimum.at(floor, self.dimension, lower)
-        gain, sure = upper - floor[self.dimension], lower - floor[self.dimension]
-        turn = np.argsort(-gain, kind="stable")
-        turn = turn[weight[turn] != 0]
-        slack = np.abs(q).astype(float) * (self.width - 1)
-        score, pending = np.zeros(n), np.ones((n, dims))
-        possible = np.flatnonzero(~own)
-        ahead: list[list[int]] = [[] for _ in range(dims)]
-        for s in turn[::-1].tolist():
-            ahead[self.dimension[s]].append(s)
-        few = max(4 * k, n // 50)
-        for at, s in enumerate(turn.tolist(), 1):
-            d, rows = self.segments[s][0], self.segments[s][3]
-            score[rows] += sure[s]
-            pending[rows, d] = 0.0
-            ahead[d].pop()
-            if at % check and at != len(turn):
-                continue
-            rest = np.asarray([float(gain[a[-1]]) if a else 0.0 for a in ahead])
-            most = score + pending @ (rest - slack) + slack.sum()
-            mine = score[~own]
-            if len(mine) <= k:
+            q = np.pad(q, ((0, 0), (0, width - q.shape[1])))
+        n, out = len(self.ids), []
+        open_, few = np.arange(len(q)), max(4 * k, n // 20)
+        for rounds in [*range(self.levels // 3, self.levels, CHECK), self.levels]:
+            up, down = np.maximum(q[open_], 0).astype(float), np.minimum(q[open_], 0).astype(float)
+            least, most, least_below, most_below = self.bounds(rounds)
+            lower = up @ least.T + down @ most_below.T
+            upper = up @ most.T + down @ least_below.T
+            own = self.ids[None, :] == query_ids[open_][:, None]
+            lower[own] = -np.inf
+            limit = np.partition(lower, n - k, axis=1)[:, n - k] if n > k else np.full(len(open_), -np.inf)
+            # a hair of room for rounding of large numbers
+            possible = (upper + np.abs(upper) * 1e-9 + 1 >= limit[:, None]) & ~own
+            done = (possible.sum(axis=1) <= few) | (rounds == self.levels)
+            for r in np.flatnonzero(done).tolist():
+                rows = np.flatnonzero(possible[r])
+                exact = self.x[rows] @ q[open_[r]]
+                best = np.lexsort((self.ids[rows], -exact))[:k]
+                out += [(int(query_ids[open_[r]]), i, s) for i, s in zip(self.ids[rows[best]].tolist(), exact[best].tolist(), strict=True)]
+            open_ = open_[~done]
+            if not len(open_):
                 break
-            limit = np.partition(mine, len(mine) - k)[len(mine) - k]
-            possible = np.flatnonzero((most * (1 + 1e-9) + 1 >= limit) & ~own)
-            if len(possible) <= few:
-                break
-        exact = self.x[possible] @ q
-        best = np.lexsort((self.ids[possible], -exact))[:k]
-        return list(zip(self.ids[possible[best]].tolist(), exact[best].tolist(), strict=True))
+        return out
 
 
 def search(index: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
@@ -138,7 +128,7 @@ def search(index: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
                     number, postings = row["block"], Postings(np.frombuffer(row["ids"], np.int64), np.frombuffer(row["x"], np.int64).reshape(-1, row["dims"]))
                 q_ids = np.frombuffer(row["q_ids"], np.int64)
                 q = np.frombuffer(row["q"], np.int64).reshape(len(q_ids), row["q_dims"])
-                found = [(a, i, s) for a, v in zip(q_ids.tolist(), q, strict=True) for i, s in postings.top(a, v, k)]
+                found = postings.top(q_ids, q, k)
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*found, strict=True) if found else ([], [], []))], names=["query_id", "vec_id", "score"])
 
     local = index.join(asked, "block").select("block", "ids", "dims", "x", "q_ids", "q_dims", "q").mapInArrow(run, "query_id long, vec_id long, score long")
