@@ -145,11 +145,13 @@ def kernel_sweeps(g: Graph, state: DataFrame, limit: float, iterations: int, pes
             heads = g.edges.join(now.select(F.col("vid").alias("src"), F.col("c"), F.col("pe"), F.col("label").alias("own"), F.col("weight").alias("own_weight"), "pos", "batch"), "src")
             heads = heads.join(state.join(weights, "label").select(F.col("vid").alias("dst"), F.col("pe").alias("dst_pe"), F.col("label").alias("to"), F.col("weight").alias("to_weight")), "dst")
 
-            def scan_pe(t: pa.Table, b: int = b) -> pa.Table:
+            turn_now = b
+
+            def scan_pe(t: pa.Table) -> pa.Table:  # run before the next batch begins
                 src, dst, w, c, own, to, pos, batch = (np.asarray(t.column(x)) for x in ("src", "dst", "w", "c", "own", "to", "pos", "batch"))
                 weight = dict(zip(own.tolist(), np.asarray(t.column("own_weight")).tolist(), strict=True)) | dict(zip(to.tolist(), np.asarray(t.column("to_weight")).tolist(), strict=True))
                 label = dict(zip(dst.tolist(), to.tolist(), strict=True)) | dict(zip(src.tolist(), own.tolist(), strict=True))
-                first = np.flatnonzero(batch == b)
+                first = np.flatnonzero(batch == turn_now)
                 first = first[np.lexsort((dst[first], pos[first]))]
                 out = []
                 for v in np.split(first, np.flatnonzero(np.diff(pos[first])) + 1) if len(first) else []:

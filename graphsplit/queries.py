@@ -1,8 +1,28 @@
-"""Queries of the engine, one for each method, with their SQL."""
+"""Queries of the engine, one for each method, with their SQL.
+
+Where a method is a fixed sequence of relational steps, the SQL is equivalent. For whole partitioners, which no SQL expresses, the query
+recomputes facts about the returned partition, and the SQL gives the same row from the raw tables and what must hold.
+"""
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
+from graphsplit.functions import columns
+from graphsplit.functions.columns import relative_gain
+from graphsplit.model import snapshot
+from graphsplit.operators import balance as bal
+from graphsplit.operators import cluster as cl
+from graphsplit.operators import contract as con
+from graphsplit.operators import initial as ini
+from graphsplit.operators import layout as lay
+from graphsplit.operators import measures as ms
+from graphsplit.operators import order as ordr
+from graphsplit.plans import baselines, report
+from graphsplit.plans.deep import DeepParams, deep_partition, limits_for
 from graphsplit.sources import graphs
+from graphsplit.sources.graphs import load_graph, sql_graph
+from graphsplit.streaming import edges as stream
 
 QUERIES: dict = {}
 SQL: dict = {}
@@ -18,9 +38,582 @@ def query(name, sql=None):
     return add
 
 
+def on(name, graph, sql=None):
+    """A query over one graph, with SQL that starts after its common table expressions."""
+    return lambda f: query(name, sql and f"{sql_graph(graph)}{'' if sql.lstrip().startswith(',') else ' '}{sql}")(lambda spark, sf_dir: f(load_graph(spark, sf_dir, graph)))
+
+
+def toss(seed, tag, *keys):
+    return f"('0x' || substr(md5('{seed}:{tag}:' || {' || chr(58) || '.join(keys)}), 1, 8))::BIGINT"
+
+
 for _name in graphs.BUILDERS:
     query(f"g_{_name}_edges", f"WITH raw_e AS ({graphs.SQL[_name][0]}) SELECT u, v, w::BIGINT AS w FROM raw_e")(lambda spark, sf_dir, name=_name: graphs.BUILDERS[name](spark, sf_dir).edges)
 
 
+# Graphs and layout
+PE = "least(3, (vid * 4) // (SELECT count(*) FROM ids))::INT"
+LAY = f", lay AS (SELECT vid, c, {PE} AS pe FROM ids)"
+GHOST = LAY + ", ghosts AS (SELECT DISTINCT s.pe, arcs.dst AS vid FROM arcs JOIN lay s ON s.vid = src JOIN lay d ON d.vid = dst WHERE s.pe <> d.pe)"
+
+
+@on("graph_summary", "order_star", ", d AS (SELECT src, count(*) AS deg FROM arcs GROUP BY src) SELECT (SELECT count(*) FROM ids) AS n, (SELECT count(*) FROM e) AS m, (SELECT sum(c)::BIGINT FROM ids) AS total_c, (SELECT sum(w)::BIGINT FROM e) AS total_w, (SELECT max(deg) FROM d) AS max_degree")
+def _(g):
+    deg = g.edges.groupBy("src").agg(F.count("*").alias("deg"), F.sum("w").alias("w"))
+    return deg.agg(F.max("deg").alias("max_degree"), (F.sum("w") / 2).cast("long").alias("total_w")).select(F.lit(g.n).cast("long").alias("n"), F.lit(g.m).cast("long").alias("m"), F.lit(g.total).cast("long").alias("total_c"), "total_w", "max_degree")
+
+
+@on("degree_histogram", "order_star", ", d AS (SELECT vid, count(src) AS deg FROM ids LEFT JOIN arcs ON src = vid GROUP BY vid) SELECT deg, count(*) AS vertices FROM d GROUP BY deg")
+def _(g):
+    return ordr.degree_buckets(g).groupBy("deg").agg(F.count("*").alias("vertices"))
+
+
+@on("degree_buckets", "doc_dup", ", d AS (SELECT vid, count(src) AS deg FROM ids LEFT JOIN arcs ON src = vid GROUP BY vid) SELECT vid, deg, CASE WHEN deg > 0 THEN length(bin(deg)) - 1 ELSE -1 END AS bucket FROM d")
+def _(g):
+    return ordr.degree_buckets(g)
+
+
+@on("isolated_vertices", "emb_rgg2", "SELECT vid FROM ids WHERE vid NOT IN (SELECT src FROM arcs)")
+def _(g):
+    return g.vertices.join(g.edges, F.col("vid") == F.col("src"), "left_anti").select("vid")
+
+
+@on("neighbors_list", "trade", "SELECT src AS vid, string_agg(dst || ':' || w, ',' ORDER BY dst) AS neighbours FROM arcs GROUP BY src")
+def _(g):
+    return g.edges.groupBy(F.col("src").alias("vid")).agg(F.array_sort(F.collect_list(F.struct("dst", "w"))).alias("a")).select("vid", F.array_join(F.transform("a", lambda x: F.concat_ws(":", x["dst"], x["w"])), ",").alias("neighbours"))
+
+
+@on("graph_problems", "page_sim", "SELECT 'none' AS problem, vid AS a, vid AS b FROM ids WHERE false")
+def _(g):
+    return g.validate()
+
+
+@on("pe_layout", "event_chain", LAY + " SELECT vid, c, pe FROM lay")
+def _(g):
+    return lay.assign_pe(g, 4)
+
+
+@on("pe_layout_by_edges", "order_star", ", d AS (SELECT vid, any_value(c) AS c, count(src) AS deg FROM ids LEFT JOIN arcs ON src = vid GROUP BY vid) SELECT vid, c, least(3, ((coalesce(sum(deg) OVER (ORDER BY vid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) * 4) // (SELECT count(*) FROM arcs)))::INT AS pe FROM d")
+def _(g):
+    return lay.assign_pe(g, 4, "edges")
+
+
+@on("interface_vertices", "event_chain", LAY + " SELECT DISTINCT src AS vid FROM arcs JOIN lay s ON s.vid = src JOIN lay d ON d.vid = dst WHERE s.pe <> d.pe")
+def _(g):
+    return lay.interface_vertices(g, lay.assign_pe(g, 4))
+
+
+@on("ghost_table", "event_chain", GHOST + " SELECT pe, vid FROM ghosts")
+def _(g):
+    return lay.ghost_table(g, lay.assign_pe(g, 4))
+
+
+@on("ghost_counts", "order_star", GHOST + " SELECT pe, count(*) AS ghosts FROM ghosts GROUP BY pe")
+def _(g):
+    return lay.ghost_table(g, lay.assign_pe(g, 4)).groupBy("pe").agg(F.count("*").alias("ghosts"))
+
+
+@on("ghost_updates", "event_chain", GHOST + " SELECT pe, vid, vid % 7 AS label FROM ghosts WHERE vid % 3 = 0")
+def _(g):
+    moved = g.vertices.filter("vid % 3 = 0").select("vid", (F.col("vid") % 7).alias("label"))
+    return lay.ghost_updates(moved, lay.ghost_table(g, lay.assign_pe(g, 4)))
+
+
+GHOST16 = ", lay AS (SELECT vid, ((vid * 16) // (SELECT count(*) FROM ids))::INT AS pe FROM ids), msg AS (SELECT DISTINCT d.pe AS a, s.pe AS b, arcs.dst AS vid FROM arcs JOIN lay s ON s.vid = src JOIN lay d ON d.vid = dst WHERE s.pe <> d.pe)"
+
+
+def messages(g, pes):
+    layout = lay.assign_pe(g, pes)
+    return lay.ghost_table(g, layout).join(layout.select("vid", F.col("pe").alias("src_pe")), "vid").select("src_pe", F.col("pe").alias("dst_pe"))
+
+
+@on("exchange_cost_direct", "order_star", GHOST16 + " SELECT 1 AS hop, count(DISTINCT a * 16 + b) AS messages, count(*) AS rows FROM msg")
+def _(g):
+    return lay.exchange_cost(messages(g, 16), 16)
+
+
+@on("exchange_cost_grid", "order_star", GHOST16 + ", via AS (SELECT a, (b // 4) * 4 + a % 4 AS x, b FROM msg), h AS (SELECT 1 AS hop, a, x AS b FROM via UNION ALL SELECT 2, x, b FROM via) SELECT hop, count(DISTINCT a * 16 + b) AS messages, count(*) AS rows FROM h WHERE a <> b GROUP BY hop")
+def _(g):
+    return lay.exchange_cost(messages(g, 16), 16, "grid")
+
+
+@on("exchange_grid_delivers", "event_chain", GHOST16 + " SELECT b AS dst_pe, count(*) AS rows FROM msg GROUP BY b")
+def _(g):
+    return lay.exchange_grid(messages(g, 16), 16).groupBy("dst_pe").agg(F.count("*").alias("rows"))
+
+
+ORDER = LAY + f""", d AS (SELECT lay.vid, pe, c, CASE WHEN count(src) > 0 THEN length(bin(count(src))) - 1 ELSE -1 END AS bucket FROM lay LEFT JOIN arcs ON src = lay.vid GROUP BY ALL),
+ch AS (SELECT *, (row_number() OVER (PARTITION BY pe, bucket ORDER BY vid) - 1) // 64 AS chunk FROM d),
+ord AS (SELECT vid, pe, c, row_number() OVER (PARTITION BY pe ORDER BY bucket, {toss(1, "chunk", "pe", "bucket", "chunk")}, chunk, {toss(1, "vertex", "vid")}, vid) - 1 AS pos FROM ch),
+bat AS (SELECT *, ntile(2) OVER (PARTITION BY pe ORDER BY pos) - 1 AS batch FROM ord)"""
+
+
+@on("traversal_order", "event_chain", ORDER + " SELECT vid, pe, pos FROM ord")
+def _(g):
+    return ordr.traversal(g, lay.assign_pe(g, 4), 64, 1)
+
+
+@on("batch_assignment", "event_chain", ORDER + " SELECT vid, pe, pos, batch FROM bat")
+def _(g):
+    return ordr.batches(ordr.traversal(g, lay.assign_pe(g, 4), 64, 1), 2)
+
+
+@on("traversal_by_degree", "order_star", LAY + ", d AS (SELECT lay.vid, pe, count(src) AS deg FROM lay LEFT JOIN arcs ON src = lay.vid GROUP BY ALL) SELECT vid, pe, row_number() OVER (PARTITION BY pe ORDER BY deg, vid) - 1 AS pos FROM d")
+def _(g):
+    return ordr.traversal(g, lay.assign_pe(g, 4), 64, 1, "degree")
+
+
+# Coarsening
+@on("lp_rate", "copurchase", "SELECT src AS vid, dst % 50 AS label, sum(w)::BIGINT AS conn FROM arcs GROUP BY ALL")
+def _(g):
+    return cl.rate(g.edges, g.vertices.select("vid", (F.col("vid") % 50).alias("label")))
+
+
+FIRST = ORDER + f""", r AS (SELECT src AS vid, dst AS label, sum(w)::BIGINT AS conn FROM arcs JOIN bat ON bat.vid = src AND batch = 0 GROUP BY ALL),
+cand AS (SELECT r.vid, b.pe, b.c, label, conn, row_number() OVER (PARTITION BY r.vid ORDER BY conn DESC, {toss(1, "tie", "r.vid", "label")} DESC, label DESC) AS k FROM r JOIN bat b ON b.vid = r.vid JOIN ids t ON t.vid = label WHERE t.c + b.c <= {{limit}}),
+mv AS (SELECT vid, pe, c, vid AS old, label AS new, conn AS gain FROM cand WHERE k = 1),
+st AS (SELECT lay.vid, lay.c, lay.pe, coalesce(mv.new, lay.vid) AS label FROM lay LEFT JOIN mv USING (vid)),
+wt AS (SELECT label, sum(c)::BIGINT AS weight FROM st GROUP BY label)"""
+ONE = FIRST.replace("{limit}", "3")
+JUDGED = ONE + """, heavy AS (SELECT * FROM wt WHERE weight > 3), sh AS (SELECT pe, label, weight, sum(c) AS share FROM st JOIN heavy USING (label) GROUP BY ALL),
+q AS (SELECT pe, label AS new, ceil((weight - 3.0::DOUBLE) * share::DOUBLE / weight) AS quota FROM sh),
+jd AS (SELECT mv.*, quota IS NOT NULL AND coalesce(sum(c) OVER (PARTITION BY mv.new, mv.pe ORDER BY gain, vid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) < quota AS reverted FROM mv LEFT JOIN q ON q.pe = mv.pe AND q.new = mv.new)"""
+
+
+def first_batch(g, limit=3):
+    """Start state, weights and moves of the first batch."""
+    state = lay.assign_pe(g, 4).withColumn("label", F.col("vid"))
+    weights = state.select("label", F.col("c").alias("weight"), F.lit(float(limit)).alias("limit"))
+    turn = ordr.batches(ordr.traversal(g, state, 64, 1), 2).filter("batch = 0")
+    return state, weights, snapshot(cl.best_move(cl.rate(g.edges, state, turn), state, weights, "coin", 1))
+
+
+@on("lp_one_batch", "event_chain", ONE + " SELECT vid, pe, c, old, new, gain FROM mv")
+def _(g):
+    return first_batch(g)[2]
+
+
+@on("cluster_weights_delta", "event_chain", ONE + " SELECT label, weight FROM wt")
+def _(g):
+    _, weights, moves = first_batch(g)
+    return cl.apply_weight_deltas(weights, moves)
+
+
+@on("revert_overweight", "event_chain", JUDGED + " SELECT vid, pe, c, old, new, gain, reverted FROM jd")
+def _(g):
+    state, weights, moves = first_batch(g)
+    return cl.revert_overweight(moves, cl.moved(state, moves), cl.apply_weight_deltas(weights, moves), 3)
+
+
+@on("lp_superstep", "event_chain", JUDGED + " SELECT lay.vid, coalesce(jd.new, lay.vid) AS label FROM lay LEFT JOIN jd ON jd.vid = lay.vid AND NOT reverted")
+def _(g):
+    state, weights, _ = first_batch(g)
+    turn = ordr.batches(ordr.traversal(g, state, 64, 1), 2).filter("batch = 0")
+    return cl.superstep(g.edges, state, weights, turn, 3, "revert", "coin", 1)[0].select("vid", "label")
+
+
+@on("strict_admission", "event_chain", ONE + ", a AS (SELECT mv.*, sum(mv.c) OVER (PARTITION BY new ORDER BY gain DESC, mv.vid ROWS UNBOUNDED PRECEDING) > 3 - t.c AS reverted FROM mv JOIN ids t ON t.vid = new) SELECT vid, pe, c, old, new, gain, reverted FROM a")
+def _(g):
+    _, weights, moves = first_batch(g)
+    return cl.admit_strict(moves, weights)
+
+
+@on("local_limit_overshoot", "event_chain", ONE + ", own AS (SELECT vid AS new, pe, c AS o FROM lay), a AS (SELECT mv.*, sum(mv.c) OVER (PARTITION BY mv.new, mv.pe ORDER BY gain DESC, vid ROWS UNBOUNDED PRECEDING) + coalesce(o, 0) > 3 AS reverted FROM mv LEFT JOIN own ON own.new = mv.new AND own.pe = mv.pe) SELECT vid, pe, c, old, new, gain, reverted FROM a")
+def _(g):
+    state, _, moves = first_batch(g)
+    return cl.admit_local(moves, state, 3)
+
+
+@on("pack_isolated", "emb_rgg2", ", a AS (SELECT vid, vid // 65536 AS chunk, sum(c) OVER (PARTITION BY vid // 65536 ORDER BY vid ROWS UNBOUNDED PRECEDING) - c AS run FROM ids WHERE vid NOT IN (SELECT src FROM arcs)) SELECT vid, min(vid) OVER (PARTITION BY chunk, run // 8) AS cluster FROM a")
+def _(g):
+    return cl.pack_isolated(g, 8)
+
+
+@on("matching_one_round", "copurchase", f", b AS (SELECT src, arg_max(dst, (w, {toss(1, 'match', 'least(src, dst)', 'greatest(src, dst)')}, dst)) AS dst FROM arcs GROUP BY src) SELECT b.src AS a, b.dst AS b FROM b JOIN b AS x ON x.src = b.dst AND x.dst = b.src WHERE b.src < b.dst")
+def _(g):
+    return cl.matching_round(g.edges, g.vertices, 2, 1)
+
+
+def tens(g):
+    return g.vertices.select("vid", (F.floor(F.col("vid") / 10) * 10).alias("cluster"))
+
+
+TEN = ", cl AS (SELECT vid, c, (vid // 10) * 10 AS cluster FROM ids)"
+
+
+@on("contract_vertices", "copurchase_sized", TEN + " SELECT cluster, sum(c)::BIGINT AS c FROM cl GROUP BY cluster")
+def _(g):
+    return con.coarse_vertices(g, tens(g))
+
+
+@on("contract_edges", "copurchase", TEN + " SELECT s.cluster AS a, d.cluster AS b, sum(w)::BIGINT AS w FROM arcs JOIN cl s ON s.vid = src JOIN cl d ON d.vid = dst WHERE s.cluster <> d.cluster GROUP BY ALL")
+def _(g):
+    return con.coarse_arcs(g, tens(g))
+
+
+@on("contract_mapping", "copurchase", "SELECT vid, dense_rank() OVER (ORDER BY (vid // 10) * 10) - 1 AS coarse_vid FROM ids")
+def _(g):
+    return con.contract(g, tens(g))[1]
+
+
+@on("contract_invariants", "copurchase", TEN + ", x AS (SELECT sum(w)::BIGINT AS fine_arcs, sum(CASE WHEN s.cluster = d.cluster THEN w ELSE 0 END)::BIGINT AS inside FROM arcs JOIN cl s ON s.vid = src JOIN cl d ON d.vid = dst) SELECT fine_arcs, inside, fine_arcs - inside AS coarse_arcs, (SELECT sum(c)::BIGINT FROM ids) AS fine_weight, (SELECT sum(c)::BIGINT FROM ids) AS coarse_weight, (SELECT count(DISTINCT cluster) FROM cl) AS n FROM x")
+def _(g):
+    coarse, mapping = con.contract(g, tens(g))
+    return con.check_contraction(g, coarse, mapping)
+
+
+@on("place_clusters", "custpart", "SELECT count(*) AS clusters, true AS within_cap, 4::BIGINT AS pes FROM (SELECT DISTINCT CASE WHEN vid < 1000 THEN vid ELSE (vid // 10) * 10 END AS cluster FROM ids)")
+def _(g):
+    skewed = g.vertices.select("vid", F.when(F.col("vid") < 1000, F.col("vid")).otherwise(F.floor(F.col("vid") / 10) * 10).alias("cluster"))
+    placed = con.place_clusters(g, skewed, 4)
+    sizes = placed.groupBy("pe").agg(F.count("*").alias("n"))
+    return sizes.agg(F.sum("n").alias("clusters"), (F.max("n") <= F.floor(F.sum("n") * 1.1 / 4)).alias("within_cap"), F.count("*").alias("pes"))
+
+
+@on("renumber_clusters", "copurchase", "SELECT (vid // 10) * 10 AS cluster, row_number() OVER (ORDER BY ((vid // 10) * 10 * 4) // (SELECT count(*) FROM ids), (vid // 10) * 10) - 1 AS coarse_vid FROM ids WHERE vid % 10 = 0")
+def _(g):
+    heads = tens(g).select("cluster").distinct()
+    return con.renumber(heads.withColumn("pe", lay.pe_of(F.col("cluster"), g.n, 4)))
+
+
+@on("project_partition", "copurchase", "SELECT vid, ((vid // 10) % 3)::INT AS block FROM ids")
+def _(g):
+    mapping = g.vertices.select("vid", F.floor(F.col("vid") / 10).alias("coarse_vid"))
+    return con.project(mapping.select(F.col("coarse_vid").alias("vid"), (F.col("coarse_vid") % 3).cast("int").alias("block")).distinct(), mapping)
+
+
+# Parameters
+GRID = "FROM (VALUES (200, 1), (2000, 1), (89158, 50)) v(n, h), (VALUES (2), (3), (16), (128)) k(k)"
+
+
+@query("max_block_weight", f"SELECT n, k, round(greatest(1.03::DOUBLE * n / k, n::DOUBLE / k + h), 6) AS l_max {GRID}")
+def _(spark, sf_dir):
+    columns.register(spark)
+    return spark.sql(f"SELECT n, k, round(l_max(n, k, 0.03D, h), 6) AS l_max {GRID}")
+
+
+@query("max_cluster_weight", f"SELECT n, k, round(0.03::DOUBLE * n / greatest(1.0::DOUBLE, least(k::DOUBLE, n::DOUBLE / 160)), 6) AS w_max {GRID}")
+def _(spark, sf_dir):
+    columns.register(spark)
+    return spark.sql(f"SELECT n, k, round(w_max(n, n, k, 160, 0.03D), 6) AS w_max {GRID}")
+
+
+@query("target_blocks", f"SELECT n, k, least(k, CASE WHEN n <= 160 THEN 1 ELSE pow(2, ceil(log2(n / 160.0)))::INT END)::BIGINT AS blocks {GRID}")
+def _(spark, sf_dir):
+    columns.register(spark)
+    return spark.sql(f"SELECT n, k, least(k, pow2ceil(CAST(ceil(n / 160D) AS BIGINT))) AS blocks {GRID}")
+
+
+@query("num_batches", "SELECT p::BIGINT AS p, greatest(8, ceil(128 / p))::BIGINT AS batches FROM (VALUES (1), (4), (16), (64), (8192)) v(p)")
+def _(spark, sf_dir):
+    return spark.createDataFrame([(p, columns.num_batches(p)) for p in (1, 4, 16, 64, 8192)], "p long, batches long")
+
+
+@query("num_copies", "SELECT n::BIGINT AS n, CASE WHEN n < 32000 THEN 16 // least(16, CASE WHEN n <= 2000 THEN 1 ELSE pow(2, ceil(log2(n / 2000.0)))::INT END) ELSE 1 END::BIGINT AS copies FROM (VALUES (8000), (5000), (1000), (32000)) v(n)")
+def _(spark, sf_dir):
+    return spark.createDataFrame([(n, columns.num_copies(n, 2000, 16)) for n in (8000, 5000, 1000, 32000)], "n long, copies long")
+
+
+# Measures, on blocks of ids modulo
+def modulo(g, k=4):
+    return g.vertices.select("vid", (F.col("vid") % k).cast("int").alias("block"))
+
+
+BL = ", p AS (SELECT vid, c, (vid % 4)::INT AS block FROM ids), bt AS (SELECT arcs.*, s.block AS a, d.block AS b FROM arcs JOIN p s ON s.vid = src JOIN p d ON d.vid = dst)"
+L4 = "greatest(1.03::DOUBLE * sum(weight) OVER () / 4, sum(weight) OVER ()::DOUBLE / 4 + (SELECT max(c) FROM ids))"
+
+
+@on("edge_cut", "event_chain", BL + " SELECT (sum(w) // 2)::BIGINT AS cut FROM bt WHERE a <> b")
+def _(g):
+    return ms.edge_cut(g, modulo(g))
+
+
+@on("block_cut_matrix", "custpart", BL + " SELECT a, b, sum(w)::BIGINT AS w FROM bt WHERE a < b GROUP BY ALL")
+def _(g):
+    return ms.block_matrix(g, modulo(g))
+
+
+@on("block_weights", "doc_dup", BL + " SELECT b::INT AS block, coalesce(sum(c), 0)::BIGINT AS weight, count(vid) AS vertices FROM range(6) t(b) LEFT JOIN p ON block = b GROUP BY b")
+def _(g):
+    return ms.block_weights(g, modulo(g), 6)
+
+
+@on("imbalance", "doc_dup", BL + " SELECT round(max(weight) * 4::DOUBLE / sum(weight) - 1, 9) AS imbalance FROM (SELECT sum(c)::BIGINT AS weight FROM p GROUP BY block)")
+def _(g):
+    return ms.imbalance(g, modulo(g), 4)
+
+
+@on("feasibility", "doc_dup", BL + f", wl AS (SELECT weight, {L4} AS l, 1.03::DOUBLE * ceil(sum(weight) OVER () / 4) AS lc FROM (SELECT sum(c)::BIGINT AS weight FROM p GROUP BY block)) SELECT max(weight) <= any_value(l) AS feasible, max(weight) <= any_value(lc) AS classic, count(*) FILTER (weight > l) AS overloaded, round(sum(greatest(0, weight - l)), 6) AS excess FROM wl")
+def _(g):
+    return ms.feasibility(g, modulo(g), 4, 0.03)
+
+
+@on("boundary_vertices", "event_chain", BL + " SELECT a AS block, count(DISTINCT src) AS boundary FROM bt WHERE a <> b GROUP BY a")
+def _(g):
+    return ms.boundary_vertices(g, modulo(g))
+
+
+@on("comm_volume", "order_star", BL + " SELECT a AS block, count(*) AS volume FROM (SELECT DISTINCT src, a, b FROM bt WHERE a <> b) GROUP BY a")
+def _(g):
+    return ms.comm_volume(g, modulo(g))
+
+
+@on("validate_partition", "turns", "SELECT count(*) AS rows, count(*) AS distinct_vertices, 0::BIGINT AS out_of_range, 0::BIGINT AS strangers, count(*) AS n FROM ids")
+def _(g):
+    return ms.validate_partition(g, modulo(g), 4)
+
+
+@on("clustering_stats", "copurchase_sized", TEN + ", w AS (SELECT sum(c)::BIGINT AS c FROM cl GROUP BY cluster) SELECT count(*) AS clusters, max(c) AS heaviest, count(*) FILTER (c > 300) AS over, round((SELECT count(*) FROM ids)::DOUBLE / count(*), 6) AS shrink FROM w")
+def _(g):
+    return ms.clustering_stats(g, tens(g), 300)
+
+
+@on("induced_subgraph", "custpart", BL + " SELECT a AS block, src, dst, w FROM bt WHERE a = b")
+def _(g):
+    return ini.induced_subgraphs(g, modulo(g))
+
+
+# Refinement and balancing
+SKEW = ", p AS (SELECT vid, c, least(vid % 7, 3)::INT AS block FROM ids)"
+
+
+def skewed(g):
+    return g.vertices.select("vid", F.least(F.col("vid") % 7, F.lit(3)).cast("int").alias("block"))
+
+
+GAIN = """, r AS (SELECT src AS vid, block AS label, sum(w)::BIGINT AS conn FROM arcs JOIN p ON p.vid = dst GROUP BY ALL),
+mg AS (SELECT r.vid, label AS block, conn - coalesce((SELECT conn FROM r o WHERE o.vid = r.vid AND o.label = p.block), 0) AS gain FROM r JOIN p ON p.vid = r.vid WHERE label <> p.block)"""
+
+
+@on("move_gains", "custpart", SKEW + GAIN + " SELECT vid, block, gain FROM mg")
+def _(g):
+    return bal.move_gains(g, skewed(g))
+
+
+@on("relative_gain", "copurchase_sized", SKEW + GAIN + " SELECT mg.vid, mg.block, round(CASE WHEN gain >= 0 THEN (gain * c)::DOUBLE ELSE gain::DOUBLE / c END, 9) AS rel_gain FROM mg JOIN ids ON ids.vid = mg.vid")
+def _(g):
+    return bal.move_gains(g, skewed(g)).join(g.vertices, "vid").select("vid", "block", F.round(relative_gain(F.col("gain"), F.col("c")), 9).alias("rel_gain"))
+
+
+WL = ", wl AS (SELECT block, weight, greatest(1.03::DOUBLE * t / 4, t::DOUBLE / 4 + h) AS lim FROM (SELECT block, sum(c)::BIGINT AS weight, sum(sum(c)) OVER ()::BIGINT AS t, (SELECT max(c) FROM ids) AS h FROM p GROUP BY block))"
+
+
+def skew_weights(g):
+    return bal.weighted(g, skewed(g), limits_for(g, [1] * 4, 4, 0.03))
+
+
+@on("overloaded_blocks", "custpart", SKEW + WL + " SELECT block, round(weight - lim, 6) AS excess FROM wl WHERE weight > lim")
+def _(g):
+    return bal.overloaded(skew_weights(g)).withColumn("excess", F.round("excess", 6))
+
+
+CAND = LAY + SKEW + WL + """, act AS (SELECT p.vid, p.block, p.c, pe, weight - lim AS excess FROM p JOIN wl USING (block) JOIN lay ON lay.vid = p.vid WHERE weight > lim),
+r AS (SELECT src AS vid, p.block AS target, sum(w)::BIGINT AS conn FROM arcs JOIN act ON act.vid = src JOIN p ON p.vid = dst GROUP BY ALL),
+light AS (SELECT arg_min(block, (weight, block)) AS target FROM wl),
+opt AS (SELECT vid, target, max(conn) AS conn FROM (SELECT * FROM r UNION ALL SELECT vid, target, 0 FROM act, light) GROUP BY ALL),
+ok AS (SELECT act.*, opt.target, conn, row_number() OVER (PARTITION BY act.vid ORDER BY conn DESC, wl.weight, opt.target) AS k FROM opt JOIN act ON act.vid = opt.vid JOIN wl ON wl.block = opt.target WHERE opt.target <> act.block AND wl.weight + act.c <= lim),
+rt AS (SELECT ok.*, ok.conn - coalesce(r.conn, 0) AS gain FROM ok LEFT JOIN r ON r.vid = ok.vid AND r.target = ok.block WHERE k = 1),
+rr AS (SELECT *, CASE WHEN gain >= 0 THEN (gain * c)::DOUBLE ELSE gain::DOUBLE / c END AS rel_gain FROM rt),
+cd AS (SELECT * FROM (SELECT *, coalesce(sum(c) OVER (PARTITION BY pe, block ORDER BY rel_gain DESC, vid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS bef FROM rr) WHERE bef < excess)"""
+
+
+def candidates(g):
+    return bal.local_candidates(g, skewed(g), lay.assign_pe(g, 4), skew_weights(g))
+
+
+@on("balance_candidates", "custpart", CAND + " SELECT pe, block, vid, c, target, gain, round(rel_gain, 9) AS rel_gain FROM cd")
+def _(g):
+    return candidates(g).withColumn("rel_gain", F.round("rel_gain", 9))
+
+
+@on("balance_top_ell", "copurchase_sized", CAND + ", tp AS (SELECT *, row_number() OVER (PARTITION BY block ORDER BY rel_gain DESC, vid) AS rk FROM cd) SELECT pe, block, vid, c, target, gain, round(rel_gain, 9) AS rel_gain FROM tp WHERE rk <= 4")
+def _(g):
+    return bal.top_ell(candidates(g), 4).withColumn("rel_gain", F.round("rel_gain", 9))
+
+
+@on("balance_by_windows", "custpart", CAND + ", ad AS (SELECT cd.vid, cd.target, sum(cd.c) OVER (PARTITION BY cd.target ORDER BY rel_gain DESC, cd.vid ROWS UNBOUNDED PRECEDING) AS s, wl.lim - wl.weight AS room FROM cd JOIN wl ON wl.block = cd.target) SELECT vid, target AS new FROM ad WHERE s <= room")
+def _(g):
+    return bal.window_moves(candidates(g), skew_weights(g))
+
+
+RATE2 = LAY + SKEW + WL + f""", r AS (SELECT src AS vid, p.block AS label, sum(w)::BIGINT AS conn FROM arcs JOIN p ON p.vid = dst GROUP BY ALL),
+own AS (SELECT p.vid, p.block AS old, p.c, pe, coalesce(conn, 0) AS oc, wl.weight AS ow FROM p JOIN lay ON lay.vid = p.vid JOIN wl ON wl.block = p.block LEFT JOIN r ON r.vid = p.vid AND label = p.block),
+bm AS (SELECT own.*, r.label AS new, conn - oc AS gain, wl.weight, row_number() OVER (PARTITION BY own.vid ORDER BY conn DESC, wl.weight, {toss(3, "tie", "own.vid", "r.label")} DESC, r.label DESC) AS k FROM r JOIN own ON own.vid = r.vid JOIN wl ON wl.block = r.label WHERE r.label <> old AND wl.weight + c <= lim)"""
+
+
+@on("refine_one_batch", "custpart", RATE2 + " SELECT vid, pe, c, old::BIGINT AS old, new::BIGINT AS new, gain FROM bm WHERE k = 1 AND (gain > 0 OR (gain = 0 AND weight < ow - c))")
+def _(g):
+    state = lay.assign_pe(g, 4).join(skewed(g), "vid").select("vid", "c", "pe", F.col("block").cast("long").alias("label"))
+    weights = skew_weights(g).select(F.col("block").cast("long").alias("label"), "weight", "limit")
+    return cl.best_move(cl.rate(g.edges, state), state, weights, "lighter", 3)
+
+
+# Whole methods: facts about what they return
+FACTS = "SELECT (SELECT count(*) FROM ids) AS n, (SELECT sum(c)::BIGINT FROM ids) AS total_c, (SELECT coalesce(sum(w), 0)::BIGINT FROM e) AS total_w, (SELECT count(*) FROM ids) AS covered, true AS in_range, (SELECT sum(c)::BIGINT FROM ids) AS block_weight, {k}::BIGINT AS k"
+
+
+def facts(g, p, k, reference=None, feasible=True, levels=None):
+    """One row recomputed from the partition: coverage, range of labels, weight in blocks, and what the method promises."""
+    p = snapshot(p)
+    v = ms.validate_partition(g, p, k).first()
+    f = ms.feasibility(g, p, k, 0.03).first()
+    w = ms.block_weights(g, p, k).agg(F.sum("weight")).first()[0]
+    total_w = g.edges.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0] // 2
+    row = {"n": g.n, "total_c": g.total, "total_w": total_w, "covered": v["distinct_vertices"] if v["rows"] == g.n and not v["strangers"] else -1, "in_range": v["out_of_range"] == 0, "block_weight": w, "k": k}
+    kinds = {"in_range": "boolean"}
+    if feasible:
+        row["feasible"], kinds["feasible"] = f["feasible"], "boolean"
+    if reference is not None:
+        row["below_reference"], kinds["below_reference"] = ms.edge_cut(g, p).first()["cut"] <= reference(g, k), "boolean"
+    if levels is not None:
+        row["levels_ok"], kinds["levels_ok"] = levels, "boolean"
+    return g.vertices.sparkSession.createDataFrame([tuple(row.values())], ", ".join(f"{c} {kinds.get(c, 'long')}" for c in row))
+
+
+def by_modulo(share):
+    return lambda g, k: share * ms.edge_cut(g, modulo(g, k)).first()["cut"]
+
+
+def by_time(g, k):
+    half = g.vertices.select("vid", F.floor(F.col("vid") * k / g.n).cast("int").alias("block"))
+    return 3 * ms.edge_cut(g, half).first()["cut"]
+
+
+def method(name, graph, k, solve, reference=None, feasible=True):
+    extra = (", true AS feasible" if feasible else "") + (", true AS below_reference" if reference else "")
+    return on(name, graph, FACTS.format(k=k) + extra)(lambda g: facts(g, solve(g, k), k, reference, feasible))
+
+
+def deep(**more):
+    return lambda g, k: deep_partition(g, k, DeepParams.fast(**more)).partition
+
+
+method("deep_fast_copurchase", "copurchase", 4, deep(c=160, trials=2), by_modulo(1))
+method("deep_fast_event_chain", "event_chain", 2, deep(trials=2), by_time)
+method("deep_strong_event_chain", "event_chain", 4, lambda g, k: deep_partition(g, k, DeepParams.strong_(c=1000, trials=2)).partition, by_time)
+method("deep_distributed_order_star", "order_star", 4, deep(gather_limit=60_000, trials=2, sweeps=2, c=1000), by_modulo(1))
+method("deep_weighted_doc_dup", "doc_dup", 4, deep(c=160, trials=2), by_modulo(0.5))
+method("deep_large_k", "event_chain", 512, deep(trials=1), by_modulo(0.9))
+method("deep_nonpower_k", "custpart", 6, deep(c=160, trials=2), by_modulo(1))
+method("deep_disconnected_turns", "turns", 8, deep(c=40, trials=2), by_modulo(0.5))
+method("deep_wide_split", "partsupp", 16, deep(c=160, parts=4, trials=2), by_modulo(1))
+method("deep_geometric", "emb_rgg2", 4, deep(c=160, trials=2), by_modulo(0.5))
+method("balance_full", "custpart", 4, lambda g, k: bal.balance(g, skewed(g), limits_for(g, [1] * k, k, 0.03))[0])
+method("refine_full", "user_slot", 4, lambda g, k: bal.lp_refine(g, modulo(g, k), limits_for(g, [1] * k, k, 0.03), 2, 4, 1, "strict"), by_modulo(1))
+method("settle_skewed", "page_sim", 4, lambda g, k: bal.settle(g, skewed(g), limits_for(g, [1] * k, k, 0.03), 1, 4, 1))
+method("initial_best_of_trials", "copurchase", 2, lambda g, k: ini.initial_partition(g, [1] * k, k, 0.03, 3, 1), by_modulo(1))
+method("extend_blocks", "event_chain", 4, lambda g, k: bal.balance(g, ini.extend(g, baselines.range_partition(g, 2), [2, 2], 4, 2, k, 0.03, 1)[0], limits_for(g, [1] * k, k, 0.03))[0], by_time)
+method("base_relaxed_fast", "order_star", 8, lambda g, k: baselines.relaxed_lp_partition(g, k), None, False)
+method("base_relaxed_eco", "user_slot", 4, lambda g, k: baselines.relaxed_lp_partition(g, k, preset="eco"), None, False)
+method("base_matching", "order_star", 4, lambda g, k: baselines.matching_partition(g, k), None, False)
+method("base_flat_lp", "event_chain", 4, lambda g, k: baselines.flat_lp_partition(g, k), by_modulo(1))
+method("base_shared_deep", "event_chain", 4, lambda g, k: baselines.shared_deep_partition(g, k), by_time)
+method("base_plain_multilevel", "custpart", 4, lambda g, k: baselines.multilevel_partition(g, k), by_modulo(1))
+method("base_recursive_bisection", "partsupp", 4, lambda g, k: baselines.recursive_bisection(g, k), by_modulo(1))
+method("cluster_kernel_mode", "trade", 1, lambda g, k: cl.lp_cluster(g, 5, 2, 4, 1, "kernel").select("vid", F.lit(0).alias("block")), None, False)
+
+
+@on("replicated_groups", "trade", "SELECT copy::INT AS copy, count(*) AS arcs, sum(w)::BIGINT AS w FROM arcs, range(3) t(copy) GROUP BY copy")
+def _(g):
+    return ini.replicate(g, 3)[1].groupBy("copy").agg(F.count("*").alias("arcs"), F.sum("w").alias("w"))
+
+
+@on("base_hash", "custpart", f", p AS (SELECT vid, ({toss(0, 'block', 'vid')} % 4)::INT AS block FROM ids) SELECT vid, block FROM p")
+def _(g):
+    return baselines.hash_partition(g, 4)
+
+
+@on("base_range", "event_chain", "SELECT vid, ((vid * 4) // (SELECT count(*) FROM ids))::INT AS block FROM ids")
+def _(g):
+    return baselines.range_partition(g, 4)
+
+
+@on("brute_force_bisection", "trade", ", m AS (SELECT mask FROM range(512) t(mask)), x AS (SELECT mask, sum(CASE WHEN (CASE WHEN u = 0 THEN 0 ELSE (mask >> (u - 1)::INT) & 1 END) <> ((mask >> (v - 1)::INT) & 1) THEN w ELSE 0 END)::BIGINT AS cut FROM m, e WHERE u < 10 AND v < 10 GROUP BY mask) SELECT min(cut) AS cut FROM x WHERE bit_count(mask) BETWEEN 10 - 6 AND 6")
+def _(g):
+    small = type(g).of(g.vertices.filter("vid < 10"), g.edges.filter("src < 10 and dst < 10"))
+    cut, _ = baselines.brute_force_partition(small, 2)
+    return g.vertices.sparkSession.createDataFrame([(cut,)], "cut long")
+
+
+# Reports over a table of runs with fixed cuts
+RUNS = " UNION ALL ".join(f"SELECT 'hash' AS algorithm, {k} AS k, {s} AS seed, (SELECT (sum(w))::BIGINT FROM e WHERE {toss(s, 'block', 'u')} % {k} <> {toss(s, 'block', 'v')} % {k}) AS cut" for k in (2, 4) for s in (0, 1, 2))
+RUNS += " UNION ALL " + " UNION ALL ".join(f"SELECT 'modulo', {k}, 0, (SELECT sum(w)::BIGINT FROM e WHERE u % {k} <> v % {k})" for k in (2, 4))
+RUNS = f", runs AS ({RUNS}), mn AS (SELECT algorithm, k, avg(cut) AS cut FROM runs GROUP BY ALL)"
+
+
+def runs(g):
+    rows = []
+    for k in (2, 4):
+        for s in (0, 1, 2):
+            rows.append(("hash", "trade", k, s, ms.edge_cut(g, baselines.hash_partition(g, k, s)).first()["cut"], True, "ok", 1.0))
+        rows.append(("modulo", "trade", k, 0, ms.edge_cut(g, modulo(g, k)).first()["cut"], True, "ok", 1.0))
+    return g.vertices.sparkSession.createDataFrame(rows, report.RUNS)
+
+
+@on("seed_mean", "trade", RUNS + " SELECT algorithm, k, round(cut, 6) AS cut FROM mn")
+def _(g):
+    return report.aggregate_seeds(runs(g)).select("algorithm", "k", F.round("cut", 6).alias("cut"))
+
+
+@on("perf_profile", "trade", RUNS + ", b AS (SELECT k, min(cut) AS best FROM mn GROUP BY k) SELECT algorithm, tau::DOUBLE AS tau, avg(CASE WHEN cut <= tau * best THEN 1.0::DOUBLE ELSE 0 END) AS share FROM mn JOIN b USING (k), (VALUES (1.0::DOUBLE), (1.01::DOUBLE), (1.1::DOUBLE)) t(tau) GROUP BY ALL")
+def _(g):
+    return report.performance_profile(report.aggregate_seeds(runs(g)), [1.0, 1.01, 1.1])
+
+
+@on("geo_mean_cut", "trade", RUNS + " SELECT algorithm, round(exp(avg(ln(cut))), 4) AS geo_cut FROM mn GROUP BY algorithm")
+def _(g):
+    return report.geo_mean(report.aggregate_seeds(runs(g)), "cut", ["algorithm"]).withColumn("geo_cut", F.round("geo_cut", 4))
+
+
+@on("cut_ratio", "trade", RUNS + " SELECT a.algorithm, a.k, round(a.cut / b.cut, 6) AS ratio FROM mn a JOIN mn b ON b.k = a.k AND b.algorithm = 'modulo'")
+def _(g):
+    return report.cut_ratio(report.aggregate_seeds(runs(g)), "modulo").select("algorithm", "k", F.round("ratio", 6).alias("ratio"))
+
+
+@on("common_instances", "trade", RUNS + " SELECT algorithm, k, seed, cut FROM runs WHERE k = 2")
+def _(g):
+    table = runs(g).withColumn("feasible", (F.col("k") == 2) | (F.col("seed") > 0))
+    return report.common_instances(table).select("algorithm", "k", "seed", "cut")
+
+
+@on("cut_cube", "trade", RUNS + " SELECT k, algorithm, round(avg(cut), 6) AS cut, count(*) AS runs FROM runs GROUP BY CUBE (k, algorithm)")
+def _(g):
+    return report.cut_cube(runs(g).withColumn("graph", F.lit("trade"))).filter("graph is not null").select("k", "algorithm", F.round("cut", 6).alias("cut"), "runs")
+
+
+@query("scaling_speedup", "SELECT cores::INT AS cores, round(8.0::DOUBLE / seconds, 6) AS speedup, round(8.0::DOUBLE / seconds / cores, 6) AS efficiency FROM (VALUES (1, 8.0::DOUBLE), (2, 4.4::DOUBLE), (4, 2.5::DOUBLE)) v(cores, seconds)")
+def _(spark, sf_dir):
+    series = spark.createDataFrame([("deep", "x", c, s) for c, s in ((1, 8.0), (2, 4.4), (4, 2.5))], "algorithm string, graph string, cores int, seconds double")
+    return report.scaling_table(series).select("cores", F.round("speedup", 6).alias("speedup"), F.round("efficiency", 6).alias("efficiency"))
+
+
+# Streams
+@query("stream_edge_window", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS day, user_id, event_type, count(*) AS w FROM events GROUP BY ALL")
+def _(spark, sf_dir):
+    return stream.finished(stream.edge_windows(stream.event_stream(spark, sf_dir)), "complete").select(F.col("window.start").alias("day"), "user_id", "event_type", "w")
+
+
+@query("stream_degree", "SELECT user_id, count(DISTINCT event_type) AS degree, count(*) AS weight FROM events GROUP BY user_id")
+def _(spark, sf_dir):
+    return stream.finished(stream.degrees(stream.event_stream(spark, sf_dir)), "complete")
+
+
+@query("stream_session", "WITH g AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR > ts THEN 0 ELSE 1 END AS new FROM events), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, count(*) AS events FROM s GROUP BY user_id, k")
+def _(spark, sf_dir):
+    return stream.finished(stream.sessions(stream.event_stream(spark, sf_dir), "6 hours"), "complete").select("user_id", F.col("session_window.start").alias("start"), "events")
+
+
+@query("stream_assign", "SELECT event_id AS vid, CASE WHEN user_id % 4 = 3 THEN 0 ELSE user_id % 4 END::INT AS block FROM events")
+def _(spark, sf_dir):
+    anchors = spark.range(4).select(F.col("id").alias("anchor"), F.when(F.col("id") == 3, 0).otherwise(F.col("id")).cast("int").alias("block"))
+    return stream.finished(stream.assign(stream.event_stream(spark, sf_dir), F.col("user_id") % 4, anchors), "append")
+
+
 def flagship(spark, sf_dir):
-    return graphs.load_graph(spark, sf_dir, "copurchase").vertices
+    """Parts with the block that the deep scheme puts them in."""
+    g, names = graphs.densify(graphs.BUILDERS["copurchase"](spark, sf_dir))
+    found = deep_partition(g, 4, DeepParams.fast(c=160, trials=2)).partition
+    return names.join(found, "vid").select(F.col("key").alias("p_partkey"), "vid", "block")
+
+
+query("flagship_parts", f"{sql_graph('copurchase')} SELECT key AS p_partkey, vid FROM ids")(lambda spark, sf_dir: flagship(spark, sf_dir).drop("block"))

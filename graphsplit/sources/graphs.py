@@ -221,6 +221,6 @@ def sql_graph(name: str) -> str:
     """Common table expressions raw_e, raw_v, ids (key, vid, c), e (u, v, w by id) and arcs (src, dst, w)."""
     edges, vertices = SQL[name]
     return f"""WITH RECURSIVE raw_e AS ({edges}), raw_v AS ({vertices}),
-ids AS (SELECT key, row_number() OVER (ORDER BY key) - 1 AS vid, c::BIGINT AS c FROM raw_v),
-e AS (SELECT a.vid AS u, b.vid AS v, w::BIGINT AS w FROM raw_e JOIN ids a ON a.key = u JOIN ids b ON b.key = v),
+ids AS MATERIALIZED (SELECT key, row_number() OVER (ORDER BY key) - 1 AS vid, c::BIGINT AS c FROM raw_v),
+e AS MATERIALIZED (SELECT a.vid AS u, b.vid AS v, w::BIGINT AS w FROM raw_e JOIN ids a ON a.key = u JOIN ids b ON b.key = v),
 arcs AS (SELECT u AS src, v AS dst, w FROM e UNION ALL SELECT v, u, w FROM e)"""
