@@ -71,9 +71,11 @@ def shingles(text: str | None, width: int) -> np.ndarray:
 
 def signatures(sets: list[np.ndarray], m: int) -> np.ndarray:
     """SuperMinHash registers, a row for each non-empty set: the rank's number above 56 random bits, the least offered."""
+    if not sets:
+        return np.zeros((0, m), np.uint64)
     sizes = np.asarray([len(s) for s in sets])
     out = np.full(len(sets) * m, np.iinfo(np.uint64).max, np.uint64)
-    element, of = np.concatenate(sets) if sets else np.zeros(0, np.uint64), np.repeat(np.arange(len(sets)), sizes)
+    element, of = np.concatenate(sets), np.repeat(np.arange(len(sets)), sizes)
     order = None  # of the registers, by element; made when a second round is needed
     for j in range(m):
         random = mixed(element + U((j + 1) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))

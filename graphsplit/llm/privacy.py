@@ -143,7 +143,7 @@ def span_classifier(groups: list[tuple[int, int, int]], rounds: int = 400) -> li
     for code, _, n in groups:
         counts[code] = counts.get(code, 0) + n
     real = reliabilities(counts)
-    x = np.asarray([inputs(c, b) for c, b, _ in groups]).reshape(len(groups), -1)
+    x = np.asarray([inputs(c, b) for c, b, _ in groups]).reshape(len(groups), len(inputs(0, 0)))
     n, y = np.asarray([float(g[2]) for g in groups]), np.asarray([real[g[0]] for g in groups])
     w = np.zeros(len(inputs(0, 0)))
     for _ in range(rounds if len(groups) else 0):  # Newton steps, damped by a ridge

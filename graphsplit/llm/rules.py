@@ -129,6 +129,8 @@ def learn(x: np.ndarray, y: np.ndarray, trees: int = 30, depth: int = 3, penalty
         grow(x, y - p, p * (1 - p), np.arange(len(y)), cuts, depth, least, (), found, step, 0.3)
         margin += step
     unique = list(dict.fromkeys(tuple(sorted(r)) for r in found))
+    if not unique:  # too few rows to split
+        return RuleModel(bias=float(np.log(y.mean() / (1 - y.mean()))))
     a = np.stack([np.logical_and.reduce([(x[:, j] > t) == above for j, above, t in r]) for r in unique], axis=1).astype(float)
     w, b = lasso_logistic(a, y.astype(float), penalty)
     some = np.flatnonzero(np.abs(w) > 1e-6)
