@@ -32,9 +32,9 @@ def covered(ws: Column, n: Column, window: int = WINDOW) -> Column:
     """
     hashed = F.transform(F.sequence(F.lit(1), n - (window - 1)), lambda i: F.struct(F.xxhash64(*[F.get(ws, i + (k - 1)) for k in range(window)]).alias("h"), i.alias("i")))
     same = lambda a, i, x: F.coalesce(F.get(a, i)["h"] == x["h"], F.lit(False))
-    repeats = let(F.array_sort(hashed), lambda a: F.transform(F.filter(a, lambda x, i: same(a, i - 1, x) | same(a, i + 1, x)), lambda x: x["i"]))
+    repeats = let(F.sort_array(hashed), lambda a: F.transform(F.filter(a, lambda x, i: same(a, i - 1, x) | same(a, i + 1, x)), lambda x: x["i"]))
     begin = F.struct(F.lit(0).alias("sum"), F.lit(-window).alias("last"))
-    total = F.aggregate(F.array_sort(repeats), begin, lambda acc, i: F.struct((acc["sum"] + F.least(F.lit(window), i - acc["last"])).alias("sum"), i.alias("last")))["sum"]
+    total = F.aggregate(F.sort_array(repeats), begin, lambda acc, i: F.struct((acc["sum"] + F.least(F.lit(window), i - acc["last"])).alias("sum"), i.alias("last")))["sum"]
     return F.when(n > window, total).otherwise(F.lit(0)).cast("long")
 
 
