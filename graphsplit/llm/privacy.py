@@ -46,12 +46,13 @@ def hits(text: Column, needs: str, pattern: str) -> Column:
     empty = F.expr("cast(array() as array<struct<s:int,e:int,hit:string,before:string,after:string>>)")
 
     def places(g: Column, h: Column) -> Column:
+        # running places as text: appending to an array copies it value by value, which long lists of matches don't bear
         def add(acc: Column, i: Column) -> Column:
-            s = acc["at"] + F.length(F.get(g, i))
-            one = lambda s: F.struct((s + F.length(F.get(h, i))).alias("at"), F.array_append(acc["out"], F.struct(s.alias("s"), (s + F.length(F.get(h, i))).alias("e"), F.get(h, i).alias("hit"), F.right(F.get(g, i), F.lit(BEFORE)).alias("before"), F.left(F.get(g, i + 1), F.lit(1)).alias("after"))).alias("out"))
-            return let(s, one)
+            return let(acc["at"] + F.length(F.get(g, i)), lambda s: F.struct((s + F.length(F.get(h, i))).alias("at"), F.concat(acc["out"], F.lit(","), s.cast("string")).alias("out")))
 
-        return F.aggregate(F.sequence(F.lit(0), F.size(h) - 1), F.struct(F.lit(0).alias("at"), empty.alias("out")), add)["out"]
+        starts = F.aggregate(F.sequence(F.lit(0), F.size(h) - 1), F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), add)["out"]
+        one = lambda x, i: let(x.cast("int"), lambda s: F.struct(s.alias("s"), (s + F.length(F.get(h, i))).alias("e"), F.get(h, i).alias("hit"), F.right(F.get(g, i), F.lit(BEFORE)).alias("before"), F.left(F.get(g, i + 1), F.lit(1)).alias("after")))
+        return F.transform(F.slice(F.split(starts, ","), F.lit(2), F.size(h)), one)
 
     found = let(F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), lambda h: F.when(F.size(h) > 0, let(F.split(text, pattern, -1), lambda g: places(g, h))).otherwise(empty))
     return F.when(text.rlike(needs), found).otherwise(empty)
@@ -173,7 +174,7 @@ def taken(found: Column, weights: list[float], least: float = 0.5) -> Column:
 
     base = F.filter(found, lambda c: c["base"])
     more = lambda b: F.filter(found, lambda c: ~c["base"] & probable(c) & ~F.exists(b, lambda x: (x["s"] < c["e"]) & (c["s"] < x["e"])))
-    return let(base, lambda b: F.array_sort(F.array_distinct(F.transform(F.concat(b, more(b)), lambda c: F.struct(c["s"].alias("s"), c["kind"].alias("kind"), c["e"].alias("e"), c["base"].alias("base"))))))
+    return let(base, lambda b: F.sort_array(F.transform(F.concat(b, more(b)), lambda c: F.struct(c["s"].alias("s"), c["kind"].alias("kind"), c["e"].alias("e"), c["base"].alias("base")))))
 
 
 def as_text(spans: Column) -> Column:
