@@ -145,7 +145,7 @@ def test_link_trust_against_brute_force(spark):
         pages_of = {"a.example.net": 2, "b.example.com": 2, "c.org": 2, "d.com": 1, "e.com": 1, "": 2}
         for k in range(10):
             h = out[k].host
-            assert out[k][which] == pytest.approx(r[hosts.index(h)] * sum(seed.values()) / pages_of[h], abs=1e-3)
+            assert out[k][which] == pytest.approx(r[hosts.index(h)] * sum(seed.values()) / pages_of[h], abs=5e-3)  # 30 rounds at 0.85
     assert link_trust.judge(pages.limit(0)).count() == 0
 
 
