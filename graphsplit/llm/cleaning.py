@@ -38,12 +38,11 @@ def covered(ws: Column, n: Column, window: int = WINDOW) -> Column:
     return F.when(n > window, total).otherwise(F.lit(0)).cast("long")
 
 
-def line_rules(line: Column) -> dict[str, Column]:
-    """Why a line would go; each is a condition on the line's own text."""
-    n = F.regexp_count(line, F.lit(WORD))
+def line_rules(line: Column, n: Column) -> dict[str, Column]:
+    """Why a line of n words would go; each is a condition on the line's own text. What n rules out comes first, so that few lines meet the long pattern."""
     return {
-        "navigation": (F.regexp_count(line, F.lit(NAVIGATION)) >= 3) & (F.regexp_count(line, F.lit(NAVIGATION)) * 3 >= n),
-        "boilerplate": line.rlike(BOILERPLATE) & (n <= 30),
+        "navigation": F.regexp_count(line, F.lit(NAVIGATION)) * 3 >= F.greatest(F.lit(9), n),
+        "boilerplate": (n <= 30) & line.rlike(BOILERPLATE),
         "symbols": F.regexp_count(line, F.lit(SYMBOLS + "{2}")) * 4 > n,
         "shouting": F.regexp_count(line, F.lit("!!")) * 4 > n,
         "unpunctuated": (n > 3) & (n <= 8) & ~line.rlike(r"[.!?:;,…。！？\"'”»)][\x20\x09-\x0D]*$"),
@@ -54,7 +53,8 @@ def clean(docs: DataFrame, repeated_share: float = 0.3, least_words: int = 20, l
     """The rows of docs with their statistics, the cleaned text, the words it keeps and the verdicts base_failed and kept."""
     text = F.coalesce(F.col("text"), F.lit(""))
     counts = let(words(F.col("text")), lambda ws: let(F.size(ws), lambda n: F.struct(n.cast("long").alias("n_words"), F.length(F.array_join(ws, "")).cast("long").alias("word_chars"), covered(ws, n).alias("n_repeat_words"))))
-    judged = lambda x: F.struct(x.alias("line"), F.regexp_count(x, F.lit(WORD)).alias("n"), F.coalesce(reduce(lambda a, b: a | b, line_rules(x).values()), F.lit(False)).alias("bad"))
+    bad = lambda x, n: F.coalesce(reduce(lambda a, b: a | b, line_rules(x, n).values()), F.lit(False))
+    judged = lambda x: let(F.regexp_count(x, F.lit(WORD)), lambda n: F.struct(x.alias("line"), n.alias("n"), bad(x, n).alias("bad")))
     lines = let(
         F.filter(F.split(text, "\n"), lambda x: x.rlike(WORD)),
         lambda a: let(
