@@ -31,7 +31,9 @@ def read_edges(spark: SparkSession, path: str, fmt: str = "parquet", schema: str
 
 def malformed(spark: SparkSession, path: str, schema: str = EDGES, sep: str = ",") -> DataFrame:
     """The lines of a text file that don't fit the schema."""
-    return spark.read.schema(schema + ", _corrupt_record string").options(sep=sep, mode="PERMISSIVE", columnNameOfCorruptRecord="_corrupt_record").csv(path).filter("_corrupt_record is not null").select("_corrupt_record")
+    line = spark.read.text(path)
+    parsed = F.from_csv("value", schema + ", _bad string", {"sep": sep, "mode": "PERMISSIVE", "columnNameOfCorruptRecord": "_bad"})
+    return line.select(parsed.getField("_bad").alias("_corrupt_record")).filter("_corrupt_record is not null")
 
 
 def read_adjacency_text(spark: SparkSession, path: str) -> RawGraph:
