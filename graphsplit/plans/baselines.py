@@ -11,14 +11,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphsplit.functions.columns import coin, l_max, max_cluster_weight
-from graphsplit.model import Graph, snapshot
+from graphsplit.model import Graph, dense_ids, snapshot
 from graphsplit.operators import kernels
-from graphsplit.operators.balance import lp_refine, settle
+from graphsplit.operators.balance import balance, lp_refine, settle
 from graphsplit.operators.cluster import lp_cluster, mutual_matching
 from graphsplit.operators.contract import contract, project
-from graphsplit.operators.initial import excess_of, gather, select_best, trials
+from graphsplit.operators.initial import excess_of, gather, induced_subgraphs, select_best, trials
 from graphsplit.operators.kernels import Csr
-from graphsplit.plans.deep import DeepParams, deep_partition, limits_for
+from graphsplit.plans.deep import DeepParams, limits_for
 
 
 def hash_partition(g: Graph, k: int, seed: int = 0) -> DataFrame:
@@ -29,9 +29,12 @@ def range_partition(g: Graph, k: int) -> DataFrame:
     return g.vertices.select("vid", F.floor(F.col("vid") * k / F.lit(max(g.n, 1))).cast("int").alias("block"))
 
 
-def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: int, seed: int, cluster, solve, gather_limit: int, balanced: bool) -> DataFrame:
-    """Coarsen with cluster(graph, limit, seed) while the graph is too large for a task, solve(csr, seed) there, refine on the way up."""
-    levels, top = [], g
+def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: int, seed: int, cluster, solve, gather_limit: int, balanced: bool, spans: list[int] | None = None) -> DataFrame:
+    """Coarsen with cluster(graph, limit, seed) while the graph is too large for a task, solve(csr, seed) there, refine on the way up.
+
+    spans: how many of the k final blocks each block of the result stands for; one each if not given.
+    """
+    levels, top, spans = [], g, spans or [1] * k
     while g.arcs > gather_limit:
         coarse, mapping = contract(g, cluster(g, max_cluster_weight(g.total, g.n, k, c, eps), seed + len(levels)))
         if coarse.n > 0.95 * g.n:
@@ -41,10 +44,10 @@ def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: i
     if g.arcs > 4 * gather_limit:
         partition = range_partition(g, k)
     else:
-        partition = snapshot(select_best(trials(g, 1, seed, lambda csr, s: (part := solve(csr, s), excess_of(csr, part, kernels.limits_of(csr, [1] * k, k, eps))))))
+        partition = snapshot(select_best(trials(g, 1, seed, lambda csr, s: (part := solve(csr, s), excess_of(csr, part, kernels.limits_of(csr, spans, k, eps))))))
     for fine, mapping in reversed(levels):
         partition = snapshot(project(partition, mapping))
-        limits = limits_for(fine, [1] * k, k, eps)
+        limits = limits_for(fine, spans, k, eps)
         partition = settle(fine, partition, limits, sweeps, pes, seed) if balanced else lp_refine(fine, partition, limits, sweeps, pes, seed)
     return partition if levels else partition.join(top.vertices.select("vid"), "vid")
 
@@ -115,16 +118,45 @@ def multilevel_partition(g: Graph, k: int, eps: float = 0.03, seed: int = 1, pes
 
 
 def recursive_bisection(g: Graph, k: int, eps: float = 0.03, seed: int = 1, params: DeepParams | None = None) -> DataFrame:
-    """Bisections of bisections, each a multilevel run of its own on the halves."""
-
-    def solve(csr: Csr, s: int) -> tuple[np.ndarray, float]:
-        limits = kernels.limits_of(csr, [1] * k, k, eps)
-        part = kernels.rebalance(csr, kernels.split(csr, [1] * k, limits, s), limits)
-        return part, excess_of(csr, part, limits)
+    """Bisections of bisections, each a multilevel run of its own on the halves; the limits of all blocks are restored at the end.
 
-    if g.arcs > 300_000:
-        return deep_partition(g, k, params or DeepParams(eps=eps, parts=2), seed).partition
-    return snapshot(select_best(trials(g, 1, seed, solve)))
+    A part with more than `gather_limit` arcs is bisected by supersteps and its halves become graphs of their own; smaller parts are
+    finished in one task. Each bisection gets its share of eps, so that those of all depths together keep to it.
+    """
+    p = params or DeepParams(eps=eps, c=160)
+    share = (1 + eps) ** (1 / max(1, (k - 1).bit_length())) - 1
+    partition = bisections(g, k, share, seed, p)
+    return balance(g, partition, limits_for(g, [1] * k, k, eps), p.ell, p.pes)[0]
+
+
+def bisections(g: Graph, k: int, eps: float, seed: int, p: DeepParams) -> DataFrame:
+    if k == 1 or not g.n:
+        return g.vertices.select("vid", F.lit(0).alias("block"))
+    if g.arcs <= p.gather_limit:
+
+        def finish(csr: Csr, s: int) -> tuple[np.ndarray, float]:
+            limits = kernels.limits_of(csr, [1] * k, k, eps)
+            part = kernels.rebalance(csr, kernels.split(csr, [1] * k, limits, s), limits)
+            return part, excess_of(csr, part, limits)
+
+        return snapshot(select_best(trials(g, 1, seed, finish)))
+    spans = [(k + 1) // 2, k // 2]
+    solve = lambda csr, s: (limits := kernels.limits_of(csr, spans, k, eps), kernels.settle(csr, kernels.split(csr, spans, limits, s), limits, p.sweeps, s))[1]
+    sides = multilevel_down_up(g, k, eps, p.c, p.sweeps, p.pes, seed, lambda h, limit, s: lp_cluster(h, limit, p.sweeps, p.pes, s, count=p.count), solve, p.gather_limit, True, spans)
+    arcs, own, out = snapshot(induced_subgraphs(g, sides)), g.vertices.join(sides, "vid"), None
+    for side, span in enumerate(spans):
+        half, names = induced(own.filter(F.col("block") == side), arcs.filter(F.col("block") == side))
+        inner = bisections(half, span, eps, seed * 2 + side + 1, p).withColumnRenamed("vid", "_new").join(names, "_new").select("vid", (F.col("block") + side * spans[0]).cast("int").alias("block"))
+        out = inner if out is None else out.union(inner)
+    return snapshot(out)
+
+
+def induced(vertices: DataFrame, arcs: DataFrame) -> tuple[Graph, DataFrame]:
+    """The graph of some vertices and the arcs between them, with dense ids, and the table vid, _new."""
+    ids = snapshot(dense_ids(vertices.select("vid", "c"), "vid", "_new").select("vid", "_new", "c"))
+    names = ids.select("vid", "_new")
+    named = arcs.join(names.withColumnsRenamed({"vid": "src", "_new": "_s"}), "src").join(names.withColumnsRenamed({"vid": "dst", "_new": "_d"}), "dst")
+    return Graph.of(ids.select(F.col("_new").alias("vid"), "c"), snapshot(named.select(F.col("_s").alias("src"), F.col("_d").alias("dst"), "w"))), names
 
 
 def brute_force_partition(g: Graph, k: int, eps: float = 0.03) -> tuple[int, DataFrame]:

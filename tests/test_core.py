@@ -140,6 +140,18 @@ def test_deep_distributed_and_bad_arguments(spark):
     assert deep_partition(g, 1).partition.select("block").distinct().count() == 1
 
 
+def test_recursive_bisection_bisects_large_graphs_too(spark, monkeypatch):
+    calls, run = [], baselines.multilevel_down_up
+    monkeypatch.setattr(baselines, "multilevel_down_up", lambda g, *a: calls.append(g.n) or run(g, *a))
+    # four cliques of 16 in a ring; ids go round robin, so that ranges of ids cut nearly everything
+    edges = [(4 * a + q, 4 * b + q) for q in range(4) for a in range(16) for b in range(a + 1, 16)] + [(q, (q + 1) % 4) for q in range(4)]
+    g = frame(spark, 64, edges)
+    p = baselines.recursive_bisection(g, 4, params=DeepParams(c=8, gather_limit=600, sweeps=1))
+    assert calls == [64]
+    assert measures.edge_cut(g, p).first()["cut"] == 4
+    assert measures.feasibility(g, p, 4, 0.03).first()["feasible"]
+
+
 def test_balancer_moves_everything_needed(spark):
     g = frame(spark, 30, [(a, a + 1) for a in range(29)])
     p, rounds = balance.balance(g, g.vertices.select("vid", F.lit(0).alias("block")), limits_for(g, [1] * 3, 3, 0.03), ell=4)
