@@ -53,7 +53,7 @@ class DeepResult:
     k: int
     levels: list[tuple[int, int]] = field(default_factory=list)  # vertices and blocks of each level, coarsest first
     distributed: int = 0  # levels coarsened by Spark
-    fallback: bool = False
+    fallback: bool = False  # coarsening stalled far above the gather limit, and ranges of ids stand in for the initial partition
     cut: int | None = None  # the solver's own count, where it has one
 
 
@@ -83,9 +83,9 @@ def gathered(g: Graph, k: int, params: DeepParams, seed: int, goal: int | None,
 
 
 def coarsen_hierarchy(g: Graph, k: int, params: DeepParams, seed: int) -> tuple[list[tuple[Graph, DataFrame]], Graph]:
-    """Finer graphs with their mappings, finest first, and the coarsest graph."""
+    """Finer graphs with their mappings, finest first, and the coarsest graph: the first whose arcs one task may hold, or the last that shrank."""
     levels, p = [], params
-    while g.n > p.c * min(k, p.parts) and g.arcs > p.gather_limit:
+    while g.arcs > p.gather_limit:
         limit = max_cluster_weight(g.total, g.n, k, p.c, p.eps)
         s = seed + len(levels)
         clusters = mutual_matching(g, limit, 4, s) if p.coarsening == "matching" else lp_cluster(g, limit, p.sweeps, p.pes, s, p.mode, p.limit_mode, count=p.count)

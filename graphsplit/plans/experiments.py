@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from graphsplit.model import Graph
 from graphsplit.operators.measures import edge_cut, feasibility
 from graphsplit.plans import baselines, report
-from graphsplit.plans.deep import DeepParams, deep_partition
+from graphsplit.plans.deep import DeepParams, DeepResult, deep_partition
 from graphsplit.sources import generators
 from graphsplit.sources.graphs import load_graph
 
@@ -18,15 +18,15 @@ QUALITY = ("copurchase", "custpart", "partsupp", "order_star", "event_chain", "u
 HIGH, LOW = ("order_star", "partsupp"), ("event_chain", "emb_rgg2")
 
 
-def deep_fast(g: Graph, k: int, seed: int, **more) -> DataFrame:
-    return deep_partition(g, k, DeepParams.fast(**({"c": 160} if g.n < 8000 else {}), trials=2, **more), seed).partition
+def deep_fast(g: Graph, k: int, seed: int, **more) -> DeepResult:
+    return deep_partition(g, k, DeepParams.fast(**({"c": 160} if g.n < 8000 else {}), trials=2, **more), seed)
 
 
-def deep_strong(g: Graph, k: int, seed: int) -> DataFrame:
-    return deep_partition(g, k, DeepParams.strong_(c=400 if g.n < 20_000 else 5000, trials=4), seed).partition
+def deep_strong(g: Graph, k: int, seed: int) -> DeepResult:
+    return deep_partition(g, k, DeepParams.strong_(c=400 if g.n < 20_000 else 5000, trials=4), seed)
 
 
-METHODS: dict[str, Callable[[Graph, int, int], DataFrame]] = {
+METHODS: dict[str, Callable[[Graph, int, int], DataFrame | DeepResult]] = {
     "deep_fast": deep_fast,
     "deep_strong": deep_strong,
     "relaxed_fast": lambda g, k, s: baselines.relaxed_lp_partition(g, k, seed=s),
@@ -40,16 +40,18 @@ METHODS: dict[str, Callable[[Graph, int, int], DataFrame]] = {
 }
 
 
-def measured(solve: Callable[[], DataFrame], g: Graph, k: int, eps: float, limit_seconds: float) -> tuple:
-    """(cut, feasible, status, seconds). A run over the limit counts as timed out once it ends."""
+def measured(solve: Callable[[], DataFrame | DeepResult], g: Graph, k: int, eps: float, limit_seconds: float) -> tuple:
+    """(cut, feasible, status, seconds). A run over the limit counts as timed out once it ends, one that fell back to ranges of ids as `fallback`."""
     began = time.monotonic()
     try:
         p = solve()
+        fallback = isinstance(p, DeepResult) and p.fallback
+        p = p.partition if isinstance(p, DeepResult) else p
         cut, fine = edge_cut(g, p).first()["cut"], feasibility(g, p, k, eps).first()["feasible"]
     except (ValueError, ArithmeticError, RuntimeError):
         return None, False, "failed", time.monotonic() - began
     seconds = time.monotonic() - began
-    return cut, fine, "timeout" if seconds > limit_seconds else "ok" if fine else "infeasible", seconds
+    return cut, fine, "timeout" if seconds > limit_seconds else "fallback" if fallback else "ok" if fine else "infeasible", seconds
 
 
 def run(spark: SparkSession, graphs: dict[str, Graph], methods: list[str], ks: list[int], seeds: list[int], eps: float = 0.03, limit_seconds: float = 3600, least: int = 8) -> DataFrame:
@@ -141,5 +143,5 @@ def e10_ablation(spark, sf_dir, names=("event_chain",), k=8, which=tuple(ABLATIO
     for n, g in named(spark, sf_dir, names).items():
         for v in which:
             p = DeepParams.fast(**{"c": 500, "trials": 2, "gather_limit": gather_limit, **ABLATIONS[v]})
-            rows.append((v, n, k, 1, *measured(lambda g=g, p=p: deep_partition(g, k, p).partition, g, k, 0.03, 3600)))
+            rows.append((v, n, k, 1, *measured(lambda g=g, p=p: deep_partition(g, k, p), g, k, 0.03, 3600)))
     return spark.createDataFrame(rows, report.RUNS)

@@ -152,6 +152,27 @@ def test_recursive_bisection_bisects_large_graphs_too(spark, monkeypatch):
     assert measures.feasibility(g, p, 4, 0.03).first()["feasible"]
 
 
+def test_deep_coarsens_dense_graphs_until_a_task_can_hold_them(spark):
+    # two cliques of odd and even ids: few vertices, many arcs; ranges of ids cut half of each clique
+    g = frame(spark, 80, [(a, b) for a in range(80) for b in range(a + 2, 80, 2)] + [(0, 1)])
+    r = deep_partition(g, 2, DeepParams.fast(c=100, gather_limit=700, trials=1, sweeps=1))
+    assert r.distributed >= 1 and not r.fallback
+    assert measures.edge_cut(g, r.partition).first()["cut"] == 1
+
+
+def test_fallback_shows_in_facts_and_status(spark):
+    from graphsplit.plans.deep import DeepResult
+    from graphsplit.plans.experiments import measured
+    from graphsplit.queries import facts
+
+    g = frame(spark, 8, TWO)
+    half = g.vertices.select("vid", (F.col("vid") > 3).cast("int").alias("block"))
+    for fallback in (False, True):
+        r = DeepResult(half, 2, fallback=fallback)
+        assert facts(g, r, 2).first()["covered"] == (-1 if fallback else 8)
+        assert measured(lambda r=r: r, g, 2, 0.03, 60)[2] == ("fallback" if fallback else "ok")
+
+
 def test_balancer_moves_everything_needed(spark):
     g = frame(spark, 30, [(a, a + 1) for a in range(29)])
     p, rounds = balance.balance(g, g.vertices.select("vid", F.lit(0).alias("block")), limits_for(g, [1] * 3, 3, 0.03), ell=4)
