@@ -227,6 +227,20 @@ def mutual_matching(g: Graph, limit: float, rounds: int, seed: int) -> DataFrame
     return g.vertices.select("vid").join(pairs.select(F.col("b").alias("vid"), F.col("a").alias("_a")), "vid", "left").select("vid", F.coalesce("_a", "vid").alias("cluster"))
 
 
+def pair_leftovers(g: Graph, clusters: DataFrame, limit: float, seed: int) -> DataFrame:
+    """vid, cluster: vertices that are alone in their cluster are paired if they share their heaviest neighbour, or have none.
+
+    Leaves of a hub, which takes one partner a level, go on shrinking this way. Followers of a hub are paired in chunks of ids.
+    """
+    alone = clusters.join(clusters.groupBy("cluster").count().filter("count = 1"), "cluster").select("vid").join(g.vertices, "vid")
+    toss: Column = coin(seed, "follow", F.least("src", "dst"), F.greatest("src", "dst"))
+    favourite = g.edges.join(alone.select(F.col("vid").alias("src")), "src").groupBy(F.col("src").alias("vid")).agg(F.max_by("dst", F.struct("w", toss, "dst")).alias("hub"))
+    rows = alone.join(favourite, "vid", "left").withColumn("hub", F.coalesce("hub", F.lit(-1))).withColumn("_chunk", F.floor(F.col("vid") / 65536))
+    rows = rows.withColumn("_pair", F.floor((F.row_number().over(Window.partitionBy("hub", "_chunk").orderBy("c", "vid")) - 1) / 2))
+    both = rows.groupBy("hub", "_chunk", "_pair").agg(F.min("vid").alias("a"), F.max("vid").alias("b"), F.sum("c").alias("c")).filter((F.col("a") < F.col("b")) & (F.col("c") <= limit))
+    return clusters.join(both.select(F.col("b").alias("vid"), "a"), "vid", "left").select("vid", F.coalesce("a", "cluster").alias("cluster"))
+
+
 def matching_round(arcs: DataFrame, free: DataFrame, limit: float, seed: int) -> DataFrame:
     """a, b with a < b: vertices that are each other's heaviest free neighbour; ties by a coin of the edge."""
     ends = lambda c: free.select(F.col("vid").alias(c), F.col("c").alias(f"_{c}"))

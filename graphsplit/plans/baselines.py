@@ -14,7 +14,7 @@ from graphsplit.functions.columns import coin, l_max, max_cluster_weight
 from graphsplit.model import Graph, dense_ids, snapshot
 from graphsplit.operators import kernels
 from graphsplit.operators.balance import balance, lp_refine, settle
-from graphsplit.operators.cluster import lp_cluster, mutual_matching
+from graphsplit.operators.cluster import lp_cluster, mutual_matching, pair_leftovers
 from graphsplit.operators.contract import contract, project
 from graphsplit.operators.initial import excess_of, gather, induced_subgraphs, select_best, trials
 from graphsplit.operators.kernels import Csr
@@ -32,19 +32,24 @@ def range_partition(g: Graph, k: int) -> DataFrame:
 def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: int, seed: int, cluster, solve, gather_limit: int, balanced: bool, spans: list[int] | None = None) -> DataFrame:
     """Coarsen with cluster(graph, limit, seed) while the graph is too large for a task, solve(csr, seed) there, refine on the way up.
 
+    Where a level shrinks by less than 5 %, vertices left alone that share their heaviest neighbour are paired, too. A graph that stalls even
+    so and is too large for a task is not solved: RuntimeError, which experiments report as failed.
     spans: how many of the k final blocks each block of the result stands for; one each if not given.
     """
     levels, top, spans = [], g, spans or [1] * k
     while g.arcs > gather_limit:
-        coarse, mapping = contract(g, cluster(g, max_cluster_weight(g.total, g.n, k, c, eps), seed + len(levels)))
+        limit = max_cluster_weight(g.total, g.n, k, c, eps)
+        clusters = snapshot(cluster(g, limit, seed + len(levels)))
+        coarse, mapping = contract(g, clusters)
+        if coarse.n > 0.95 * g.n:
+            coarse, mapping = contract(g, pair_leftovers(g, clusters, max(limit, 2.0 * g.heaviest), seed + len(levels)))
         if coarse.n > 0.95 * g.n:
             break
         levels.append((g, mapping))
         g = coarse
     if g.arcs > 4 * gather_limit:
-        partition = range_partition(g, k)
-    else:
-        partition = snapshot(select_best(trials(g, 1, seed, lambda csr, s: (part := solve(csr, s), excess_of(csr, part, kernels.limits_of(csr, spans, k, eps))))))
+        raise RuntimeError(f"coarsening stalled at {g.n} vertices and {g.arcs} arcs, more than a task may hold")
+    partition = snapshot(select_best(trials(g, 1, seed, lambda csr, s: (part := solve(csr, s), excess_of(csr, part, kernels.limits_of(csr, spans, k, eps))))))
     for fine, mapping in reversed(levels):
         partition = snapshot(project(partition, mapping))
         limits = limits_for(fine, spans, k, eps)

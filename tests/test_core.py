@@ -173,6 +173,23 @@ def test_fallback_shows_in_facts_and_status(spark):
         assert measured(lambda r=r: r, g, 2, 0.03, 60)[2] == ("fallback" if fallback else "ok")
 
 
+def test_matching_goes_on_where_hubs_stall_it(spark, monkeypatch):
+    # two hubs of odd and even ids with 60 leaves each: a matching takes one leaf a hub and level
+    monkeypatch.setattr(baselines, "range_partition", lambda *a: pytest.fail("ranges of ids"))
+    g = frame(spark, 122, [(h, v) for h in (0, 1) for v in range(h + 2, 122, 2)] + [(0, 1)])
+    p = baselines.matching_partition(g, 2, c=8, gather_limit=50)
+    assert measures.validate_partition(g, p, 2).first()["distinct_vertices"] == 122
+    assert measures.edge_cut(g, p).first()["cut"] < 30
+
+
+def test_stalled_baseline_fails_instead_of_cutting_ranges(spark):
+    g = frame(spark, 30, [(a, b) for a in range(30) for b in range(a)])
+    alone = lambda h, limit, s: h.vertices.select("vid", F.col("vid").alias("cluster"))
+    heavy = Graph(g.vertices.withColumn("c", F.lit(1).cast("long")), g.edges, g.n, g.arcs, g.total, 0)  # nothing may be paired
+    with pytest.raises(RuntimeError, match="stalled"):
+        baselines.multilevel_down_up(heavy, 2, 0.0, 8, 1, 4, 1, alone, None, 100, False)
+
+
 def test_balancer_moves_everything_needed(spark):
     g = frame(spark, 30, [(a, a + 1) for a in range(29)])
     p, rounds = balance.balance(g, g.vertices.select("vid", F.lit(0).alias("block")), limits_for(g, [1] * 3, 3, 0.03), ell=4)
