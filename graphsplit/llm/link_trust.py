@@ -11,6 +11,8 @@ distrusted; null html has no links. Repeated rows count as often as they occur a
 
 from __future__ import annotations
 
+import math
+from functools import reduce
 from string import ascii_lowercase, ascii_uppercase
 
 from pyspark.sql import Column, DataFrame
@@ -20,6 +22,8 @@ from graphsplit.llm.common import cut, join_small
 
 #: Fixed rules of the query: (verdict, host and path).
 RULES = (("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/"))
+#: Pages' worth of trust or distrust that may be unsettled, over all hosts.
+SETTLED = 1e-6
 LINK = r"""(?i)\bhref\s*=\s*["']?((?:[a-z][a-z0-9+.-]*:)?//[^"'\s>]*)"""
 
 
@@ -55,23 +59,28 @@ def host_edges(pages: DataFrame) -> DataFrame:
     return to.filter((F.col("src") != "") & (F.col("dst") != "") & (F.col("src") != F.col("dst"))).groupBy("src", "dst").agg(F.count("*").alias("links"))
 
 
-def page_rank(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, rounds: int = 30, near: float = 1e-6) -> DataFrame:
-    """host, rank: personalised PageRank. edges: src, dst, links; seeds: host, mass (sums to 1). Hosts without links out lead back to the seeds."""
+def page_rank(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, near: float = 1e-6) -> DataFrame:
+    """host, rank: personalised PageRank, all ranks together within `near` of the limit. edges: src, dst, links; seeds: host, mass (sums to 1).
+
+    Hosts without links out lead back to the seeds. Ranks are the sum of what arrives after 0, 1, 2, ... links, scaled to 1; scaling is what leads
+    the rest back to the seeds. At most `damping` of what arrives goes on, which tells how much is still to come and bounds the rounds.
+    """
     out = edges.groupBy("src").agg(F.sum("links").alias("_all"))
-    steps = cut(edges.join(out, "src").select("src", "dst", (F.col("links") / F.col("_all")).alias("p")))
-    seeds = cut(seeds)
-    ranks = seeds.select("host", F.col("mass").alias("rank"))
-    for _ in range(rounds):
-        flow = cut(ranks.join(steps, ranks["host"] == steps["src"]).groupBy(F.col("dst").alias("host")).agg(F.sum(F.col("rank") * F.col("p")).alias("flow")))
-        passed = flow.agg(F.coalesce(F.sum("flow"), F.lit(0.0))).first()[0]
-        back = 1 - damping * passed  # what doesn't follow a link starts anew
-        new = flow.join(seeds, "host", "full").select("host", (F.coalesce(F.col("flow"), F.lit(0.0)) * damping + F.coalesce(F.col("mass"), F.lit(0.0)) * back).alias("rank"))
-        new = cut(new)
-        moved = new.join(ranks.withColumnRenamed("rank", "_old"), "host", "full").agg(F.coalesce(F.sum(F.abs(F.coalesce("rank", F.lit(0.0)) - F.coalesce("_old", F.lit(0.0)))), F.lit(0.0))).first()[0]
-        ranks = new
-        if moved < near:
+    steps = cut(edges.join(out, "src").select("src", "dst", (F.col("links") / F.col("_all") * damping).alias("p")))
+    here = cut(seeds.select("host", F.col("mass").alias("rank")))
+    total = lambda parts: reduce(DataFrame.union, parts).groupBy("host").agg(F.sum("rank").alias("rank"))
+    parts = [here]
+    for _ in range(math.ceil(math.log(near * (1 - damping) / 2) / math.log(damping))):
+        here = cut(here.join(steps, here["host"] == steps["src"]).groupBy(F.col("dst").alias("host")).agg(F.sum(F.col("rank") * F.col("p")).alias("rank")))
+        parts.append(here)
+        if len(parts) == 16:
+            parts = [cut(total(parts))]
+        left = here.agg(F.coalesce(F.sum("rank"), F.lit(0.0))).first()[0]
+        if 2 * left * damping / (1 - damping) < near:
             break
-    return ranks
+    sums = cut(total(parts))
+    whole = sums.agg(F.sum("rank")).first()[0]
+    return sums.withColumn("rank", F.col("rank") / F.lit(whole))
 
 
 def judge(pages: DataFrame, rules=RULES, least: float = 0.5) -> DataFrame:
@@ -83,8 +92,8 @@ def judge(pages: DataFrame, rules=RULES, least: float = 0.5) -> DataFrame:
     allowed, blocked, n = hosts.agg(F.coalesce(F.sum("allowed"), F.lit(0)), F.coalesce(F.sum("blocked"), F.lit(0)), F.count("*")).first()
     edges = cut(host_edges(pages))
     seeds = lambda c, total: hosts.filter(F.col(c) > 0).select("host", (F.col(c) / F.lit(float(max(total, 1)))).alias("mass"))
-    trust = page_rank(edges, seeds("allowed", allowed)).select("host", (F.col("rank") * float(allowed)).alias("_trust"))
-    distrust = page_rank(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "links"), seeds("blocked", blocked)).select("host", (F.col("rank") * float(blocked)).alias("_distrust"))
+    trust = page_rank(edges, seeds("allowed", allowed), near=SETTLED / max(allowed, 1)).select("host", (F.col("rank") * float(allowed)).alias("_trust"))
+    distrust = page_rank(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "links"), seeds("blocked", blocked), near=SETTLED / max(blocked, 1)).select("host", (F.col("rank") * float(blocked)).alias("_distrust"))
     shares = hosts.join(trust, "host", "left").join(distrust, "host", "left")
     for c in ("trust", "distrust"):
         shares = shares.withColumn(c, F.coalesce(F.col(f"_{c}"), F.lit(0.0)) / F.col("pages"))

@@ -149,6 +149,17 @@ def test_link_trust_against_brute_force(spark):
     assert link_trust.judge(pages.limit(0)).count() == 0
 
 
+def test_distrust_reaches_hosts_many_links_away(spark):
+    # h0 -> h1 -> ... -> h36 -> bad.net: 20,000 blocked pages at the end of a chain of 37 links
+    pages = spark.range(20_000).select(F.col("id").alias("page_id"), F.lit("http://bad.net/x").alias("url"), F.lit("").alias("html"))
+    chain = [(100_000 + j, f"http://h{j}.com/", f'<a href="http://{f"h{j + 1}.com" if j < 36 else "bad.net"}/">') for j in range(37)]
+    out = {r.host: r for r in link_trust.judge(pages.union(spark.createDataFrame(chain, pages.schema))).filter("page_id >= 100000").collect()}
+    first = 20_000 / sum(0.85**j for j in range(38))
+    for j in range(37):
+        assert out[f"h{j}.com"].distrust == pytest.approx(first * 0.85 ** (37 - j), abs=1e-5)
+    assert out["h0.com"].verdict == "block"
+
+
 # classifiers
 
 
