@@ -532,13 +532,6 @@ def _(g):
     return baselines.range_partition(g, 4)
 
 
-@on("brute_force_bisection", "trade", ", m AS (SELECT mask FROM range(512) t(mask)), x AS (SELECT mask, sum(CASE WHEN (CASE WHEN u = 0 THEN 0 ELSE (mask >> (u - 1)::INT) & 1 END) <> ((mask >> (v - 1)::INT) & 1) THEN w ELSE 0 END)::BIGINT AS cut FROM m, e WHERE u < 10 AND v < 10 GROUP BY mask) SELECT min(cut) AS cut FROM x WHERE bit_count(mask) BETWEEN 10 - 6 AND 6")
-def _(g):
-    small = type(g).of(g.vertices.filter("vid < 10"), g.edges.filter("src < 10 and dst < 10"))
-    cut, _ = baselines.brute_force_partition(small, 2)
-    return g.vertices.sparkSession.createDataFrame([(cut,)], "cut long")
-
-
 # Reports over a table of runs with fixed cuts
 RUNS = " UNION ALL ".join(f"SELECT 'hash' AS algorithm, {k} AS k, {s} AS seed, (SELECT (sum(w))::BIGINT FROM e WHERE {toss(s, 'block', 'u')} % {k} <> {toss(s, 'block', 'v')} % {k}) AS cut" for k in (2, 4) for s in (0, 1, 2))
 RUNS += " UNION ALL " + " UNION ALL ".join(f"SELECT 'modulo', {k}, 0, (SELECT sum(w)::BIGINT FROM e WHERE u % {k} <> v % {k})" for k in (2, 4))

@@ -92,6 +92,20 @@ def test_measures_on_two_cliques(spark):
     assert cut == 1 == measures.edge_cut(g, best).first()["cut"]
 
 
+def test_brute_force_takes_whole_graphs_only(spark):
+    from itertools import product
+
+    from graphsplit import queries
+
+    assert "brute_force_bisection" not in queries.QUERIES and "brute_force_bisection" not in queries.SQL
+    edges, weights = [(a, b) for a in range(10) for b in range(a) if (3 * a + 5 * b) % 4 < 2], [1, 2, 1, 3, 1, 1, 2, 1, 1, 2]
+    cut, part = baselines.brute_force_partition(g := frame(spark, 10, edges, weights), 2)
+    fits = [s for s in product((0, 1), repeat=10) if max(w := sum(c for c, b in zip(weights, s, strict=True) if b), 15 - w) <= 10.5]
+    assert cut == min(sum(s[a] != s[b] for a, b in edges) for s in fits) == measures.edge_cut(g, part).first()["cut"]
+    with pytest.raises(ValueError):
+        kernels.brute_force(csr(15, []), 2, 8)
+
+
 def test_validation_finds_problems(spark):
     v = spark.createDataFrame([(0, 1), (1, 0)], "vid long, c long")
     e = spark.createDataFrame([(0, 1, 1), (1, 1, 1), (0, 9, 2), (0, 1, 1)], "src long, dst long, w long")
