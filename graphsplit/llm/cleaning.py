@@ -5,7 +5,8 @@ that carry symbols), shouting, or a repeat of an earlier line. What is left must
 with punctuation often enough.
 
 Defined results: null and empty texts have no words, fail the base rules and aren't kept. Repeated rows get a row each. Very long texts
-are treated whole. Empty input gives an empty result; other columns of the documents don't matter.
+are treated whole. Empty input gives an empty result. Other columns of the documents are kept, whatever their names, but for those that the
+result itself has: they give way.
 """
 
 from __future__ import annotations
@@ -15,7 +16,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphsplit.llm.common import WORD, let, words
+from graphsplit.llm.common import WORD, let, unused, words
 
 SYMBOLS = "[#*$%&|<>]"
 #: Fixed phrases of lines that aren't prose.
@@ -62,22 +63,23 @@ def clean(docs: DataFrame, repeated_share: float = 0.3, least_words: int = 20, l
             lambda d: F.struct((F.size(a) - F.size(d)).cast("long").alias("n_dup_lines"), F.filter(F.transform(d, judged), lambda x: ~x["bad"]).alias("good")),
         ),
     )
-    out = docs.withColumn("_c", counts).withColumn("_l", lines)
-    out = out.withColumn("_kept_words", F.aggregate("_l.good", F.lit(0).cast("long"), lambda acc, x: acc + x["n"]))
-    failed = (F.col("_c.n_words") < least_words) | (F.lit(100) * F.col("_c.n_repeat_words") > F.lit(round(100 * repeated_share)) * F.col("_c.n_words"))
-    good = F.col("_kept_words") >= F.col("_c.n_words") * F.lit(least_kept)
+    c, l, w = (unused(docs, x) for x in ("_c", "_l", "_kept_words"))
+    out = docs.withColumn(c, counts).withColumn(l, lines)
+    out = out.withColumn(w, F.aggregate(f"{l}.good", F.lit(0).cast("long"), lambda acc, x: acc + x["n"]))
+    failed = (F.col(f"{c}.n_words") < least_words) | (F.lit(100) * F.col(f"{c}.n_repeat_words") > F.lit(round(100 * repeated_share)) * F.col(f"{c}.n_words"))
+    good = F.col(w) >= F.col(f"{c}.n_words") * F.lit(least_kept)
     stats = {
-        "n_words": F.col("_c.n_words"),
-        "word_chars": F.col("_c.word_chars"),
+        "n_words": F.col(f"{c}.n_words"),
+        "word_chars": F.col(f"{c}.word_chars"),
         "n_symbols": F.coalesce(F.regexp_count(F.col("text"), F.lit(SYMBOLS)), F.lit(0)).cast("long"),
-        "n_dup_lines": F.col("_l.n_dup_lines"),
-        "n_repeat_words": F.col("_c.n_repeat_words"),
+        "n_dup_lines": F.col(f"{l}.n_dup_lines"),
+        "n_repeat_words": F.col(f"{c}.n_repeat_words"),
         "base_failed": failed,
         "kept": ~failed & good,
-        "kept_words": F.col("_kept_words"),
-        "cleaned": F.array_join(F.transform("_l.good", lambda x: x["line"]), "\n"),
+        "kept_words": F.col(w),
+        "cleaned": F.array_join(F.transform(f"{l}.good", lambda x: x["line"]), "\n"),
     }
-    return out.select(*[F.col(f"`{c}`") for c in docs.columns if c not in stats], *[v.alias(k) for k, v in stats.items()])
+    return out.select(*[F.col(f"`{x}`") for x in docs.columns if x not in stats], *[v.alias(k) for k, v in stats.items()])
 
 
 SQL = r"""

@@ -18,15 +18,31 @@ GAP = r"[\x20\x09-\x0D]+"
 BROADCAST_ROWS = 200_000
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """name, with as many underscores more as it takes to clash with no column of df, in any case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def checkpoint_folder(spark: SparkSession) -> None:
+    """Takes the folder that the session names. Only a local master, whose tasks all see this machine, gets a temporary one without it."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        folder = sc.getConf().get("spark.checkpoint.dir")
+        if not folder and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoint-"))
+
+
 def cut(df: DataFrame) -> DataFrame:
     """The same rows, written to the shared checkpoint folder of the session, so that lost executors and reruns read them there."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
+    checkpoint_folder(df.sparkSession)
     saved = df.checkpoint(eager=True)
     # without the size estimates of the plan so far: they multiply from join to join, and planning a long loop would take ever longer
     session = df.sparkSession

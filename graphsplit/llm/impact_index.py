@@ -1,19 +1,19 @@
 """Exact top-k inner products with an impact-ordered index, processed a score at a time.
 
-Vectors are cut into blocks. In a block every dimension is a posting list, whose impacts are quantised to a few levels; equal levels are a
-segment. Queries go through the segments by descending impact: in each round every dimension gives its next best segment, from the top
-where the query's weight is positive and from the bottom where it is negative. What is known then bounds the score of every vector from
-below and above: met components lie in their level, the others can't be better than the next segment. A query's search of a block stops only
-when that proves all but a few vectors out of its k best; those few are rescored exactly. The k best of each block are merged. The bounds of
-all queries of a block are matrix products.
+Vectors are cut into blocks. In a block every dimension has posting lists: the rows whose quantised component has one level are a segment. A
+query takes the segments of all dimensions from one queue, by descending impact (its weight times the level), and adds each segment's score to
+the accumulators of the rows in it. What a row has met bounds its score from both sides: the rounding of what was met, by the norm of the row's
+rounding errors, and what was not met, by the norms of the rest of the query and of the rest of the row. A query's search of a block stops
+only when that proves all but a few rows out of its k best (or when no segment is left); those few are rescored exactly. The k best of each
+block are merged.
 
-Blocks of queries meet blocks of the index by an equi-join on the block's number: every query meets every vector once, and tasks hold one
-block of each. Nothing is broadcast.
+Every query meets every block once: index blocks and blocks of queries are dealt to tasks by (block, slice of the queries), a task reads its
+index block and then one block of queries after the other. Nothing is broadcast.
 
 Defined results: vectors that are null or hold null or non-finite components, and rows without id, take no part; components beyond a
 shorter vector's end count as zero. Rows that share a query's id count as its own and aren't its candidates; of repeated queries one is
 asked. Repeated candidates are ranked one by one. Ties go to the smaller id. Scores are 64-bit integers; larger ones aren't supported. Empty
-input gives an empty result.
+input gives an empty result. Other columns don't matter, whatever their names.
 """
 
 from __future__ import annotations
@@ -22,16 +22,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphsplit.llm.common import cut
 
-BLOCK = 4096
+BLOCK = 16384
 QUERIES = 512
-LEVELS = 24
-#: Rounds between checks of the bounds.
+LEVELS = 64
+#: Segments that are added at once, and how many such steps lie between checks of the bounds.
+STEP = 64
 CHECK = 4
+#: Blocks of queries that one task takes past its index block.
+SLICE = 16
 
 
 def quantised(vector: Column, scale: float = 1024.0) -> Column:
@@ -67,73 +70,96 @@ def blocks(rows: DataFrame, size: int, column: str) -> DataFrame:
 
 
 class Postings:
-    """The quantised lists of one block: the level of each component, from 0 to LEVELS - 1 by rising impact."""
+    """The impact-ordered lists of one block: for each dimension the rows of each level, and the rows' norms."""
 
     def __init__(self, ids: np.ndarray, x: np.ndarray, levels: int = LEVELS):
-        self.ids, self.x, self.levels = ids, x, levels
-        self.low, high = (int(x.min()), int(x.max())) if x.size else (0, 0)
-        self.width = (high - self.low) // levels + 1
-        self.level = (x - self.low) // self.width
-
-    def bounds(self, rounds: int) -> tuple[np.ndarray, ...]:
-        """Least and most of each component as known after so many segments from the top, and the same from the bottom."""
-        least = (self.low + self.level * self.width).astype(float)
-        most = least + (self.width - 1)
-        floor, roof = float(self.low), float(self.low + self.levels * self.width - 1)
-        met = self.level >= self.levels - rounds
-        met_below = self.level < rounds
-        edge, edge_below = float(self.low + (self.levels - rounds) * self.width - 1), float(self.low + rounds * self.width)
-        return np.where(met, least, floor), np.where(met, most, edge), np.where(met_below, least, edge_below), np.where(met_below, most, roof)
-
-    def top(self, query_ids: np.ndarray, q: np.ndarray, k: int) -> list[tuple[int, int, int]]:
-        """(query, id, score) of the k best rows of the block for each query."""
-        if self.x.shape[1] != q.shape[1]:
-            width = max(self.x.shape[1], q.shape[1])
-            self = Postings(self.ids, np.pad(self.x, ((0, 0), (0, width - self.x.shape[1]))))
-            q = np.pad(q, ((0, 0), (0, width - q.shape[1])))
-        n, out = len(self.ids), []
-        open_, few = np.arange(len(q)), max(4 * k, n // 20)
-        for rounds in [*range(self.levels // 3, self.levels, CHECK), self.levels]:
-            up, down = np.maximum(q[open_], 0).astype(float), np.minimum(q[open_], 0).astype(float)
-            least, most, least_below, most_below = self.bounds(rounds)
-            lower = up @ least.T + down @ most_below.T
-            upper = up @ most.T + down @ least_below.T
-            own = self.ids[None, :] == query_ids[open_][:, None]
-            lower[own] = -np.inf
-            limit = np.partition(lower, n - k, axis=1)[:, n - k] if n > k else np.full(len(open_), -np.inf)
+        self.ids, self.x = ids, x
+        low, high = (int(x.min()), int(x.max())) if x.size else (0, 0)
+        width = (high - low) // levels + 1
+        level = (x - low) // width
+        least = low + np.arange(levels) * width
+        self.middle = least + (width - 1) / 2
+        #: least square that a component of a level can have
+        self.energy = np.where((least <= 0) & (least + width > 0), 0, np.minimum(np.abs(least), np.abs(least + width - 1))).astype(float) ** 2
+        self.rows = np.argsort(level, axis=0, kind="stable").T.astype(np.int32)  # of each dimension, by level
+        counts = np.stack([np.bincount(c, minlength=levels) for c in level.T]) if x.shape[1] else np.zeros((0, levels), np.int64)
+        ends = counts.cumsum(axis=1)
+        self.dimension, self.level = np.nonzero(counts)  # the segments
+        self.start, self.end = (ends - counts)[self.dimension, self.level], ends[self.dimension, self.level]
+        self.rounding = np.sqrt(((x - self.middle[level]) ** 2).sum(axis=1))
+        self.squares = (x.astype(float) ** 2).sum(axis=1)
+
+    def search(self, query_id: int, q: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, int, int]:
+        """Ids and scores of the k best rows for one query, how many segments were processed, and how many rows were rescored."""
+        n, weight = len(self.ids), q[self.dimension].astype(float)
+        score, met, known = np.zeros(n), np.zeros(n), np.zeros(n)
+        gain, mass, energy = weight * self.middle[self.level], weight**2, self.energy[self.level]
+        queue = np.argsort(-np.abs(gain), kind="stable")
+        queue = queue[weight[queue] != 0]
+        whole, own = float((q.astype(float) ** 2).sum()), self.ids == query_id
+        few, done, left = max(4 * k, n // 64), 0, ~own
+        for turn, at in enumerate(range(0, max(1, len(queue)), STEP), 1):
+            some = queue[at : at + STEP]
+            if len(some):
+                rows = np.concatenate([self.rows[d, a:b] for d, a, b in zip(self.dimension[some].tolist(), self.start[some].tolist(), self.end[some].tolist(), strict=True)])
+                sizes = self.end[some] - self.start[some]
+                for total, part in ((score, gain), (met, mass), (known, energy)):
+                    total += np.bincount(rows, weights=np.repeat(part[some], sizes), minlength=n)
+            done += len(some)
+            if turn % CHECK and done < len(queue):
+                continue
             # a hair of room for rounding of large numbers
-            possible = (upper + np.abs(upper) * 1e-9 + 1 >= limit[:, None]) & ~own
-            done = (possible.sum(axis=1) <= few) | (rounds == self.levels)
-            for r in np.flatnonzero(done).tolist():
-                rows = np.flatnonzero(possible[r])
-                exact = self.x[rows] @ q[open_[r]]
-                best = np.lexsort((self.ids[rows], -exact))[:k]
-                out += [(int(query_ids[open_[r]]), i, s) for i, s in zip(self.ids[rows[best]].tolist(), exact[best].tolist(), strict=True)]
-            open_ = open_[~done]
-            if not len(open_):
+            room = (np.sqrt(met) * self.rounding + np.sqrt(np.maximum(0, whole - met) * np.maximum(0, self.squares - known))) * (1 + 1e-9) + 1 + np.abs(score) * 1e-9
+            lower = np.where(own, -np.inf, score - room)
+            limit = np.partition(lower, n - k)[n - k] if n > k else -np.inf
+            left = ~own & (score + room >= limit)
+            if left.sum() <= few:
                 break
-        return out
+        rows = np.flatnonzero(left)
+        exact = self.x[rows] @ q
+        best = np.lexsort((self.ids[rows], -exact))[:k]
+        return self.ids[rows[best]], exact[best], done, len(rows)
+
+    def widened(self, width: int) -> Postings:
+        return Postings(self.ids, np.pad(self.x, ((0, 0), (0, width - self.x.shape[1])))) if width > self.x.shape[1] else self
 
 
 def search(index: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
-    """query_id, rank, vec_id, score: for each row of a table of query blocks the k best of a table of index blocks."""
-    n = index.select(F.max("block")).first()[0]
-    asked = queries.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(n if n is not None else 0)))).select("block", F.col("ids").alias("q_ids"), F.col("dims").alias("q_dims"), F.col("x").alias("q"))
+    """query_id, rank, vec_id, score, segments, rescored: for each row of a table of query blocks the k best of a table of index blocks.
+
+    segments and rescored count what the row's block processed for the query.
+    """
+    blocks_, asked = index.agg(F.max("block")).first()[0], queries.agg(F.max("q_block")).first()[0]
+    slices = (asked or 0) // SLICE + 1
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n)))
+    here = index.select("block", every(slices - 1).alias("slice"), F.lit(0).alias("role"), "ids", "dims", "x")
+    there = queries.select(every(blocks_ or 0).alias("block"), F.pmod("q_block", F.lit(slices)).alias("slice"), F.lit(1).alias("role"), "ids", "dims", "x")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        number, postings = None, None
+        at, postings = None, None
         for batch in batches:
-            for row in batch.to_pylist():
-                if row["block"] != number:
-                    number, postings = row["block"], Postings(np.frombuffer(row["ids"], np.int64), np.frombuffer(row["x"], np.int64).reshape(-1, row["dims"]))
-                q_ids = np.frombuffer(row["q_ids"], np.int64)
-                q = np.frombuffer(row["q"], np.int64).reshape(len(q_ids), row["q_dims"])
-                found = postings.top(q_ids, q, k)
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*found, strict=True) if found else ([], [], []))], names=["query_id", "vec_id", "score"])
-
-    local = index.join(asked, "block").select("block", "ids", "dims", "x", "q_ids", "q_dims", "q").mapInArrow(run, "query_id long, vec_id long, score long")
-    ranked = local.selectExpr("query_id", "vec_id", "score", "row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank")
-    return ranked.filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+            for row in range(batch.num_rows):
+                block, slice_, role, ids, dims, x = (c[row].as_py() for c in batch.columns)
+                ids = np.frombuffer(ids, np.int64)
+                x = np.frombuffer(x, np.int64).reshape(len(ids), dims)
+                if role == 0:
+                    at, postings = (block, slice_), Postings(ids, x)
+                    continue
+                if (block, slice_) != at:
+                    continue  # an empty block
+                postings = postings.widened(dims)
+                out = []
+                for query_id, q in zip(ids.tolist(), x, strict=True):
+                    found, scores, segments, rescored = postings.search(query_id, np.pad(q, (0, postings.x.shape[1] - dims)), k)
+                    out += [(query_id, i, s, segments, rescored) for i, s in zip(found.tolist(), scores.tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in (zip(*out, strict=True) if out else ([],) * 5)], names=["query_id", "vec_id", "score", "segments", "rescored"])
+
+    # an Arrow batch holds whole rows of index blocks: few groups a partition
+    parts = min(20_000, ((blocks_ or 0) + 1) * slices)
+    dealt = here.union(there).repartition(parts, "block", "slice").sortWithinPartitions("block", "slice", "role")
+    local = dealt.mapInArrow(run, "query_id long, vec_id long, score long, segments long, rescored long")
+    ranked = local.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")))
+    return ranked.filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score", "segments", "rescored")
 
 
 def build(vectors: DataFrame, size: int = BLOCK) -> DataFrame:

@@ -4,11 +4,14 @@ Each language has a codeword; a binary classifier for each bit looks at hashed b
 language whose codeword has the least loss: the logistic loss of each bit's margin, summed. If the runner-up's loss is near, the
 prediction is flagged as ambiguous. With up to 6 languages the code is exhaustive (every way to halve them), beyond that random.
 
-The classifiers learn from a bounded sample, about `sample` rows (3,000 by default), as many of each language as there are, up to an
-equal share. Scoring covers whole texts.
+The classifiers learn from a bounded sample: of each language the `sample` (3,000 by default) over the number of languages documents that come
+first by a hash of their id, LEAST at least, all if there are fewer. No language is left out; the driver holds a row for each, and its codeword.
+Random codewords are drawn until all differ in at least a quarter of their bits. Scoring covers whole texts.
 
 Defined results: null texts and texts without a letter are `und` with score 0; without any learned language all are. One language alone is
-always predicted. Repeated rows get a row each but train once. Empty input gives an empty result.
+always predicted. Equal losses go to the language that comes first by code point, flagged as ambiguous. Rows without doc_id get a prediction
+and train nothing. Repeated rows get a row each but train once. Very long texts are treated whole. Empty input gives an empty result. Other
+columns don't matter, whatever their names.
 """
 
 from __future__ import annotations
@@ -17,14 +20,14 @@ from itertools import product
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphsplit.llm.common import held_out, map_texts, unit_hash
+from graphsplit.llm.common import cut, held_out, join_small, map_texts, unit_hash
 
 DIMENSIONS = 4096
-#: Most languages that are told apart; more would be collected to the driver.
-LANGUAGES = 1000
+#: Documents of a language that are learned from however many languages there are.
+LEAST = 20
 
 
 def codewords(k: int, seed: int = 7) -> np.ndarray:
@@ -32,8 +35,13 @@ def codewords(k: int, seed: int = 7) -> np.ndarray:
     if k <= 6:
         rows = [bits for bits in product((1, -1), repeat=k) if bits[0] == 1 and -1 in bits]
         return np.asarray(rows, dtype=float).T.reshape(k, -1)
-    r = np.random.default_rng(seed)
-    return r.choice([-1.0, 1.0], size=(k, int(np.ceil(15 * np.log2(k)))))
+    r, bits = np.random.default_rng(seed), int(np.ceil(15 * np.log2(k)))
+    while True:
+        out = r.choice([-1.0, 1.0], size=(k, bits))
+        apart = (bits - out @ out.T) / 2
+        if (apart + bits * np.eye(k)).min() >= bits / 4 and (np.abs(out.sum(axis=0)) < k).all():
+            return out
+        bits += 1  # a little longer until it works out
 
 
 def trigrams(text: str, dimensions: int = DIMENSIONS) -> np.ndarray:
@@ -82,21 +90,20 @@ def not_for_training(doc_id: Column) -> Column:
 
 def train(docs: DataFrame, sample: int = 3000, held=not_for_training) -> Decoder | None:
     usable = docs.filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held(F.col("doc_id")))
-    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(LANGUAGES).collect()}
-    if not counts:
+    n = usable.select("lang").distinct().count()
+    if not n:
         return None
-    each = max(1, sample // len(counts))
-    share = F.create_map(*[F.lit(x) for lang, n in counts.items() for x in (lang, min(1.0, each / n))])
-    some = usable.filter(unit_hash("language", F.col("doc_id")) < share[F.col("lang")])
+    each = max(LEAST, sample // n)
+    first = F.dense_rank().over(Window.partitionBy("lang").orderBy(unit_hash("language", F.col("doc_id")), "doc_id"))  # repeated rows rank alike
+    chosen = cut(usable.select("lang", "doc_id").withColumn("_r", first).filter(F.col("_r") <= each).select("lang", "doc_id").distinct())
+    some = join_small(usable.select("doc_id", "lang", "text"), chosen, ["lang", "doc_id"], each * n)
 
     def start():
         return lambda texts: [[trigrams(x).tobytes() for x in texts]]
 
-    vectors = map_texts(some, ["doc_id", "lang"], start, [("v", "binary", pa.binary())]).dropDuplicates(["doc_id", "lang"])
-    rows = sorted((r["lang"], r["doc_id"], bytes(r["v"])) for r in vectors.limit(4 * sample).collect())  # `sample` rows, about
+    vectors = map_texts(some, ["doc_id", "lang"], start, [("v", "binary", pa.binary())]).groupBy("doc_id", "lang").agg(F.min("v").alias("v"))
+    rows = sorted((r["lang"], r["doc_id"], bytes(r["v"])) for r in vectors.collect())  # `each` rows a language
     languages = sorted({r[0] for r in rows})
-    if not languages:
-        return None
     return Decoder(languages, np.frombuffer(b"".join(r[2] for r in rows), np.float32).reshape(len(rows), -1), np.asarray([languages.index(r[0]) for r in rows]))
 
 

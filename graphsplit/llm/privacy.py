@@ -3,7 +3,7 @@
 Patterns propose candidates: those of the base kinds, looser ones, and long secrets. Four labelers vote on each candidate (yes, no or no
 opinion): the exact pattern with its check (range, Luhn, number of digits), a gazetteer of words that announce such data, the context's
 edges, and the candidate's shape. Expectation maximisation over the counts of vote patterns estimates each labeler's reliability by kind,
-without any label; the posteriors train a logistic span classifier on votes, length and share of digits, which becomes one Spark
+without any label, but for what is known: real data hardly ever fail their own check, so that no context outvotes one that fails. The posteriors train a logistic span classifier on votes, length and share of digits, which becomes one Spark
 expression. Counts are of the whole corpus; the driver gets one row a pattern, a number that the kinds and labelers bound.
 
 Base spans always stay; the classifier adds spans that overlap none of them. Places are code points.
@@ -39,6 +39,8 @@ PATTERNS = (
 GAZETTEER = ("mail|contact|write to|kontakt|correo|courriel", r"\bip\b|host|server|address|adresse", "card|visa|karte|carte|tarjeta|iban|account", "phone|tel|call|fax|mobile|telefon|llame|appel", "token|secret|passw|api|key|credential|bearer")
 BEFORE = 24
 LABELERS = 4
+#: Chance that real data fail the exact check of their kind (a checksum, a range, a number of digits).
+FAILS = 1e-6
 
 
 def hits(text: Column, needs: str, pattern: str) -> Column:
@@ -121,13 +123,17 @@ def reliabilities(counts: dict[int, float], rounds: int = 60) -> dict[int, float
         n = np.asarray([counts[c] for c in codes], float)
         q = 1 / (1 + np.exp(-1.5 * (votes - 1).sum(axis=1)))
         prior = np.asarray([[1.0, 2.0, 3.0], [3.0, 2.0, 1.0]])  # of real ones and others, as if seen so often
+        failed = votes[:, 0] == 0
         for _ in range(rounds):
             share = (n @ q + 1) / (n.sum() + 2)
             like = []
             for z, w in ((0, n * q), (1, n * (1 - q))):
                 table = np.stack([np.bincount(votes[:, j], weights=w, minlength=3) + prior[z] for j in range(LABELERS)])
                 table /= table.sum(axis=1, keepdims=True)
-                like.append(np.log(table[np.arange(LABELERS), votes]).sum(axis=1))
+                part = np.log(table[np.arange(LABELERS), votes])
+                if z == 0:  # known, not estimated: real data pass their own check
+                    part[failed, 0] = np.log(FAILS)
+                like.append(part.sum(axis=1))
             q = 1 / (1 + np.exp(np.clip(like[1] + np.log(1 - share) - like[0] - np.log(share), -40, 40)))
         out.update(zip(codes, q.tolist(), strict=True))
     return out
@@ -135,7 +141,7 @@ def reliabilities(counts: dict[int, float], rounds: int = 60) -> dict[int, float
 
 def inputs(code: int, bucket: int) -> list[float]:
     kind, votes = code // 3**LABELERS, [code // 3**j % 3 - 1 for j in range(LABELERS - 1, -1, -1)]
-    return [1.0, *[float(kind == k) for k in range(len(KINDS))], *map(float, votes), bucket // 8 / 8, bucket % 8 / 7]
+    return [1.0, *[float(kind == k) for k in range(len(KINDS))], *map(float, votes), float(votes[0] < 0), bucket // 8 / 8, bucket % 8 / 7]
 
 
 def span_classifier(groups: list[tuple[int, int, int]], rounds: int = 400) -> list[float]:
@@ -168,7 +174,7 @@ def taken(found: Column, weights: list[float], least: float = 0.5) -> Column:
     """The base spans, and candidates that the classifier accepts and that overlap none of them."""
 
     def probable(c: Column) -> Column:
-        parts = [F.lit(1.0), *[(F.floor(c["code"] / 3**LABELERS) == k).cast("double") for k in range(len(KINDS))], *[(F.floor(c["code"] / 3**j) % 3 - 1).cast("double") for j in range(LABELERS - 1, -1, -1)], F.floor(c["bucket"] / 8) / 8, c["bucket"] % 8 / 7]
+        parts = [F.lit(1.0), *[(F.floor(c["code"] / 3**LABELERS) == k).cast("double") for k in range(len(KINDS))], *[(F.floor(c["code"] / 3**j) % 3 - 1).cast("double") for j in range(LABELERS - 1, -1, -1)], (F.floor(c["code"] / 3 ** (LABELERS - 1)) % 3 == 0).cast("double"), F.floor(c["bucket"] / 8) / 8, c["bucket"] % 8 / 7]
         z = reduce(lambda a, b: a + b, [F.lit(float(w)) * p for w, p in zip(weights, parts, strict=True)])
         return F.lit(1.0) / (F.lit(1.0) + F.exp(-z)) >= least
 

@@ -35,7 +35,7 @@ def op3_link_trust(spark, sf_dir):
 
 
 def op8_impact_index(spark, sf_dir):
-    return impact_index.nearest(table(spark, sf_dir, "embeddings"))
+    return impact_index.nearest(table(spark, sf_dir, "embeddings")).drop("segments", "rescored")
 
 
 def op7_weak_supervision(spark, sf_dir):

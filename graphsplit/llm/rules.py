@@ -5,7 +5,9 @@ conjunction of thresholds, a rule. Logistic regression with a lasso penalty give
 Spark expression, so scoring needs no Python. The statistics are DataFrame functions too and cover whole texts.
 
 Defined results: null and empty texts have statistics of zero and get a score like any other; rows without label only get a score;
-without any usable label the score is 0.5 for all. Repeated rows get a row each but train once. Empty input gives an empty result.
+without any usable label the score is 0.5 for all; with one class only it is near that class for all. Rows without doc_id are scored, never held
+out and train nothing. Repeated rows get a row each but train once; ties of score don't matter. Very long texts are treated whole. Empty input
+gives an empty result. Other columns of the documents don't matter, whatever their names, and are kept by `accepted`.
 """
 
 from __future__ import annotations
@@ -16,7 +18,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphsplit.llm.common import cut, held_out, labelled, let, words
+from graphsplit.llm.common import cut, held_out, labelled, let, unused, words
 
 ACCEPT = 0.3
 
@@ -166,4 +168,5 @@ def accepted(docs: DataFrame, labels: DataFrame, sample: int = 20_000, accept: f
     chosen = labelled(labels, "quality", not_for_training, sample, "rules")
     stats = docs.join(F.broadcast(chosen.select("doc_id")), "doc_id", "left_semi").select("doc_id", statistics(F.col("text")).alias("stats"))
     model = train(stats, labels, sample)
-    return docs.withColumn("_stats", statistics(F.col("text"))).filter(model.score("_stats") >= accept).drop("_stats")
+    name = unused(docs, "_stats")
+    return docs.withColumn(name, statistics(F.col("text"))).filter(model.score(name) >= accept).drop(name)

@@ -271,13 +271,33 @@ def test_search_edges(spark):
     assert impact_index.nearest(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
-def test_index_is_exact():
+@pytest.mark.parametrize("spread", [1.0, 0.2])
+def test_index_is_exact_and_stops_on_proof(spread):
     rng = np.random.default_rng(2)
-    x, q = rng.integers(-500, 500, (3000, 16)), rng.integers(-500, 500, (7, 16))
-    found = impact_index.Postings(np.arange(3000), x).top(np.full(7, -1) - np.arange(7), q, 10)
-    for k in range(7):
-        s = x @ q[k]
-        assert [(i, v) for a, i, v in found if a == -1 - k] == [(int(i), int(s[i])) for i in np.lexsort((np.arange(3000), -s))[:10]]
+    scale = 500 * spread ** np.arange(16)  # with a spread below 1 few dimensions decide
+    x, q = (rng.normal(size=(3000, 16)) * scale).astype(np.int64), (rng.normal(size=(7, 16)) * scale).astype(np.int64)
+    postings = impact_index.Postings(np.arange(3000), x)
+    assert (postings.end - postings.start).sum() == x.size  # every component is in one segment
+    for v in q:
+        s = x @ v
+        ids, scores, segments, rescored = postings.search(-1, v, 10)
+        want = np.lexsort((np.arange(3000), -s))[:10]
+        assert ids.tolist() == want.tolist() and scores.tolist() == s[want].tolist()
+        assert rescored < 3000 / 2 and segments < len(postings.start)
+    assert postings.search(5, x[5], 10)[0].tolist() == [i for i in np.lexsort((np.arange(3000), -(x @ x[5]))).tolist() if i != 5][:10]
+
+
+def test_search_over_many_blocks(spark, monkeypatch):
+    monkeypatch.setattr(impact_index, "SLICE", 2)
+    rng = np.random.default_rng(4)
+    x = rng.integers(-300, 300, (700, 5))
+    vectors = impact_index.usable(spark.createDataFrame([(k, (v / 1024).tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>"))
+    out = impact_index.search(impact_index.blocks(vectors, 64, "block"), impact_index.blocks(vectors.filter("vec_id < 50"), 7, "q_block"), 3).toPandas()
+    for k, g in out.sort_values("rank").groupby("query_id"):
+        s = x @ x[k]
+        s[k] = -(10**9)
+        assert g.vec_id.tolist() == np.lexsort((np.arange(700), -s))[:3].tolist()
+    assert out.query_id.nunique() == 50
 
 
 def test_signatures_estimate_and_are_permutations():
