@@ -18,7 +18,9 @@ reaches the driver.
 Registers and bands follow from the limit so that a pair at the limit is missed with a chance of 1e-6 at most.
 
 Defined results: null texts and texts without words have empty sets and are linked with nothing. Rows that share a doc_id are one
-document, linked by any of its texts. Rows without doc_id get no component and are kept. Empty input gives an empty result.
+document, linked by any of its texts. Rows without doc_id get no component and are kept. Very long texts are treated whole: a set is held by one
+task at a time, with one leader's. Ties don't arise, as the least doc_id stands for a group. Other columns don't matter, whatever their names,
+and are kept by `deduplicated`. Empty input gives an empty result.
 """
 
 from __future__ import annotations
@@ -34,8 +36,13 @@ from pyspark.sql import functions as F
 from graphsplit.llm.common import BROADCAST_ROWS, cut, map_texts
 
 REGISTERS = 128
-#: Members of one bucket or family that a task compares, and members that share one leader's set in a task.
+#: Members of one bucket or family that a task compares.
 MEMBERS = 2048
+#: Members, and shingles of members, that are compared with one copy of their leader's set.
+FOLLOWERS = 128
+FOLLOWED = 100_000
+#: Salts that the neighbours of one node are dealt to.
+SALTS = 16
 #: Shingles of the sets that a task of step 3 holds of each block.
 SHINGLES = 2_000_000
 U = np.uint64
@@ -132,15 +139,19 @@ def sketch(docs: DataFrame, width: int, limit: float) -> DataFrame:
 def components(links: DataFrame) -> DataFrame:
     """node, component (least node reachable) of all nodes of a table a, b of links, by alternating large and small stars."""
     least = lambda e: e.groupBy("u").agg(F.min("v").alias("m"))
+    # the centre of a large star is one key: its neighbours are dealt to salts
+    salted = lambda e: e.withColumn("salt", F.pmod(F.xxhash64("v"), F.lit(SALTS)))
+    every = lambda m: m.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    meet = lambda e, m: salted(e).join(every(m), ["u", "salt"]).drop("salt")
     both = lambda e: e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
     edges = cut(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct())
     before = None
     while True:
         e = both(edges)
-        star = e.join(least(e).withColumn("m", F.least("m", "u")), "u").filter("v > u and v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        star = meet(e, least(e).withColumn("m", F.least("m", "u"))).filter("v > u and v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         edges = star.distinct()  # each larger neighbour to the least one
         m = least(edges)
-        down = edges.join(m, "u").filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        down = meet(edges, m).filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         edges = cut(m.select("u", F.col("m").alias("v")).union(down).filter("u <> v").distinct())
         state = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
@@ -150,14 +161,14 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
-    """The rows of pairs (a, b) whose full sets share at least `percent` of their union.
+    """The rows of pairs (a, b, n_shingles) whose full sets share at least `percent` of their union. n_shingles: of a.
 
-    Each a goes to its b; a b of many is copied for every MEMBERS of them. Sorted by group, with the leading b first, sets are compared
-    as they stream through a task, which holds one b at a time.
+    Each a goes to its b; a b of many is copied for every FOLLOWERS of them, or FOLLOWED shingles. Sorted by group, with the leading b first,
+    sets are compared as they stream through a task, which holds one b at a time.
     """
     pairs = cut(pairs)
     n = pairs.count()
-    share = pairs.groupBy("b").agg(F.count("*").alias("n")).withColumn("parts", F.ceil(F.col("n") / MEMBERS).cast("int")).select("b", "parts")
+    share = pairs.groupBy("b").agg(F.greatest(F.ceil(F.count("*") / FOLLOWERS), F.ceil(F.sum("n_shingles") / FOLLOWED)).cast("int").alias("parts"))
     members = pairs.join(share, "b").select(F.col("a").alias("id"), F.col("b").alias("key"), F.pmod(F.xxhash64("a"), F.col("parts")).cast("int").alias("part"), F.lit(1).alias("role"))
     leaders = share.select(F.col("b").alias("id"), F.col("b").alias("key"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("role"))
     wanted = members.union(leaders)
@@ -233,7 +244,8 @@ def families(members: DataFrame, limit: float, used: int) -> DataFrame:
                     b.append(groups[h])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return placed.groupBy("bucket", "i", "j").applyInArrow(compare, "a long, b long")
+    # without this the join's distribution by bucket would do, and all blocks of a hot bucket stay in one task
+    return placed.repartition("bucket", "i", "j").groupBy("bucket", "i", "j").applyInArrow(compare, "a long, b long")
 
 
 def shared_counts(left: list[np.ndarray], right: list[np.ndarray], width: int = 4096) -> np.ndarray:
@@ -304,7 +316,7 @@ def links_in_families(docs: DataFrame, members: DataFrame, width: int, percent:
                         b.append(ids[right[q]])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return sets.groupBy("family", "i", "j", "kind").applyInArrow(compare, "a long, b long")
+    return sets.repartition("family", "i", "j", "kind").groupBy("family", "i", "j", "kind").applyInArrow(compare, "a long, b long")
 
 
 def group(docs: DataFrame, width: int = 5, limit: float = 0.8) -> DataFrame:
@@ -316,12 +328,12 @@ def group(docs: DataFrame, width: int = 5, limit: float = 0.8) -> DataFrame:
     # rows of equal sets are one class
     classes = cut(named.groupBy("same").agg(F.min("doc_id").alias("id")))
     copies = named.select("same", "doc_id").join(classes, "same").filter("doc_id <> id").select(F.col("doc_id").alias("a"), F.col("id").alias("b"))
-    own = named.select(F.col("doc_id").alias("id"), "same", "bands").join(classes, ["id", "same"])
-    bucketed = own.select("id", F.explode("bands").alias("bucket"))
+    own = named.select(F.col("doc_id").alias("id"), "same", "n_shingles", "bands").join(classes, ["id", "same"])
+    bucketed = own.select("id", "n_shingles", F.explode("bands").alias("bucket"))
     heads = cut(bucketed.groupBy("bucket").agg(F.min("id").alias("head"), F.count("*").alias("n")).filter("n > 1").select("bucket", "head"))
-    shared = cut(bucketed.join(heads, "bucket").select("bucket", "id", "head"))
-    first = shared.groupBy("id").agg(F.min("head").alias("head")).filter("id <> head")
-    links = verified(docs, first.select(F.col("id").alias("a"), F.col("head").alias("b")), width, percent)
+    shared = cut(bucketed.join(heads, "bucket").select("bucket", "id", "n_shingles", "head"))
+    first = shared.groupBy("id").agg(F.min("head").alias("head"), F.max("n_shingles").alias("n_shingles")).filter("id <> head")
+    links = verified(docs, first.select(F.col("id").alias("a"), F.col("head").alias("b"), "n_shingles"), width, percent)
     found = cut(components(links))
     spread = shared.select("bucket", "id").join(found.select(F.col("node").alias("id"), F.col("component").alias("_g")), "id", "left").select("bucket", "id", F.coalesce("_g", "id").alias("group"))
     several = spread.groupBy("bucket").agg(F.min("group").alias("_a"), F.max("group").alias("_b")).filter("_a <> _b").select("bucket")

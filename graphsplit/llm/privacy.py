@@ -3,13 +3,15 @@
 Patterns propose candidates: those of the base kinds, looser ones, and long secrets. Four labelers vote on each candidate (yes, no or no
 opinion): the exact pattern with its check (range, Luhn, number of digits), a gazetteer of words that announce such data, the context's
 edges, and the candidate's shape. Expectation maximisation over the counts of vote patterns estimates each labeler's reliability by kind,
-without any label, but for what is known: real data hardly ever fail their own check, so that no context outvotes one that fails. The posteriors train a logistic span classifier on votes, length and share of digits, which becomes one Spark
-expression. Counts are of the whole corpus; the driver gets one row a pattern, a number that the kinds and labelers bound.
+without any label, but for what is known: real data hardly ever fail their own check, so that no context outvotes one that fails. The
+posteriors train a logistic span classifier on votes, length and share of digits, which becomes one Spark expression. Counts are of the whole
+corpus; the driver gets one row a pattern, a number that the kinds and labelers bound.
 
 Base spans always stay; the classifier adds spans that overlap none of them. Places are code points.
 
 Defined results: null and empty texts have no spans. Repeated rows get a row each. Very long texts are treated whole; the patterns are
-possessive or anchored so that long runs take neither stack nor quadratic time. Empty input gives an empty result.
+possessive or anchored so that long runs take neither stack nor quadratic time. Spans of one start follow the order of kinds. Other columns
+don't matter, whatever their names, and are kept by `redact`. Empty input gives an empty result.
 """
 
 from __future__ import annotations
