@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import math
-from functools import reduce
 
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
@@ -63,10 +62,6 @@ def num_copies(n: int, c: int, pes: int) -> int:
     return pes // min(pes, ceil2(n / c)) if n < c * pes else 1
 
 
-def lets(values: list[Column]) -> Column:
-    return reduce(lambda a, b: a + b, values)
-
-
 #: SQL functions: name, parameters, type, body.
 SQL_FUNCTIONS = (
     ("pow2ceil", "x BIGINT", "BIGINT", "CASE WHEN x <= 1 THEN 1 ELSE shiftleft(1L, length(bin(x - 1))) END"),

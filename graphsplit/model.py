@@ -7,17 +7,35 @@ ends, so that sums over arcs count edges twice. Raw graphs, as built from tables
 from __future__ import annotations
 
 import tempfile
+import uuid
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
+def checkpoint_folder(spark: SparkSession) -> str:
+    """The folder that the session names. Only a local master, whose tasks all see this machine, gets a temporary one without it."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        folder = sc.getConf().get("spark.checkpoint.dir")
+        if not folder and not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoint-"))
+    return sc.getCheckpointDir()
+
+
+def written(df: DataFrame, by: str) -> DataFrame:
+    """The same rows, written to the shared checkpoint folder as a table with a directory for each value of a column, which filters prune."""
+    spark = df.sparkSession
+    at = f"{checkpoint_folder(spark)}/table-{uuid.uuid4().hex}"
+    df.write.partitionBy(by).parquet(at)
+    return spark.read.schema(df.schema).parquet(at)
+
+
 def snapshot(df: DataFrame) -> DataFrame:
     """The same rows, written to the shared checkpoint folder, with the lineage cut."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
+    checkpoint_folder(df.sparkSession)
     saved = df.checkpoint(eager=True)
     # without the size estimates of the plan so far: they multiply from join to join, and planning a long loop would take ever longer
     session = df.sparkSession
@@ -32,12 +50,22 @@ class RawGraph:
 
 @dataclass(frozen=True)
 class Graph:
+    """total and heaviest are those of one copy: a graph may hold several copies of one, numbered in a column `copy` of its vertices.
+
+    copies: the first id and the number of vertices of each; ids of a copy are consecutive, and no arc leads to another copy.
+    """
+
     vertices: DataFrame
     edges: DataFrame
     n: int
     arcs: int
     total: int
     heaviest: int
+    copies: tuple[tuple[int, int], ...] = ()
+
+    def __post_init__(self):
+        if not self.copies:
+            object.__setattr__(self, "copies", ((0, self.n),))
 
     @property
     def m(self) -> int:
@@ -45,8 +73,12 @@ class Graph:
 
     @staticmethod
     def of(vertices: DataFrame, edges: DataFrame) -> Graph:
-        n, total, heaviest = vertices.agg(F.count("*"), F.coalesce(F.sum("c"), F.lit(0)), F.coalesce(F.max("c"), F.lit(0))).first()
-        return Graph(vertices, edges, n, edges.count(), total, heaviest)
+        by = ["copy"] if "copy" in vertices.columns else []
+        found = vertices.groupBy(*by).agg(F.min("vid").alias("off"), F.count("*").alias("n"), F.coalesce(F.sum("c"), F.lit(0)).alias("c"), F.coalesce(F.max("c"), F.lit(0)).alias("top")).collect()  # a row for each copy
+        found.sort(key=lambda r: r["off"] or 0)
+        if not found:
+            return Graph(vertices, edges, 0, 0, 0, 0)
+        return Graph(vertices, edges, sum(r["n"] for r in found), edges.count(), found[0]["c"], max(r["top"] for r in found), tuple((r["off"] or 0, r["n"]) for r in found))
 
     def validate(self) -> DataFrame:
         """A row (problem, a, b) for each violation: weights below 1, loops, repeated arcs, arcs without their reverse or without ends."""
@@ -81,10 +113,6 @@ def symmetrize(edges: DataFrame) -> DataFrame:
     return edges.select(F.explode(F.array(F.struct(F.col("u").alias("src"), F.col("v").alias("dst"), "w"), F.struct(F.col("v").alias("src"), F.col("u").alias("dst"), "w"))).alias("a")).select("a.*")
 
 
-def canonical_edges(arcs: DataFrame) -> DataFrame:
-    return arcs.filter("src < dst").select(F.col("src").alias("u"), F.col("dst").alias("v"), "w")
-
-
 def densify(raw: RawGraph) -> tuple[Graph, DataFrame]:
     """The graph with ids in order of keys, and the table vid, key."""
     ids = snapshot(dense_ids(raw.vertices.select("key", F.col("c").cast("long").alias("c")), "key"))

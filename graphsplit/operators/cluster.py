@@ -1,4 +1,4 @@
-"""Size-constrained label propagation in synchronous supersteps, as DataFrames, and in kernels by PE.
+"""Size-constrained label propagation in synchronous supersteps, as DataFrames; `fleet` has the PEs that scan their vertices one by one.
 
 A state has a row (vid, c, pe, label) for each vertex. Labels are clusters (named by a vertex) or blocks. One superstep lets the vertices
 of one batch choose by the weights at its start; then moves that make a label too heavy are dealt with by one of these rules:
@@ -11,13 +11,13 @@ of one batch choose by the weights at its start; then moves that make a label to
 
 from __future__ import annotations
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphsplit.functions.columns import coin
 from graphsplit.model import Graph, snapshot
+from graphsplit.operators.fleet import Fleet, propagate
+from graphsplit.operators.initial import with_copy
 from graphsplit.operators.layout import assign_pe
 from graphsplit.operators.order import batches, traversal
 
@@ -117,70 +117,18 @@ def superstep(arcs: DataFrame, state: DataFrame, weights: DataFrame, active: Dat
     return snapshot(moved(state, kept)), snapshot(new), n
 
 
-def sweeps(g: Graph, state: DataFrame, weights: DataFrame, limit: float | None, iterations: int, pes: int, seed: int, limit_mode: str, tie: str, count: int, arcs: DataFrame | None = None, order: str = "buckets") -> tuple[DataFrame, int]:
-    """`iterations` passes over all vertices in `count` batches each, or until a pass moves nothing. Returns the state and all moves."""
-    total = 0
+def sweeps(g: Graph, state: DataFrame, weights: DataFrame, limit: float | None, iterations: int, pes: int, seed: int, limit_mode: str, tie: str, count: int, arcs: DataFrame | None = None, order: str = "buckets") -> tuple[DataFrame, list[int]]:
+    """`iterations` passes over all vertices in `count` batches each, or until a pass moves nothing. Returns the state and each pass's moves."""
+    moves = []
     for sweep in range(iterations):
         turn = snapshot(batches(traversal(g, state, 64, seed + sweep, order), count))
-        before = total
+        moves.append(0)
         for b in range(count):
             state, weights, n = superstep(g.edges if arcs is None else arcs, state, weights, turn.filter(F.col("batch") == b), limit, limit_mode, tie, seed + sweep)
-            total += n
-        if total == before:
+            moves[-1] += n
+        if not moves[-1]:
             break
-    return state, total
-
-
-def kernel_sweeps(g: Graph, state: DataFrame, limit: float, iterations: int, pes: int, seed: int, limit_mode: str, count: int) -> DataFrame:
-    """The same with vertices of a PE scanned one by one in a task: fresh labels of its own, those of others as of the batch's start.
-
-    Each PE's arcs arrive with the labels of their heads; a task holds one PE's share, so there must be enough PEs.
-    """
-    for sweep in range(iterations):
-        turn = snapshot(batches(traversal(g, state, 64, seed + sweep), count))
-        moves_seen = 0
-        for b in range(count):
-            weights = label_weights(state)
-            now = state.join(turn.select("vid", "pos", "batch"), "vid").join(weights, "label")
-            heads = g.edges.join(now.select(F.col("vid").alias("src"), F.col("c"), F.col("pe"), F.col("label").alias("own"), F.col("weight").alias("own_weight"), "pos", "batch"), "src")
-            heads = heads.join(state.join(weights, "label").select(F.col("vid").alias("dst"), F.col("pe").alias("dst_pe"), F.col("label").alias("to"), F.col("weight").alias("to_weight")), "dst")
-
-            turn_now = b
-
-            def scan_pe(t: pa.Table) -> pa.Table:  # run before the next batch begins
-                src, dst, w, c, own, to, pos, batch = (np.asarray(t.column(x)) for x in ("src", "dst", "w", "c", "own", "to", "pos", "batch"))
-                weight = dict(zip(own.tolist(), np.asarray(t.column("own_weight")).tolist(), strict=True)) | dict(zip(to.tolist(), np.asarray(t.column("to_weight")).tolist(), strict=True))
-                label = dict(zip(dst.tolist(), to.tolist(), strict=True)) | dict(zip(src.tolist(), own.tolist(), strict=True))
-                first = np.flatnonzero(batch == turn_now)
-                first = first[np.lexsort((dst[first], pos[first]))]
-                out = []
-                for v in np.split(first, np.flatnonzero(np.diff(pos[first])) + 1) if len(first) else []:
-                    vid, cv, conn = int(src[v[0]]), int(c[v[0]]), {}
-                    for k in v.tolist():
-                        x = label[int(dst[k])]
-                        conn[x] = conn.get(x, 0) + int(w[k])
-                    here = label[vid]
-                    old = conn.pop(here, 0)
-                    fit = [(s, -x) for x, s in conn.items() if s > old and weight[x] + cv <= limit]
-                    if fit:
-                        s, x = max(fit)
-                        weight[here] -= cv
-                        weight[-x] += cv
-                        label[vid] = -x
-                        out.append((vid, int(t.column("pe")[0].as_py()), cv, here, -x, s - old))
-                cols = list(zip(*out, strict=True)) if out else [[]] * 6
-                return pa.table({n: pa.array(x, pa.int32() if n == "pe" else pa.int64()) for n, x in zip(("vid", "pe", "c", "old", "new", "gain"), cols, strict=True)})
-
-            moves = snapshot(heads.groupBy("pe").applyInArrow(scan_pe, "vid long, pe int, c long, old long, new long, gain long"))
-            if limit_mode == "revert":
-                moves = snapshot(revert_overweight(moves, moved(state, moves), apply_weight_deltas(weights, moves), limit).filter("not reverted"))
-            n = moves.count()
-            moves_seen += n
-            if n:
-                state = snapshot(moved(state, moves))
-        if not moves_seen:
-            break
-    return state
+    return state, moves
 
 
 def pack_isolated(g: Graph, limit: float) -> DataFrame:
@@ -188,29 +136,36 @@ def pack_isolated(g: Graph, limit: float) -> DataFrame:
 
     Running weights are cut into bins of half the limit's room, so that no bin exceeds it; the smallest id names the bin.
     """
-    alone = g.vertices.join(g.edges.select(F.col("src").alias("vid")), "vid", "left_anti").withColumn("chunk", F.floor(F.col("vid") / 65536))
+    alone = with_copy(g, g.vertices.select("vid", "c").join(g.edges.select(F.col("src").alias("vid")), "vid", "left_anti"), "vid")
+    alone = alone.withColumn("chunk", F.struct("copy", F.floor(F.col("vid") / 65536)))
     size = max(1.0, float(limit) - g.heaviest + 1)
     run = F.sum("c").over(Window.partitionBy("chunk").orderBy("vid").rowsBetween(Window.unboundedPreceding, 0)) - F.col("c")
     binned = alone.withColumn("bin", F.floor(run / F.lit(size)))
     return binned.select("vid", F.min("vid").over(Window.partitionBy("chunk", "bin")).alias("cluster"))
 
 
-def lp_cluster(g: Graph, limit: float, iterations: int, pes: int, seed: int, mode: str = "bulk", limit_mode: str = "revert", within: DataFrame | None = None, count: int = 2, order: str = "buckets") -> DataFrame:
-    """vid, cluster of every vertex. within: vid, block; clusters then stay inside blocks."""
+def lp_cluster(g: Graph, limit: float | list[float], iterations: int, pes: int, seed: int, mode: str = "fleet", limit_mode: str = "revert", within: DataFrame | None = None, count: int = 2, order: str = "buckets", fleet: Fleet | None = None, trace: dict | None = None) -> DataFrame:
+    """vid, cluster of every vertex. within: vid, block; clusters then stay inside blocks. limit: one for each copy, or for all.
+
+    mode 'fleet': PEs that scan and exchange messages; 'bulk': supersteps. Vertices without arcs are packed together.
+    """
     arcs = g.edges
+    limits = limit if isinstance(limit, list) else [float(limit)] * len(g.copies)
     if within is not None:
         b = within.select("vid", "block")
         arcs = snapshot(arcs.join(b.withColumnsRenamed({"vid": "src", "block": "_a"}), "src").join(b.withColumnsRenamed({"vid": "dst", "block": "_b"}), "dst").filter("_a = _b").select("src", "dst", "w"))
-    state = snapshot(assign_pe(g, pes).withColumn("label", F.col("vid")))
-    if mode == "kernel":
-        state = kernel_sweeps(g, state, limit, iterations, pes, seed, limit_mode, count)
+    if mode == "fleet":
+        clusters = propagate(g, pes, limits, iterations, seed, limit_mode, batches=count, arcs=arcs, trace=trace, fleet=fleet).withColumnRenamed("label", "cluster")
     else:
-        weights = state.select("label", F.col("c").alias("weight"), F.lit(float(limit)).alias("limit"))
-        state, _ = sweeps(g, state, weights, limit, iterations, pes, seed, limit_mode, "coin", count, arcs, order)
-    clusters = state.select("vid", F.col("label").alias("cluster"))
+        state = snapshot(assign_pe(g, pes).withColumn("label", F.col("vid")))
+        weights = state.select("label", F.col("c").alias("weight"), F.lit(min(limits)).alias("limit"))
+        state, moves = sweeps(g, state, weights, min(limits), iterations, pes, seed, limit_mode, "coin", count, arcs, order)
+        if trace is not None:
+            trace.update(moves=moves)
+        clusters = state.select("vid", F.col("label").alias("cluster"))
     if within is not None:
         return clusters
-    return clusters.join(pack_isolated(g, limit).withColumnRenamed("cluster", "_bin"), "vid", "left").select("vid", F.coalesce("_bin", "cluster").alias("cluster"))
+    return clusters.join(pack_isolated(g, min(limits)).withColumnRenamed("cluster", "_bin"), "vid", "left").select("vid", F.coalesce("_bin", "cluster").alias("cluster"))
 
 
 def mutual_matching(g: Graph, limit: float, rounds: int, seed: int) -> DataFrame:
@@ -235,7 +190,7 @@ def pair_leftovers(g: Graph, clusters: DataFrame, limit: float, seed: int) -> Da
     alone = clusters.join(clusters.groupBy("cluster").count().filter("count = 1"), "cluster").select("vid").join(g.vertices, "vid")
     toss: Column = coin(seed, "follow", F.least("src", "dst"), F.greatest("src", "dst"))
     favourite = g.edges.join(alone.select(F.col("vid").alias("src")), "src").groupBy(F.col("src").alias("vid")).agg(F.max_by("dst", F.struct("w", toss, "dst")).alias("hub"))
-    rows = alone.join(favourite, "vid", "left").withColumn("hub", F.coalesce("hub", F.lit(-1))).withColumn("_chunk", F.floor(F.col("vid") / 65536))
+    rows = with_copy(g, alone.select("vid", "c").join(favourite, "vid", "left"), "vid").withColumn("hub", F.coalesce("hub", -1 - F.col("copy"))).withColumn("_chunk", F.floor(F.col("vid") / 65536))
     rows = rows.withColumn("_pair", F.floor((F.row_number().over(Window.partitionBy("hub", "_chunk").orderBy("c", "vid")) - 1) / 2))
     both = rows.groupBy("hub", "_chunk", "_pair").agg(F.min("vid").alias("a"), F.max("vid").alias("b"), F.sum("c").alias("c")).filter((F.col("a") < F.col("b")) & (F.col("c") <= limit))
     return clusters.join(both.select(F.col("b").alias("vid"), "a"), "vid", "left").select("vid", F.coalesce("a", "cluster").alias("cluster"))

@@ -21,15 +21,16 @@ def coarse_arcs(g: Graph, clustering: DataFrame) -> DataFrame:
     return named.filter("a <> b").groupBy("a", "b").agg(F.sum("w").alias("w"))
 
 
-def place_clusters(g: Graph, clustering: DataFrame, pes: int, delta: float = 1.1) -> DataFrame:
+def place_clusters(g: Graph, clustering: DataFrame, pes: int, delta: float = 1.1, arcs: DataFrame | None = None) -> DataFrame:
     """cluster, owner, pe: clusters stay with the owner of the vertex that names them, the largest by degree first, up to a cap; the surplus
     fills PEs from the emptiest on.
 
-    The tables of PEs have a row each, which is what the unpartitioned windows see.
+    The tables of PEs have a row each, which is what the unpartitioned windows see. Levels of equal sets of open PEs are intervals, at most two
+    for each PE; the surplus finds its level and PE by arithmetic. arcs: coarse arcs a, b, if they are known.
     """
     sizes = clustering.groupBy("cluster").agg(F.count("*").alias("_n"))
-    degree = coarse_arcs(g, clustering).groupBy(F.col("a").alias("cluster")).agg(F.count("*").alias("deg"))
-    owned = sizes.select("cluster", pe_of(F.col("cluster"), g.n, pes).alias("owner")).join(degree, "cluster", "left").fillna({"deg": 0})
+    degree = (coarse_arcs(g, clustering) if arcs is None else arcs).groupBy(F.col("a").alias("cluster")).agg(F.count("*").alias("deg"))
+    owned = snapshot(sizes.select("cluster", pe_of(F.col("cluster"), g.n, pes).alias("owner")).join(degree, "cluster", "left").fillna({"deg": 0}))
     n = owned.count()
     cap = max(math.floor(delta * n / pes), -(-n // pes))
     ranked = owned.withColumn("_r", F.row_number().over(Window.partitionBy("owner").orderBy(F.desc("deg"), "cluster")))
@@ -38,24 +39,19 @@ def place_clusters(g: Graph, clustering: DataFrame, pes: int, delta: float = 1.1
     # rank of a surplus cluster among all: its owner's offset plus its rank there
     offsets = surplus.groupBy("owner").agg(F.count("*").alias("_k"))
     offsets = offsets.select("owner", (F.sum("_k").over(Window.orderBy("owner").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_k")).alias("_o"))
-    moved = surplus.withColumn("_i", F.row_number().over(Window.partitionBy("owner").orderBy("cluster"))).join(F.broadcast(offsets), "owner").withColumn("_nth", F.col("_o") + F.col("_i"))
-    # water filling: PE p's j-th free slot is at level (kept + j); slots go by level, then PE, and hold the surplus in order
-    count = kept.sparkSession.range(pes).select(F.col("id").cast("int").alias("pe")).join(kept.groupBy("pe").agg(F.count("*").alias("kept")), "pe", "left").fillna({"kept": 0})
-    level = count.withColumn("_room", F.lit(cap) - F.col("kept")).filter("_room > 0")
-    steps = sorted((r["kept"], r["pe"], r["_room"]) for r in level.collect())  # a row for each PE
+    moved = surplus.withColumn("_i", F.row_number().over(Window.partitionBy("owner").orderBy("cluster"))).join(F.broadcast(offsets), "owner").withColumn("_nth", F.col("_o") + F.col("_i") - 1)
+    # water filling: slots go by level (how many a PE has already), then PE
+    have = dict.fromkeys(range(pes), 0) | {r["pe"]: r["n"] for r in kept.groupBy("pe").agg(F.count("*").alias("n")).collect()}  # a row for each PE
+    edges = sorted({x for x in have.values() if x < cap} | {cap})
     runs, nth = [], 0
-    total = moved.count()
-    height = steps[0][0] if steps else 0
-    while nth < total and steps:
-        here = [p for k, p, room in steps if k <= height < k + room]
-        for p in sorted(here):
-            nth += 1
-            runs.append((nth, p))
-            if nth >= total:
-                break
-        height += 1
-    slots = kept.sparkSession.createDataFrame(runs or [(-1, 0)], "_nth long, pe int")
-    return kept.union(moved.join(slots, "_nth").select("cluster", "owner", "pe"))
+    for low, high in zip(edges, edges[1:], strict=False):
+        here = sorted(p for p, x in have.items() if x <= low)
+        runs.append((nth, nth + (high - low) * len(here), len(here), here))
+        nth += (high - low) * len(here)
+    spark = kept.sparkSession
+    levels = spark.createDataFrame(runs or [(0, 0, 1, [0])], "_from long, _to long, _wide int, _pes array<int>")  # at most a row for each PE
+    at = moved.join(F.broadcast(levels), (F.col("_nth") >= F.col("_from")) & (F.col("_nth") < F.col("_to")))
+    return kept.union(at.select("cluster", "owner", F.get("_pes", ((F.col("_nth") - F.col("_from")) % F.col("_wide")).cast("int")).alias("pe")))
 
 
 def renumber(placed: DataFrame) -> DataFrame:
@@ -66,16 +62,21 @@ def renumber(placed: DataFrame) -> DataFrame:
 
 
 def contract(g: Graph, clustering: DataFrame, pes: int = 0, delta: float = 1.1) -> tuple[Graph, DataFrame]:
-    """The coarse graph and the mapping vid, coarse_vid. With pes, ids follow the placement on PEs, otherwise the clusters' order."""
+    """The coarse graph and the mapping vid, coarse_vid. With pes, ids follow the placement on PEs, otherwise the clusters' order.
+
+    Arcs are merged under the clusters' names first; only what is left of them gets ids. Copies stay apart and in order.
+    """
     clustering = snapshot(clustering)
-    if pes:
-        names = snapshot(renumber(place_clusters(g, clustering, pes, delta)))
+    merged = snapshot(coarse_arcs(g, clustering))
+    if pes and len(g.copies) == 1:
+        names = snapshot(renumber(place_clusters(g, clustering, pes, delta, merged)))
     else:
         names = snapshot(dense_ids(clustering.select("cluster").distinct(), "cluster", "coarse_vid").select("cluster", "coarse_vid"))
     mapping = snapshot(clustering.join(names, "cluster").select("vid", "coarse_vid"))
-    vertices = snapshot(g.vertices.join(mapping, "vid").groupBy(F.col("coarse_vid").alias("vid")).agg(F.sum("c").alias("c")))
-    arcs = coarse_arcs(g, mapping.withColumnRenamed("coarse_vid", "cluster"))
-    return Graph.of(vertices, snapshot(arcs.select(F.col("a").alias("src"), F.col("b").alias("dst"), "w"))), mapping
+    copy = [F.min("copy").alias("copy")] if "copy" in g.vertices.columns else []
+    vertices = snapshot(g.vertices.join(mapping, "vid").groupBy(F.col("coarse_vid").alias("vid")).agg(F.sum("c").alias("c"), *copy))
+    ends = lambda old, new: names.select(F.col("cluster").alias(old), F.col("coarse_vid").alias(new))
+    return Graph.of(vertices, snapshot(merged.join(ends("a", "src"), "a").join(ends("b", "dst"), "b").select("src", "dst", "w"))), mapping
 
 
 def project(partition: DataFrame, mapping: DataFrame) -> DataFrame:

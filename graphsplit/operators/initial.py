@@ -15,39 +15,79 @@ from graphsplit.operators import kernels
 from graphsplit.operators.kernels import Csr
 
 
-def gather(g: Graph) -> Csr:
-    """The whole graph as arrays. The caller has checked that it is small."""
+#: Arcs of a graph, or of a block, that one task may hold. More is an error: the scheme bounds the vertices it gathers, not their arcs.
+TASK_ARCS = 50_000_000
+
+
+def gather(g: Graph, vertices: int = 100_000) -> Csr:
+    """The whole graph as arrays on the driver; an error if it has more vertices, or arcs, than a task may hold."""
+    if g.n > vertices or g.arcs > TASK_ARCS:
+        raise ValueError(f"{g.n} vertices and {g.arcs} arcs are too many for one task")
     v, e = g.vertices.select("vid", "c").toArrow().sort_by("vid"), g.edges.select("src", "dst", "w").toArrow()
     return Csr.of(np.asarray(v.column("c")), *(np.asarray(e.column(c)) for c in ("src", "dst", "w")))
 
 
-def replicate(g: Graph, copies: int) -> tuple[DataFrame, DataFrame]:
-    """Vertices and arcs with a copy number, a copy for each group of PEs."""
-    n = g.vertices.sparkSession.range(copies).select(F.col("id").cast("int").alias("copy"))
-    return g.vertices.crossJoin(F.broadcast(n)), g.edges.crossJoin(F.broadcast(n))
+def with_copy(g: Graph, rows: DataFrame, at: str) -> DataFrame:
+    """rows with the copy of the vertex in column `at`."""
+    if len(g.copies) == 1:
+        return rows.withColumn("copy", F.lit(0))
+    return rows.join(g.vertices.select(F.col("vid").alias(at), "copy"), at)
+
+
+def replicate(g: Graph, copies: int) -> Graph:
+    """Each copy of g `copies` times, with ids of their own: the j-th after the other, those of one copy of g together."""
+    spark = g.vertices.sparkSession
+    table = spark.createDataFrame([(i, j, int(off) * copies + j * int(n) - int(off)) for i, (off, n) in enumerate(g.copies) for j in range(copies)], "copy int, j int, shift long")  # a row for each group of PEs
+    table = F.broadcast(table)
+    vertices = with_copy(g, g.vertices.select("vid", "c"), "vid").join(table, "copy").select((F.col("vid") + F.col("shift")).alias("vid"), "c", (F.col("copy") * copies + F.col("j")).cast("int").alias("copy"))
+    arcs = with_copy(g, g.edges, "src").join(table, "copy").select((F.col("src") + F.col("shift")).alias("src"), (F.col("dst") + F.col("shift")).alias("dst"), "w")
+    return Graph.of(snapshot(vertices), snapshot(arcs))
+
+
+def best_copies(g: Graph, partition: DataFrame, copies: int, blocks: int, limits: list[float], onto: Graph) -> DataFrame:
+    """vid, block on `onto`, of which g is a replication: of the `copies` partitions of each of its copies the best, by excess, then cut, then number."""
+    b = partition.select("vid", "block")
+    arcs = g.edges.join(b.withColumnsRenamed({"vid": "src", "block": "_a"}), "src").join(b.withColumnsRenamed({"vid": "dst", "block": "_b"}), "dst")
+    cuts = arcs.filter("_a <> _b").groupBy(F.floor(F.col("_a") / blocks).alias("copy")).agg(F.sum("w").alias("cut"))
+    limit = F.get(F.array(*[F.lit(float(x)) for x in limits]), (F.col("block") % blocks).cast("int")) if len(limits) <= 64 else F.lit(float(max(limits)))
+    over = g.vertices.select("vid", "c").join(partition, "vid").groupBy("block").agg(F.sum("c").alias("w")).withColumn("x", F.greatest(F.lit(0.0), F.col("w") - limit)).groupBy(F.floor(F.col("block") / blocks).alias("copy")).agg(F.sum("x").alias("excess"))
+    rated = over.join(cuts, "copy", "left").fillna({"cut": 0})
+    best = rated.groupBy(F.floor(F.col("copy") / copies).alias("home")).agg(F.min_by("copy", F.struct("excess", "cut", "copy")).alias("copy")).collect()  # a row for each group of PEs
+    spark = partition.sparkSession
+    table = spark.createDataFrame([(int(r["copy"]), int(r["home"]), int(onto.copies[int(r["home"])][0]) - int(g.copies[int(r["copy"])][0])) for r in best], "_copy long, _home long, _shift long")
+    rows = partition.join(F.broadcast(table), F.floor(F.col("block") / blocks) == F.col("_copy"))
+    return snapshot(rows.select((F.col("vid") + F.col("_shift")).alias("vid"), (F.col("_home") * blocks + F.col("block") % blocks).cast("int").alias("block")))
 
 
 def trials(g: Graph, count: int, seed: int, solve) -> DataFrame:
-    """seed, infeasible, cut, part: `count` runs of solve(csr, seed) -> (labels, worst excess) in parallel tasks, each on its own copy.
+    """copy, seed, infeasible, cut, part: `count` runs of solve(csr, seed) -> (labels, worst excess) for each copy of g, each in a task that gathers it.
 
-    A group of PEs that holds a copy of a small graph is one task here.
+    This is what the PEs of a group do with the coarsest graph: all get it, each solves it with its own seed.
     """
-    spark = g.vertices.sparkSession
-    shared = spark.sparkContext.broadcast(gather(g))
+    if g.arcs / len(g.copies) > TASK_ARCS:
+        raise RuntimeError(f"coarsening ended at {g.n} vertices and {g.arcs} arcs, more than a task may hold")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for s in b.column(0).to_pylist():
-                part, excess = solve(shared.value, s)
-                yield pa.RecordBatch.from_arrays([pa.array([s], pa.int64()), pa.array([excess], pa.float64()), pa.array([shared.value.cut(part)], pa.int64()), pa.array([part.astype(np.int32).tolist()], pa.list_(pa.int32()))], names=["seed", "infeasible", "cut", "part"])
+    def run(key: tuple, vertices: pa.Table, arcs: pa.Table) -> pa.Table:
+        vertices = vertices.sort_by("vid")
+        first, s = (vertices.column("vid")[0].as_py(), key[1].as_py())
+        csr = Csr.of(np.asarray(vertices.column("c")), *(np.asarray(arcs.column(c)) - first for c in ("src", "dst")), np.asarray(arcs.column("w")))
+        part, excess = solve(csr, s + 7919 * key[0].as_py())
+        return pa.table({"copy": pa.array([key[0].as_py()], pa.int32()), "seed": pa.array([s], pa.int64()), "infeasible": pa.array([excess], pa.float64()), "cut": pa.array([csr.cut(part)], pa.int64()), "part": pa.array([part.astype(np.int32).tolist()], pa.list_(pa.int32()))})
 
-    return snapshot(spark.range(seed, seed + count, 1, min(count, 64)).mapInArrow(run, "seed long, infeasible double, cut long, part array<int>"))
+    every = F.explode(F.sequence(F.lit(seed).cast("long"), F.lit(seed + count - 1).cast("long"))).alias("seed")
+    spread = lambda rows: rows.select("*", every).repartition(len(g.copies) * count, "copy", "seed").groupBy("copy", "seed")
+    own, arcs = with_copy(g, g.vertices.select("vid", "c"), "vid"), with_copy(g, g.edges, "src").select("copy", "src", "dst", "w")
+    return snapshot(spread(own).cogroup(spread(arcs)).applyInArrow(run, "copy int, seed long, infeasible double, cut long, part array<int>"))
 
 
-def select_best(found: DataFrame) -> DataFrame:
-    """vid, block of the best trial: feasible first, then least cut, then least seed."""
-    best = found.agg(F.min_by("part", F.struct("infeasible", "cut", "seed")).alias("part"))
-    return best.select(F.posexplode("part").alias("vid", "block")).select(F.col("vid").cast("long").alias("vid"), "block")
+def select_best(found: DataFrame, g: Graph | None = None, blocks: int = 0) -> DataFrame:
+    """vid, block of the best trial of each copy: feasible first, then least cut, then least seed."""
+    best = found.groupBy("copy").agg(F.min_by("part", F.struct("infeasible", "cut", "seed")).alias("part"))
+    rows = best.select("copy", F.posexplode("part").alias("vid", "block"))
+    if g is None or len(g.copies) == 1:
+        return rows.select(F.col("vid").cast("long").alias("vid"), "block")
+    offsets = F.broadcast(g.vertices.sparkSession.createDataFrame([(i, int(off)) for i, (off, _) in enumerate(g.copies)], "copy int, off long"))
+    return rows.join(offsets, "copy").select((F.col("vid") + F.col("off")).alias("vid"), (F.col("block") + F.col("copy") * blocks).alias("block"))
 
 
 def excess_of(g: Csr, part: np.ndarray, limits: list[float]) -> float:
@@ -55,14 +95,14 @@ def excess_of(g: Csr, part: np.ndarray, limits: list[float]) -> float:
 
 
 def initial_partition(g: Graph, spans: list[int], k: int, eps: float, count: int, seed: int, strong: bool = False) -> DataFrame:
-    """The best of `count` recursive bisections into len(spans) blocks."""
+    """The best of `count` recursive bisections into len(spans) blocks, of each copy."""
 
     def solve(csr: Csr, s: int) -> tuple[np.ndarray, float]:
         limits = kernels.limits_of(csr, spans, k, eps)
         part = kernels.settle(csr, kernels.split(csr, spans, limits, s, strong), limits, 3, s)
         return part, excess_of(csr, part, limits)
 
-    return select_best(trials(g, count, seed, solve))
+    return snapshot(select_best(trials(g, count, seed, solve), g, len(spans)))
 
 
 def induced_subgraphs(g: Graph, partition: DataFrame) -> DataFrame:
@@ -73,24 +113,26 @@ def induced_subgraphs(g: Graph, partition: DataFrame) -> DataFrame:
 
 
 def extend(g: Graph, partition: DataFrame, spans: list[int], target: int, parts: int, k: int, eps: float, seed: int, strong: bool = False) -> tuple[DataFrame, list[int]]:
-    """Every block split into up to `parts`, towards `target` blocks, each in a task of its own; the partition and the new spans.
+    """Every block split into up to `parts`, towards `target` blocks a copy, each in a task of its own; the partition and the new spans.
 
     The deep scheme keeps a block of a level to a bounded number of vertices, so that one fits into a task.
     """
     children, more = kernels.widen(spans, target, parts)
     if not more:
         return partition, spans
-    starts = np.cumsum([0] + [len(x) for x in children]).tolist()
+    starts, blocks = np.cumsum([0] + [len(x) for x in children]).tolist(), len(spans)
     total, heaviest = g.total, g.heaviest
 
     def split_block(key: tuple, vertices: pa.Table, arcs: pa.Table) -> pa.Table:
-        b = key[0].as_py()
+        copy, b = divmod(key[0].as_py(), blocks)
+        if arcs.num_rows > TASK_ARCS:
+            raise RuntimeError(f"a block of {arcs.num_rows} arcs is more than a task may hold")
         vertices = vertices.sort_by("vid")
         ids = np.asarray(vertices.column("vid"))
         src, dst = (np.searchsorted(ids, np.asarray(arcs.column(c))) for c in ("src", "dst"))
         csr = Csr.of(np.asarray(vertices.column("c")), src, dst, np.asarray(arcs.column("w")))
         limits = [block_limit(total, k, eps, heaviest, s) for s in children[b]]
-        part = kernels.split(csr, children[b], limits, seed + 31 * b, strong) + starts[b]
+        part = kernels.split(csr, children[b], limits, seed + 31 * b + 7919 * copy, strong) + starts[b] + copy * starts[-1]
         return pa.table({"vid": pa.array(ids), "block": pa.array(part.astype(np.int32))})
 
     inside = induced_subgraphs(g, partition).withColumnRenamed("block", "_block").groupBy("_block")

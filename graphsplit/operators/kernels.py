@@ -11,7 +11,7 @@ from dataclasses import dataclass
 
 import numpy as np
 
-from graphsplit.functions.columns import block_limit, ceil2, max_cluster_weight, target_blocks
+from graphsplit.functions.columns import block_limit, max_cluster_weight, target_blocks
 
 
 @dataclass
@@ -255,14 +255,16 @@ def grow(g: Csr, goal: float, rng: np.random.Generator) -> np.ndarray:
 
 
 def bisect(g: Csr, goal: float, limits: tuple[float, float], seed: int, strong: bool) -> np.ndarray:
-    """Sides 0 and 1 with side 0 near `goal`, from several grown starts; larger graphs are coarsened first."""
+    """Sides 0 and 1 with side 0 near `goal`: coarsened by small clusters down to a few vertices, the best of several grown starts there, local
+    search on every level up.
+    """
     rng = np.random.default_rng(seed)
-    if g.n > (400 if strong else 800):
-        small, to = contract(g, cluster(g, max(g.heaviest, g.total / 120), 3, seed))
+    if g.n > 160:
+        small, to = contract(g, cluster(g, max(g.heaviest, g.total / max(80, g.n // (3 if strong else 4))), 3, seed))
         if small.n < 0.9 * g.n:
-            return fm(g, bisect(small, goal, limits, seed + 1, strong)[to], limits)
+            return fm(g, bisect(small, goal, limits, seed + 1, strong)[to], limits, 8 if strong else 3)
     best = None
-    for _ in range(12 if strong else 4):
+    for _ in range(24 if strong else 8):
         side = fm(g, grow(g, goal, rng), limits, 8 if strong else 3)
         weight = np.bincount(side, weights=g.c, minlength=2)
         key = (max(0.0, weight[0] - limits[0], weight[1] - limits[1]), g.cut(side))
@@ -338,29 +340,6 @@ def deep(g: Csr, k: int, eps: float, c: int, parts: int, sweeps: int, seed: int,
     return part, spans, [*trace, (g.n, len(spans))]
 
 
-def multilevel(g: Csr, k: int, eps: float, c: int, sweeps: int, seed: int, strong: bool = False, local_only: int = 1, balanced: bool = True, cluster_with=None, start: np.ndarray | None = None) -> np.ndarray:
-    """Plain multilevel scheme: coarsen to about c * k vertices, split into k blocks at once, refine on the way up.
-
-    local_only: with more than 1, the cluster limit is only kept by each of so many ranges of vertices, as baselines without a global
-    limit do. balanced: whether overloaded blocks are repaired. start: a partition that clusters must respect (a V-cycle).
-    """
-    if g.n > max(2 * k, min(c, 60) * k):
-        limit = max_cluster_weight(g.total, g.n, k, c, eps) * local_only
-        label = (cluster_with or cluster)(g, limit, sweeps, seed, start)
-        small, to = contract(g, label)
-        if small.n <= 0.95 * g.n:
-            inner = None
-            if start is not None:
-                inner = np.zeros(small.n, dtype=np.int64)
-                inner[to] = start
-            part = multilevel(small, k, eps, c, sweeps, seed + 1, strong, local_only, balanced, cluster_with, inner)[to]
-            limits = limits_of(g, [1] * k, k, eps)
-            return settle(g, part, limits, sweeps, seed) if balanced else refine(g, part, limits, sweeps, seed)
-    limits = limits_of(g, [1] * k, k, eps)
-    part = start if start is not None else split(g, [1] * k, limits, seed, strong)
-    return settle(g, part, limits, sweeps, seed) if balanced else refine(g, part, limits, sweeps, seed)
-
-
 def matching(g: Csr, limit: float, rounds: int, seed: int, within: np.ndarray | None = None) -> np.ndarray:
     """Heavy-edge matching by mutual best proposals: in each round unmatched vertices propose along their heaviest arc, mutual ones pair up."""
     label, free, t = np.arange(g.n), np.ones(g.n, bool), g.tails()
@@ -399,7 +378,3 @@ def brute_force(g: Csr, k: int, limit: float) -> tuple[int, np.ndarray]:
         if np.bincount(part, weights=g.c, minlength=k).max() <= limit and (best is None or g.cut(part) < best[0]):
             best = (g.cut(part), part)
     return best
-
-
-def levels_of(n: int, k: int, c: int) -> int:
-    return min(k, ceil2(n / c))

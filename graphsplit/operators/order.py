@@ -15,12 +15,6 @@ def degree_buckets(g: Graph) -> DataFrame:
     return g.vertices.select("vid").join(d, "vid", "left").fillna({"deg": 0}).withColumn("bucket", degree_bucket(F.col("deg")))
 
 
-def rearrange(g: Graph, layout: DataFrame) -> DataFrame:
-    """Arcs partitioned by PE, rows of a PE in the order of their tails' buckets."""
-    tails = degree_buckets(g).join(layout.select("vid", "pe"), "vid").withColumnRenamed("vid", "src")
-    return g.edges.join(tails, "src").repartition("pe").sortWithinPartitions("pe", "bucket", "src")
-
-
 def traversal(g: Graph, layout: DataFrame, chunk_size: int, seed: int, order: str = "buckets") -> DataFrame:
     """vid, pe, pos: each PE's own order. Buckets of low degree first, cut into chunks; chunks and vertices in a chunk are shuffled.
 

@@ -83,6 +83,11 @@ def _(g):
     return g.edges.groupBy(F.col("src").alias("vid")).agg(F.array_sort(F.collect_list(F.struct("dst", "w"))).alias("a")).select("vid", F.array_join(F.transform("a", lambda x: F.concat_ws(":", x["dst"], x["w"])), ",").alias("neighbours"))
 
 
+@on("connected_pairs", "geo_tree", "SELECT u, v, w FROM e")
+def _(g):
+    return g.edges.filter("src < dst").select(F.col("src").alias("u"), F.col("dst").alias("v"), "w")
+
+
 @on("graph_problems", "page_sim", "SELECT 'none' AS problem, vid AS a, vid AS b FROM ids WHERE false")
 def _(g):
     return g.validate()
@@ -212,6 +217,18 @@ def _(g):
     return cl.superstep(g.edges, state, weights, turn, 3, "revert", "coin", 1)[0].select("vid", "label")
 
 
+SWEEP = ONE + f""", r2 AS (SELECT src AS vid, s.label, sum(w)::BIGINT AS conn FROM arcs JOIN bat ON bat.vid = src AND batch = 1 JOIN st s ON s.vid = dst GROUP BY ALL),
+c2 AS (SELECT r2.vid, r2.label, r2.conn, row_number() OVER (PARTITION BY r2.vid ORDER BY r2.conn DESC, {toss(1, "tie", "r2.vid", "r2.label")} DESC, r2.label DESC) AS k, r2.conn - coalesce(o.conn, 0) AS gain
+  FROM r2 JOIN st ON st.vid = r2.vid JOIN wt ON wt.label = r2.label LEFT JOIN r2 o ON o.vid = r2.vid AND o.label = st.label WHERE r2.label <> st.label AND wt.weight + st.c <= 3),
+m2 AS (SELECT vid, label AS new FROM c2 WHERE k = 1 AND gain > 0)"""
+
+
+@on("lp_one_sweep", "event_chain", SWEEP + " SELECT st.vid, coalesce(m2.new, st.label) AS label FROM st LEFT JOIN m2 ON m2.vid = st.vid")
+def _(g):
+    state, weights, _ = first_batch(g)
+    return cl.sweeps(g, state, weights, 3, 1, 4, 1, "overshoot", "coin", 2)[0].select("vid", "label")
+
+
 @on("strict_admission", "event_chain", ONE + ", a AS (SELECT mv.*, sum(mv.c) OVER (PARTITION BY new ORDER BY gain DESC, mv.vid ROWS UNBOUNDED PRECEDING) > 3 - t.c AS reverted FROM mv JOIN ids t ON t.vid = new) SELECT vid, pe, c, old, new, gain, reverted FROM a")
 def _(g):
     _, weights, moves = first_batch(g)
@@ -262,12 +279,19 @@ def _(g):
     return con.check_contraction(g, coarse, mapping)
 
 
-@on("place_clusters", "custpart", "SELECT count(*) AS clusters, true AS within_cap, 4::BIGINT AS pes FROM (SELECT DISTINCT CASE WHEN vid < 1000 THEN vid ELSE (vid // 10) * 10 END AS cluster FROM ids)")
+PLACE = """, cl AS (SELECT vid, CASE WHEN vid < (SELECT count(*) // 4 FROM ids) THEN vid ELSE (vid // 10) * 10 END AS cluster FROM ids),
+dg AS (SELECT s.cluster, count(DISTINCT d.cluster) AS deg FROM arcs JOIN cl s ON s.vid = src JOIN cl d ON d.vid = dst WHERE s.cluster <> d.cluster GROUP BY ALL),
+ow AS (SELECT cluster, ((cluster * 4) // (SELECT count(*) FROM ids))::INT AS owner, coalesce(deg, 0) AS deg FROM (SELECT DISTINCT cluster FROM cl) LEFT JOIN dg USING (cluster)),
+rk AS (SELECT *, row_number() OVER (PARTITION BY owner ORDER BY deg DESC, cluster) AS r, greatest(floor(1.1::DOUBLE * count(*) OVER () / 4), ceil(count(*) OVER () / 4)) AS cap FROM ow),
+free AS (SELECT pe::INT AS pe, unnest(range((SELECT count(*) FROM rk WHERE owner = pe AND r <= cap), (SELECT max(cap) FROM rk)::BIGINT)) AS level FROM range(4) t(pe)),
+slot AS (SELECT pe, row_number() OVER (ORDER BY level, pe) AS nth FROM free),
+sp AS (SELECT cluster, owner, row_number() OVER (ORDER BY owner, cluster) AS nth FROM rk WHERE r > cap)"""
+
+
+@on("place_clusters", "custpart", PLACE + " SELECT cluster, owner, owner AS pe FROM rk WHERE r <= cap UNION ALL SELECT cluster, owner, pe FROM sp JOIN slot USING (nth)")
 def _(g):
-    skewed = g.vertices.select("vid", F.when(F.col("vid") < 1000, F.col("vid")).otherwise(F.floor(F.col("vid") / 10) * 10).alias("cluster"))
-    placed = con.place_clusters(g, skewed, 4)
-    sizes = placed.groupBy("pe").agg(F.count("*").alias("n"))
-    return sizes.agg(F.sum("n").alias("clusters"), (F.max("n") <= F.floor(F.sum("n") * 1.1 / 4)).alias("within_cap"), F.count("*").alias("pes"))
+    lone = F.col("vid") < g.n // 4
+    return con.place_clusters(g, g.vertices.select("vid", F.when(lone, F.col("vid")).otherwise(F.floor(F.col("vid") / 10) * 10).alias("cluster")), 4)
 
 
 @on("renumber_clusters", "copurchase", "SELECT (vid // 10) * 10 AS cluster, row_number() OVER (ORDER BY ((vid // 10) * 10 * 4) // (SELECT count(*) FROM ids), (vid // 10) * 10) - 1 AS coarse_vid FROM ids WHERE vid % 10 = 0")
@@ -431,11 +455,26 @@ def _(g):
     return bal.top_ell(candidates(g), 4).withColumn("rel_gain", F.round("rel_gain", 9))
 
 
-@on("balance_by_windows", "custpart", CAND + ", ad AS (SELECT cd.vid, cd.target, sum(cd.c) OVER (PARTITION BY cd.target ORDER BY rel_gain DESC, cd.vid ROWS UNBOUNDED PRECEDING) AS s, wl.lim - wl.weight AS room FROM cd JOIN wl ON wl.block = cd.target) SELECT vid, target AS new FROM ad WHERE s <= room")
+@on("balance_by_windows", "custpart", CAND + ", gv AS (SELECT * FROM (SELECT cd.*, sum(cd.c) OVER (PARTITION BY cd.block ORDER BY rel_gain DESC, cd.vid ROWS UNBOUNDED PRECEDING) - cd.c AS given FROM cd) WHERE given < excess), ad AS (SELECT gv.vid, gv.block AS old, gv.target, sum(gv.c) OVER (PARTITION BY gv.target ORDER BY rel_gain DESC, gv.vid ROWS UNBOUNDED PRECEDING) AS s, wl.lim - wl.weight AS room FROM gv JOIN wl ON wl.block = gv.target) SELECT vid, old, target AS new FROM ad WHERE s <= room")
 def _(g):
     return bal.window_moves(candidates(g), skew_weights(g))
 
 
+# the root's walk over the best candidates: weights of the four blocks change along the way
+ROUND = CAND + """, tp AS (SELECT *, row_number() OVER (PARTITION BY block ORDER BY rel_gain DESC, vid) AS rk, coalesce(sum(c) OVER (PARTITION BY block ORDER BY rel_gain DESC, vid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS pre FROM cd),
+sq AS (SELECT *, row_number() OVER (ORDER BY rel_gain DESC, vid) AS i FROM tp WHERE rk <= 64 AND pre < excess),
+lm AS (SELECT any_value(lim) AS lim, list(weight ORDER BY block) AS ws FROM wl),
+walk AS (SELECT 0::BIGINT AS i, ws, -1::BIGINT AS vid, -1 AS old, -1 AS new FROM lm
+  UNION ALL SELECT sq.i, CASE WHEN t.new >= 0 THEN list_transform(walk.ws, lambda x, j: CASE WHEN j = sq.block + 1 THEN x - sq.c WHEN j = t.new + 1 THEN x + sq.c ELSE x END) ELSE walk.ws END, sq.vid, sq.block, t.new
+  FROM walk JOIN sq ON sq.i = walk.i + 1 CROSS JOIN lm, LATERAL (SELECT CASE WHEN walk.ws[sq.block + 1] <= lm.lim THEN -1 WHEN walk.ws[sq.target + 1] + sq.c <= lm.lim THEN sq.target
+    WHEN list_position(walk.ws, list_min(walk.ws)) - 1 <> sq.block AND list_min(walk.ws) + sq.c <= lm.lim THEN list_position(walk.ws, list_min(walk.ws)) - 1 ELSE -1 END::INT AS new) t)"""
+
+
+@on("balance_one_round", "custpart", ROUND + " SELECT p.vid, coalesce(walk.new, p.block)::INT AS block FROM p LEFT JOIN walk ON walk.vid = p.vid AND walk.new >= 0")
+def _(g):
+    return bal.balance_round(g, skewed(g), lay.assign_pe(g, 4), skew_weights(g), 64)[0]
+
+
 RATE2 = LAY + SKEW + WL + f""", r AS (SELECT src AS vid, p.block AS label, sum(w)::BIGINT AS conn FROM arcs JOIN p ON p.vid = dst GROUP BY ALL),
 own AS (SELECT p.vid, p.block AS old, p.c, pe, coalesce(conn, 0) AS oc, wl.weight AS ow FROM p JOIN lay ON lay.vid = p.vid JOIN wl ON wl.block = p.block LEFT JOIN r ON r.vid = p.vid AND label = p.block),
 bm AS (SELECT own.*, r.label AS new, conn - oc AS gain, wl.weight, row_number() OVER (PARTITION BY own.vid ORDER BY conn DESC, wl.weight, {toss(3, "tie", "own.vid", "r.label")} DESC, r.label DESC) AS k FROM r JOIN own ON own.vid = r.vid JOIN wl ON wl.block = r.label WHERE r.label <> old AND wl.weight + c <= lim)"""
@@ -448,6 +487,13 @@ def _(g):
     return cl.best_move(cl.rate(g.edges, state), state, weights, "lighter", 3)
 
 
+@on("tie_lighter_block", "user_slot", RATE2 + " SELECT vid, old::BIGINT AS old, new::BIGINT AS new FROM bm WHERE k = 1 AND gain = 0 AND weight < ow - c")
+def _(g):
+    state = lay.assign_pe(g, 4).join(skewed(g), "vid").select("vid", "c", "pe", F.col("block").cast("long").alias("label"))
+    weights = skew_weights(g).select(F.col("block").cast("long").alias("label"), "weight", "limit")
+    return cl.best_move(cl.rate(g.edges, state), state, weights, "lighter", 3).filter("gain = 0").select("vid", "old", "new")
+
+
 # Whole methods: facts about what they return
 FACTS = "SELECT (SELECT count(*) FROM ids) AS n, (SELECT sum(c)::BIGINT FROM ids) AS total_c, (SELECT coalesce(sum(w), 0)::BIGINT FROM e) AS total_w, (SELECT count(*) FROM ids) AS covered, true AS in_range, (SELECT sum(c)::BIGINT FROM ids) AS block_weight, {k}::BIGINT AS k"
 

@@ -7,10 +7,12 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from graphsplit.model import Graph, RawGraph, densify
+from graphsplit.model import Graph, RawGraph, densify, snapshot
 
 KIND = 1 << 40
 
@@ -48,6 +50,14 @@ def build_trade(spark, sf_dir):
     return RawGraph(keys(read(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("key"))), counted(pairs))
 
 
+def build_region_trade(spark, sf_dir):
+    """The trade graph contracted by region."""
+    home = read(spark, sf_dir, "nation").select(F.col("n_nationkey").cast("long").alias("nation"), F.col("n_regionkey").cast("long").alias("region"))
+    e = build_trade(spark, sf_dir).edges
+    pairs = e.join(home.withColumnsRenamed({"nation": "u", "region": "_u"}), "u").join(home.withColumnsRenamed({"nation": "v", "region": "_v"}), "v")
+    return RawGraph(home.groupBy(F.col("region").alias("key")).agg(F.count("*").alias("c")), counted(pairs.select(F.col("_u").alias("u"), F.col("_v").alias("v"), "w"), F.col("w")))
+
+
 def build_geo_tree(spark, sf_dir):
     n = read(spark, sf_dir, "nation").select("n_nationkey", "n_regionkey")
     c, s = read(spark, sf_dir, "customer").select("c_custkey", "c_nationkey"), read(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey")
@@ -87,10 +97,23 @@ def build_order_star(spark, sf_dir):
     return RawGraph(every, counted(pairs))
 
 
+def following(events: DataFrame, by: str) -> DataFrame:
+    """u, v: every event and the next one of the same `by`, by time.
+
+    Few values of `by` hold all events: each is cut into ranges of time, which are sorted in tasks of their own; the borders, a row for each value
+    and range, are stitched.
+    """
+    cells = F.struct(F.col(by), F.date_trunc("hour", "ts"))
+    own = Window.partitionBy("cell").orderBy("ts", "event_id")
+    rows = events.withColumn("cell", cells).withColumn("next", F.lead("event_id").over(own))
+    firsts = rows.groupBy("cell").agg(F.min_by("event_id", F.struct("ts", "event_id")).alias("first"), F.max_by("event_id", F.struct("ts", "event_id")).alias("last"))
+    borders = firsts.withColumn("then", F.lead("first").over(Window.partitionBy(f"cell.{by}").orderBy("cell")))
+    return rows.filter("next is not null").select(F.col("event_id").alias("u"), F.col("next").alias("v")).union(borders.filter("then is not null").select("last", "then"))
+
+
 def build_event_chain(spark, sf_dir):
     e = read(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type")
-    after = lambda by: e.select(F.col("event_id").alias("u"), F.lead("event_id").over(Window.partitionBy(by).orderBy("ts", "event_id")).alias("v"))
-    return RawGraph(keys(e.select(F.col("event_id").alias("key"))), counted(after("user_id").union(after("event_type"))))
+    return RawGraph(keys(e.select(F.col("event_id").alias("key"))), counted(following(e, "user_id").union(following(e, "event_type"))))
 
 
 def build_user_slot(spark, sf_dir):
@@ -118,9 +141,28 @@ def build_link(spark, sf_dir):
     return RawGraph(keys(ends(edges).select("key"), read(spark, sf_dir, "pages").select(F.concat(F.lit("p:"), F.col("page_id").cast("string")).alias("key"))), edges)
 
 
+#: Holders of one value that meet in one task.
+HOLDERS = 1024
+
+
+def sharing(rows: DataFrame, key: str, value: str) -> DataFrame:
+    """u < v, w: pairs of keys and how many values they share. rows are distinct.
+
+    The holders of a popular value are dealt to blocks; pairs of blocks meet in tasks of their own, so that no task makes all its pairs.
+    """
+    rows = rows.filter(F.col(key).isNotNull() & F.col(value).isNotNull()).select(F.col(key).alias("k"), F.xxhash64(value).alias("h"), F.md5(F.col(value).cast("binary")).alias("m"))
+    parts = rows.groupBy("h", "m").agg(F.ceil(F.count("*") / HOLDERS).cast("int").alias("parts"), F.count("*").alias("n")).filter("n > 1").drop("n")
+    dealt = rows.join(parts, ["h", "m"]).withColumn("b", F.pmod(F.xxhash64("k"), F.col("parts")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    at = ["h", "m", "i", "j"]
+    placed = snapshot(dealt.select("h", "m", "k", "b", F.least("b", "o").alias("i"), F.greatest("b", "o").alias("j")))
+    left, right = placed.filter("b = i").select(*at, F.col("k").alias("u")), placed.filter("b = j").select(*at, F.col("k").alias("v"))
+    # blocks i < j meet both ways round; within a block each pair once
+    pairs = left.repartition(*at).join(right.repartition(*at), at).filter("(i = j and u < v) or (i < j and u <> v)")
+    return pairs.groupBy(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).agg(F.count("*").alias("w"))
+
+
 def build_page_sim(spark, sf_dir):
-    to = links(spark, sf_dir).distinct()
-    edges = to.select(F.col("page_id").alias("u"), "to").join(to.select(F.col("page_id").alias("v"), "to"), "to").filter("u < v").groupBy("u", "v").agg(F.count("*").alias("w"))
+    edges = sharing(links(spark, sf_dir).distinct(), "page_id", "to")
     return RawGraph(keys(read(spark, sf_dir, "pages").select(F.col("page_id").alias("key"))), edges)
 
 
@@ -145,10 +187,48 @@ def _rgg(dims: int, r: float):
     return build
 
 
+def knn(points: DataFrame, k: int, block: int = 2048) -> DataFrame:
+    """u < v, w = 1: pairs of which one is among the k most alike of the other by cosine, ties to the smaller key. points: key, x (doubles).
+
+    Every point is asked against all, in blocks of both that meet in a task of their own; a task keeps the k best of each point.
+    """
+    spark = points.sparkSession
+    n = max(1, -(-points.count() // block))
+    own = points.withColumn("b", F.pmod(F.xxhash64("key"), F.lit(n)).cast("int"))
+    every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    asked = own.select("key", "x", F.col("b").alias("q"), every.alias("b"), F.lit(1).alias("role"))
+    there = own.select("key", "x", every.alias("q"), "b", F.lit(0).alias("role"))
+
+    def best(table: pa.Table) -> pa.Table:
+        key, role = (np.asarray(table.column(c)) for c in ("key", "role"))
+        x = np.stack([np.asarray(v) for v in table.column("x").to_pylist()])
+        x = x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
+        a, b = np.flatnonzero(role == 1), np.flatnonzero(role == 0)
+        out = [[], [], []]
+        for i, row in zip(key[a].tolist(), np.round(x[a] @ x[b].T, 12), strict=True):
+            top = [j for j in np.lexsort((key[b], -row))[: k + 1].tolist() if key[b][j] != i][:k]
+            for o, v in zip(out, ([i] * len(top), key[b][top].tolist(), row[top].tolist()), strict=True):
+                o += v
+        return pa.table({"u": pa.array(out[0], pa.int64()), "v": pa.array(out[1], pa.int64()), "s": pa.array(out[2], pa.float64())})
+
+    near = asked.union(there).repartition(min(20_000, n * n), "q", "b").groupBy("q", "b").applyInArrow(best, "u long, v long, s double")
+    rank = F.row_number().over(Window.partitionBy("u").orderBy(F.desc("s"), "v"))
+    kept = near.withColumn("r", rank).filter(F.col("r") <= k)
+    return kept.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct().withColumn("w", F.lit(1).cast("long"))
+
+
+def _knn(k: int):
+    def build(spark, sf_dir):
+        p = read(spark, sf_dir, "embeddings").select(F.col("vec_id").cast("long").alias("key"), F.transform("embedding", lambda x: x.cast("double")).alias("x"))
+        return RawGraph(keys(p.select("key")), knn(p, k))
+
+    return build
+
+
 def build_doc_dup(spark, sf_dir):
     docs = read(spark, sf_dir, "documents").select("doc_id", "text", "n_chars")
     lines = docs.select("doc_id", F.explode(F.split("text", "\n")).alias("l")).select("doc_id", F.lower(F.trim("l")).alias("l")).filter("length(l) >= 20").distinct()
-    edges = lines.select(F.col("doc_id").alias("u"), "l").join(lines.select(F.col("doc_id").alias("v"), "l"), "l").filter("u < v").groupBy("u", "v").agg(F.count("*").alias("w"))
+    edges = sharing(lines, "doc_id", "l")
     return RawGraph(docs.select(F.col("doc_id").alias("key"), (F.floor(F.col("n_chars") / 1000) + 1).cast("long").alias("c")), edges)
 
 
@@ -170,7 +250,7 @@ def build_turns(spark, sf_dir):
 BUILDERS: dict[str, Callable[[SparkSession, str], RawGraph]] = {
     "trade": build_trade, "geo_tree": build_geo_tree, "copurchase": build_copurchase, "copurchase_sized": build_copurchase_sized, "custpart": build_custpart, "partsupp": build_partsupp,
     "order_star": build_order_star, "event_chain": build_event_chain, "user_slot": build_user_slot, "word": build_word, "link": build_link, "page_sim": build_page_sim,
-    "emb_rgg2": _rgg(2, 0.03), "emb_rgg3": _rgg(3, 0.06), "doc_dup": build_doc_dup, "bench_doc": build_bench_doc, "turns": build_turns,
+    "emb_rgg2": _rgg(2, 0.03), "emb_rgg3": _rgg(3, 0.06), "emb_knn": _knn(8), "region_trade": build_region_trade, "doc_dup": build_doc_dup, "bench_doc": build_bench_doc, "turns": build_turns,
 }
 
 _loaded: dict[tuple[str, str, str], Graph] = {}
@@ -209,6 +289,8 @@ SQL: dict[str, tuple[str, str]] = {
     "word": (_PAIR.format("SELECT t[i] AS u, t[i + 1] AS v FROM (SELECT t, unnest(range(1, len(t))) AS i FROM (SELECT list_filter(string_split(lower(text), ' '), lambda x: x <> '') AS t FROM documents))"), _ENDS),
     "link": (_PAIR.format("SELECT 'p:' || page_id AS u, 't:' || x AS v FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS x FROM pages)"), "SELECT key, 1 AS c FROM (SELECT u AS key FROM raw_e UNION SELECT v FROM raw_e UNION SELECT 'p:' || page_id FROM pages)"),
     "page_sim": ("WITH l AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS x FROM pages) SELECT a.page_id AS u, b.page_id AS v, count(*) AS w FROM l a JOIN l b ON a.x = b.x AND a.page_id < b.page_id GROUP BY ALL", "SELECT page_id AS key, 1 AS c FROM pages"),
+    "region_trade": ("SELECT least(a.n_regionkey, b.n_regionkey)::BIGINT AS u, greatest(a.n_regionkey, b.n_regionkey)::BIGINT AS v, sum(w)::BIGINT AS w FROM (" + _PAIR.format("SELECT c_nationkey AS u, s_nationkey AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey") + ") JOIN nation a ON a.n_nationkey = u JOIN nation b ON b.n_nationkey = v WHERE a.n_regionkey <> b.n_regionkey GROUP BY ALL", "SELECT n_regionkey::BIGINT AS key, count(*) AS c FROM nation GROUP BY ALL"),
+    "emb_knn": ("WITH x AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS x FROM embeddings), nn AS (SELECT a.vec_id AS a, b.vec_id AS b, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(a.x, b.x), 12) DESC, b.vec_id) AS r FROM x a JOIN x b ON a.vec_id <> b.vec_id) SELECT DISTINCT least(a, b) AS u, greatest(a, b) AS v, 1 AS w FROM nn WHERE r <= 8", "SELECT vec_id AS key, 1 AS c FROM embeddings"),
     "emb_rgg2": _sql_rgg(2, 0.03),
     "emb_rgg3": _sql_rgg(3, 0.06),
     "doc_dup": ("WITH l AS (SELECT DISTINCT doc_id, lower(trim(x)) AS l FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS x FROM documents) WHERE length(trim(x)) >= 20) SELECT a.doc_id AS u, b.doc_id AS v, count(*) AS w FROM l a JOIN l b ON a.l = b.l AND a.doc_id < b.doc_id GROUP BY ALL", "SELECT doc_id AS key, 1 + n_chars // 1000 AS c FROM documents"),
