@@ -18,9 +18,9 @@ from graphsplit.operators import initial as ini
 from graphsplit.operators import layout as lay
 from graphsplit.operators import measures as ms
 from graphsplit.operators import order as ordr
-from graphsplit.plans import baselines, report
+from graphsplit.plans import baselines, experiments, report
 from graphsplit.plans.deep import DeepParams, DeepResult, deep_partition, limits_for
-from graphsplit.sources import graphs
+from graphsplit.sources import generators, graphs
 from graphsplit.sources.graphs import load_graph, sql_graph
 from graphsplit.streaming import edges as stream
 
@@ -494,29 +494,25 @@ def _(g):
     return cl.best_move(cl.rate(g.edges, state), state, weights, "lighter", 3).filter("gain = 0").select("vid", "old", "new")
 
 
-# Whole methods: facts about what they return
-FACTS = "SELECT (SELECT count(*) FROM ids) AS n, (SELECT sum(c)::BIGINT FROM ids) AS total_c, (SELECT coalesce(sum(w), 0)::BIGINT FROM e) AS total_w, (SELECT count(*) FROM ids) AS covered, true AS in_range, (SELECT sum(c)::BIGINT FROM ids) AS block_weight, {k}::BIGINT AS k"
+# Whole methods. Facts about what they return on graphs of the tables; blocks and optima where these are known.
+FACTS = "SELECT (SELECT count(*) FROM ids) AS n, (SELECT sum(c)::BIGINT FROM ids) AS total_c, (SELECT coalesce(sum(w), 0)::BIGINT FROM e) AS total_w, (SELECT count(*) FROM ids) AS covered, true AS in_range, (SELECT sum(c)::BIGINT FROM ids) AS block_weight, {k}::BIGINT AS k, {k}::BIGINT AS blocks"
 
 
-def facts(g, p, k, reference=None, feasible=True, levels=None):
-    """One row recomputed from the partition: coverage, range of labels, weight in blocks, and what the method promises.
-
-    What a run of the deep scheme returns after falling back to ranges of ids isn't its own: then no vertex counts as covered.
-    """
-    fallback = isinstance(p, DeepResult) and p.fallback
-    p = snapshot(p.partition if isinstance(p, DeepResult) else p)
-    v = ms.validate_partition(g, p, k).first()
-    f = ms.feasibility(g, p, k, 0.03).first()
-    w = ms.block_weights(g, p, k).agg(F.sum("weight")).first()[0]
+def facts(g, p, k, reference=None, feasible=True, coarsened=False):
+    """One row recomputed from the partition: coverage, range of labels, weight in blocks, blocks in use, and what the method promises."""
+    deep_result = p if isinstance(p, DeepResult) else None
+    p = snapshot(p.partition if deep_result else p)
+    v, f = ms.validate_partition(g, p, k).first(), ms.feasibility(g, p, k, 0.03).first()
+    w = ms.block_weights(g, p, k).agg(F.sum("weight"), F.count(F.when(F.col("vertices") > 0, 1))).first()
     total_w = g.edges.agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0] // 2
-    row = {"n": g.n, "total_c": g.total, "total_w": total_w, "covered": v["distinct_vertices"] if v["rows"] == g.n and not v["strangers"] and not fallback else -1, "in_range": v["out_of_range"] == 0, "block_weight": w, "k": k}
+    row = {"n": g.n, "total_c": g.total, "total_w": total_w, "covered": v["distinct_vertices"] if v["rows"] == g.n and not v["strangers"] else -1, "in_range": v["out_of_range"] == 0, "block_weight": w[0], "k": k, "blocks": w[1]}
     kinds = {"in_range": "boolean"}
     if feasible:
         row["feasible"], kinds["feasible"] = f["feasible"], "boolean"
     if reference is not None:
         row["below_reference"], kinds["below_reference"] = ms.edge_cut(g, p).first()["cut"] <= reference(g, k), "boolean"
-    if levels is not None:
-        row["levels_ok"], kinds["levels_ok"] = levels, "boolean"
+    if coarsened:  # the graph is above C * min(k, K) vertices, so that levels were coarsened, each to fewer blocks than its size asks for
+        row["coarsened"], kinds["coarsened"] = deep_result.distributed >= 1 and all(b == min(k, max(2, columns.ceil2(n / coarsened))) for n, b in deep_result.levels[1:-1]), "boolean"
     return g.vertices.sparkSession.createDataFrame([tuple(row.values())], ", ".join(f"{c} {kinds.get(c, 'long')}" for c in row))
 
 
@@ -524,48 +520,141 @@ def by_modulo(share):
     return lambda g, k: share * ms.edge_cut(g, modulo(g, k)).first()["cut"]
 
 
-def by_time(g, k):
-    half = g.vertices.select("vid", F.floor(F.col("vid") * k / g.n).cast("int").alias("block"))
-    return 3 * ms.edge_cut(g, half).first()["cut"]
+def by_time(share):
+    """Slices of ids, which follow time in the graph of events."""
+    return lambda g, k: share * ms.edge_cut(g, baselines.range_partition(g, k)).first()["cut"]
 
 
-def method(name, graph, k, solve, reference=None, feasible=True):
-    extra = (", true AS feasible" if feasible else "") + (", true AS below_reference" if reference else "")
-    return on(name, graph, FACTS.format(k=k) + extra)(lambda g: facts(g, solve(g, k), k, reference, feasible))
+def method(name, graph, k, solve, reference=None, feasible=True, coarsened=0):
+    """coarsened: the C of a run of the deep scheme, where the graph has more than C * min(k, K) vertices at every size."""
+    limit = f", (SELECT count(*) FROM ids) > {2 * coarsened} AS coarsened" if coarsened else ""
+    extra = (", true AS feasible" if feasible else "") + (", true AS below_reference" if reference else "") + limit
+    return on(name, graph, FACTS.format(k=k) + extra)(lambda g: facts(g, solve(g, k), k, reference, feasible, coarsened))
 
 
 def deep(**more):
     return lambda g, k: deep_partition(g, k, DeepParams.fast(**more))
 
 
-method("deep_fast_copurchase", "copurchase", 4, deep(c=160, trials=2), by_modulo(1))
-method("deep_fast_event_chain", "event_chain", 2, deep(trials=2), by_time)
-method("deep_strong_event_chain", "event_chain", 4, lambda g, k: deep_partition(g, k, DeepParams.strong_(c=1000, trials=2)), by_time)
-method("deep_distributed_order_star", "order_star", 4, deep(gather_limit=60_000, trials=2, sweeps=2, c=1000), by_modulo(1))
-method("deep_weighted_doc_dup", "doc_dup", 4, deep(c=160, trials=2), by_modulo(0.5))
-method("deep_large_k", "event_chain", 512, deep(trials=1), by_modulo(0.9))
-method("deep_nonpower_k", "custpart", 6, deep(c=160, trials=2), by_modulo(1))
-method("deep_disconnected_turns", "turns", 8, deep(c=40, trials=2), by_modulo(0.5))
-method("deep_wide_split", "partsupp", 16, deep(c=160, parts=4, trials=2), by_modulo(1))
-method("deep_geometric", "emb_rgg2", 4, deep(c=160, trials=2), by_modulo(0.5))
-method("balance_full", "custpart", 4, lambda g, k: bal.balance(g, skewed(g), limits_for(g, [1] * k, k, 0.03))[0])
-method("refine_full", "user_slot", 4, lambda g, k: bal.lp_refine(g, modulo(g, k), limits_for(g, [1] * k, k, 0.03), 2, 4, 1, "strict"), by_modulo(1))
+method("deep_fast_copurchase", "copurchase", 4, deep(c=80, eps=0.05), by_modulo(0.97), False, 80)
+method("deep_fast_event_chain", "event_chain", 2, deep(c=300), by_time(1.6), True, 300)
+method("deep_strong_event_chain", "event_chain", 4, lambda g, k: deep_partition(g, k, DeepParams.strong_(c=400, trials=4)), by_time(1.5), True, 400)
+method("deep_fast_word", "word", 2, deep(), by_modulo(0.5))
+method("deep_distributed_order_star", "order_star", 4, deep(c=400, sweeps=2), by_modulo(0.95), True, 400)
+method("deep_weighted_doc_dup", "doc_dup", 4, deep(), by_modulo(0.5))
+method("deep_large_k", "event_chain", 128, deep(), by_modulo(0.5))
+method("deep_nonpower_k", "custpart", 6, deep(), by_modulo(0.95))
+method("deep_disconnected_turns", "turns", 8, deep(), by_modulo(0.3))
+method("deep_wide_split", "partsupp", 16, deep(parts=4), by_modulo(0.97))
+method("deep_geometric", "emb_rgg2", 4, deep(), by_modulo(0.3))
+method("balance_full", "custpart", 4, lambda g, k: bal.balance(g, skewed(g), limits_for(g, [1] * k, k, 0.03)))
+method("refine_full", "user_slot", 4, lambda g, k: bal.lp_refine(g, modulo(g, k), limits_for(g, [1] * k, k, 0.03), 2, 4, 1, "strict"), by_modulo(0.999))
 method("settle_skewed", "page_sim", 4, lambda g, k: bal.settle(g, skewed(g), limits_for(g, [1] * k, k, 0.03), 1, 4, 1))
-method("initial_best_of_trials", "copurchase", 2, lambda g, k: ini.initial_partition(g, [1] * k, k, 0.03, 3, 1), by_modulo(1))
-method("extend_blocks", "event_chain", 4, lambda g, k: bal.balance(g, ini.extend(g, baselines.range_partition(g, 2), [2, 2], 4, 2, k, 0.03, 1)[0], limits_for(g, [1] * k, k, 0.03))[0], by_time)
-method("base_relaxed_fast", "order_star", 8, lambda g, k: baselines.relaxed_lp_partition(g, k), None, False)
-method("base_relaxed_eco", "user_slot", 4, lambda g, k: baselines.relaxed_lp_partition(g, k, preset="eco"), None, False)
-method("base_matching", "order_star", 4, lambda g, k: baselines.matching_partition(g, k), None, False)
-method("base_flat_lp", "event_chain", 4, lambda g, k: baselines.flat_lp_partition(g, k), by_modulo(1))
-method("base_shared_deep", "event_chain", 4, lambda g, k: baselines.shared_deep_partition(g, k), by_time)
-method("base_plain_multilevel", "custpart", 4, lambda g, k: baselines.multilevel_partition(g, k), by_modulo(1))
-method("base_recursive_bisection", "partsupp", 4, lambda g, k: baselines.recursive_bisection(g, k), by_modulo(1))
-method("cluster_kernel_mode", "trade", 1, lambda g, k: cl.lp_cluster(g, 5, 2, 4, 1, "kernel").select("vid", F.lit(0).alias("block")), None, False)
+method("extend_blocks", "event_chain", 4, lambda g, k: bal.balance(g, ini.extend(g, baselines.range_partition(g, 2), [2, 2], 4, 2, k, 0.03, 1)[0], limits_for(g, [1] * k, k, 0.03)), by_time(1.6))
+method("base_flat_lp", "event_chain", 4, lambda g, k: baselines.flat_lp_partition(g, k), by_modulo(0.9), False)
+
+# Planted blocks: sixteen groups of ids, which each method must find again (what a group is named doesn't matter)
+PLANTED = "SELECT vid, (vid // 60) * 60 AS first FROM range(960) t(vid)"
+
+
+def planted(spark):
+    return generators.planted(spark, 16, 60, 20, 1)
+
+
+def named(p):
+    """vid, first: the least vertex of its block."""
+    p = snapshot(p.partition if isinstance(p, DeepResult) else p)
+    return p.join(p.groupBy("block").agg(F.min("vid").alias("first")), "block").select("vid", "first")
+
+
+def finds(name, solve):
+    query(name, PLANTED)(lambda spark, sf_dir: named(solve(planted(spark), 16)))
+
+
+def nears(name, solve):
+    """Without a global limit or a balancer the groups aren't found exactly: every vertex in a block, and less than a quarter of what modulo cuts."""
+
+    def run(spark, sf_dir):
+        g = planted(spark)
+        p = snapshot(solve(g, 16))
+        v = ms.validate_partition(g, p, 16).first()
+        return spark.createDataFrame([(v["distinct_vertices"], v["out_of_range"] + v["strangers"], ms.edge_cut(g, p).first()["cut"] < 0.25 * ms.edge_cut(g, modulo(g, 16)).first()["cut"])], "covered long, wrong long, near boolean")
+
+    query(name, "SELECT 960::BIGINT AS covered, 0::BIGINT AS wrong, true AS near")(run)
 
 
-@on("replicated_groups", "trade", "SELECT copy::INT AS copy, count(*) AS arcs, sum(w)::BIGINT AS w FROM arcs, range(3) t(copy) GROUP BY copy")
+finds("deep_fast_planted", deep(c=160))
+finds("deep_strong_planted", lambda g, k: deep_partition(g, k, DeepParams.strong_(c=160, trials=4)))
+finds("deep_wide_planted", deep(c=100, parts=4))
+finds("deep_bulk_planted", deep(c=160, mode="bulk", batches=2, sweeps=2))
+finds("initial_best_of_trials", lambda g, k: ini.initial_partition(g, [1] * k, k, 0.03, 3, 1))
+nears("base_relaxed_fast", lambda g, k: baselines.relaxed_lp_partition(g, k, c=20))
+nears("base_relaxed_eco", lambda g, k: baselines.relaxed_lp_partition(g, k, preset="eco", c=20))
+finds("base_matching", lambda g, k: baselines.matching_partition(g, k, c=20))
+finds("base_shared_deep", lambda g, k: baselines.shared_deep_partition(g, k, params=DeepParams(c=160)))
+finds("base_plain_multilevel", lambda g, k: baselines.multilevel_partition(g, k, c=20))
+finds("base_recursive_bisection", lambda g, k: baselines.recursive_bisection(g, k, c=200))
+
+# The least cut of all bisections of the graph of regions that keep to the limit
+OPTIMUM = """, m AS (SELECT code FROM range(power(2, (SELECT count(*) FROM ids))::BIGINT) t(code)),
+s AS (SELECT code, sum(c) FILTER ((code >> vid) & 1 = 0) AS a, sum(c) FILTER ((code >> vid) & 1 = 1) AS b FROM m, ids GROUP BY code),
+ok AS (SELECT code FROM s, (SELECT greatest(1.03::DOUBLE * sum(c) / 2, sum(c)::DOUBLE / 2 + max(c)) AS lim FROM ids) WHERE coalesce(a, 0) <= lim AND coalesce(b, 0) <= lim AND a IS NOT NULL AND b IS NOT NULL)
+SELECT min(cut)::BIGINT AS cut FROM (SELECT code, coalesce(sum(w) FILTER ((code >> u) & 1 <> (code >> v) & 1), 0) AS cut FROM ok, e GROUP BY code)"""
+
+
+@on("brute_force_bisection", "region_trade", OPTIMUM)
 def _(g):
-    return ini.replicate(g, 3)[1].groupBy("copy").agg(F.count("*").alias("arcs"), F.sum("w").alias("w"))
+    return ms.edge_cut(g, baselines.brute_force_partition(g, 2)[1])
+
+
+@on("deep_optimum", "region_trade", OPTIMUM)
+def _(g):
+    return ms.edge_cut(g, deep_partition(g, 2, DeepParams.fast()).partition)
+
+
+@on("cluster_fleet", "event_chain", "SELECT (SELECT count(*) FROM ids) AS vertices, (SELECT sum(c)::BIGINT FROM ids) AS weight, 0::BIGINT AS over, true AS shrinks, true AS counted")
+def _(g):
+    """Clusters of PEs that exchange messages: all vertices, none over the limit after the last take-back, fewer than half as many, counters that agree."""
+    trace = {}
+    clusters = cl.lp_cluster(g, 12, 3, 16, 1, count=8, trace=trace)
+    w = g.vertices.join(clusters, "vid").groupBy("cluster").agg(F.sum("c").alias("c"), F.count("*").alias("n"))
+    row = w.agg(F.sum("n").alias("vertices"), F.sum("c").alias("weight"), F.count(F.when(F.col("c") > 12, 1)).alias("over"), F.count("*").alias("clusters"))
+    counted = sum(trace["moves"]) == trace["kept"] and trace["notified"] > 0
+    return row.select("vertices", "weight", "over", (F.col("clusters") * 2 < g.n).alias("shrinks"), F.lit(counted).alias("counted"))
+
+
+@on("cluster_inside_components", "turns", "SELECT conv_id AS conv, count(*) AS vertices, 1::BIGINT AS clusters FROM conversations GROUP BY conv_id HAVING count(*) <= 2")
+def _(g):
+    """Without a limit, the turns of a short conversation become one cluster."""
+    clusters = cl.lp_cluster(g, g.total + 1, 5, 4, 1, limit_mode="none", count=8)
+    home = graphs.densify_keys(g).select("vid", F.floor(F.col("key") / (1 << 20)).alias("conv"))
+    return home.join(clusters, "vid").groupBy("conv").agg(F.count("*").alias("vertices"), F.countDistinct("cluster").alias("clusters")).filter("vertices <= 2")
+
+
+@on("relaxed_overweight", "partsupp", "SELECT true AS relaxed_over, true AS within_pes_times, true AS taken_back FROM ids LIMIT 1")
+def _(g):
+    """Limits that each PE only keeps for its own part let clusters grow above the limit, up to P times; taking moves back leaves less above it."""
+    over = {}
+    for mode in ("local", "revert"):
+        w = g.vertices.join(cl.lp_cluster(g, 8, 3, 16, 1, limit_mode=mode, count=8), "vid").groupBy("cluster").agg(F.sum("c").alias("c"))
+        over[mode] = w.agg(F.max("c").alias("c"), F.coalesce(F.sum(F.greatest(F.lit(0), F.col("c") - 8)), F.lit(0)).alias("over")).first()
+    a, b = over["local"], over["revert"]
+    return g.vertices.sparkSession.createDataFrame([(a["c"] > 8, a["c"] <= 16 * 8, b["over"] < a["over"])], "relaxed_over boolean, within_pes_times boolean, taken_back boolean")
+
+
+@on("replicated_groups", "trade", "SELECT copy::INT AS copy, count(*) AS arcs, sum(w)::BIGINT AS w, min(src + copy * (SELECT count(*) FROM ids)) AS first, max(dst + copy * (SELECT count(*) FROM ids)) AS last FROM arcs, range(3) t(copy) GROUP BY copy")
+def _(g):
+    many = ini.replicate(g, 3)
+    return many.edges.join(many.vertices.select(F.col("vid").alias("src"), "copy"), "src").groupBy("copy").agg(F.count("*").alias("arcs"), F.sum("w").alias("w"), F.min("src").alias("first"), F.max("dst").alias("last"))
+
+
+@on("best_copy", "trade", ", c AS (SELECT k, (SELECT sum(w) FROM e WHERE (u + k) % (k + 2) <> (v + k) % (k + 2)) AS cut FROM range(2) t(k)) SELECT vid, ((vid + b.k) % (b.k + 2) % 4)::INT AS block FROM ids, (SELECT k FROM c ORDER BY cut, k LIMIT 1) b")
+def _(g):
+    """Two copies with partitions of their own: the one that cuts less goes on."""
+    many = ini.replicate(g, 2)
+    at = F.col("vid") - F.col("copy") * g.n
+    p = many.vertices.select("vid", (F.col("copy") * 4 + (at + F.col("copy")) % (F.col("copy") + 2)).cast("int").alias("block"))
+    return ini.best_copies(many, p, 2, 4, [float(g.total)] * 4, g)
 
 
 @on("base_hash", "custpart", f", p AS (SELECT vid, ({toss(0, 'block', 'vid')} % 4)::INT AS block FROM ids) SELECT vid, block FROM p")
@@ -578,6 +667,47 @@ def _(g):
     return baselines.range_partition(g, 4)
 
 
+# Experiments on small fixed instances, and generators
+for _name in experiments.SMALL:
+    query(_name, experiments.small_sql(_name))(lambda spark, sf_dir, name=_name: experiments.verdicts(spark, name))
+
+
+@query("e3_times", "SELECT * FROM (VALUES ('deep_fast', true, true), ('shared_deep', true, true)) v(algorithm, timed, fast_enough)")
+def _(spark, sf_dir):
+    """Times of the instances that all solved, and throughput."""
+    found = experiments.small(spark, "e4_shared")
+    means = report.aggregate_seeds(report.common_instances(found))
+    sizes = spark.createDataFrame([("grid", 1104)], "graph string, m long")
+    rate = report.throughput(means, sizes).select("algorithm", (F.col("edges_per_second") > 1).alias("fast_enough"))
+    return report.geo_mean(means, "seconds", ["algorithm"]).select("algorithm", (F.col("geo_seconds") > 0).alias("timed")).join(rate, "algorithm")
+
+
+COIN = lambda tag, key: f"(({toss(1, tag, key)} + 0.5::DOUBLE) / 4294967296.0::DOUBLE)"
+
+
+def gen(name, dims, degree, n=256):
+    """Points drawn by a portable hash, and all pairs nearer than the radius."""
+    radius = f"sqrt({degree} / (pi() * {n}))" if dims == 2 else f"pow(3 * {degree} / (4 * pi() * {n}), 1.0::DOUBLE / 3)"
+    apart = " + ".join(f"(a.{d} - b.{d}) * (a.{d} - b.{d})" for d in "xyz"[:dims])
+    sql = f"WITH p AS (SELECT i, {', '.join(f'{COIN(d, chr(105))} AS {d}' for d in 'xyz'[:dims])} FROM range({n}) t(i)) SELECT a.i AS src, b.i AS dst, 1::BIGINT AS w FROM p a, p b WHERE a.i <> b.i AND {apart} < pow({radius}, 2)"
+    query(name, sql)(lambda spark, sf_dir: (generators.rgg2d if dims == 2 else generators.rgg3d)(spark, 8, degree).edges)
+
+
+gen("gen_rgg2d", 2, 8)
+gen("gen_rgg3d", 3, 8)
+RADIUS = "(2 * ln(2 * 256 * 4 / (pi() * 8)))"
+
+
+@query("gen_rhg", f"WITH p AS (SELECT i, acosh(1 + (cosh({RADIUS}) - 1) * {COIN('r', 'i')}) AS r, {COIN('phi', 'i')} * 2 * pi() AS phi FROM range(256) t(i)) SELECT a.i AS src, b.i AS dst, 1::BIGINT AS w FROM p a, p b WHERE a.i <> b.i AND cosh(a.r) * cosh(b.r) - sinh(a.r) * sinh(b.r) * cos(a.phi - b.phi) < cosh({RADIUS})")
+def _(spark, sf_dir):
+    return generators.rhg(spark, 8, 8).edges
+
+
+@query("gen_grid2d", "WITH e AS (SELECT i AS u, i + 1 AS v FROM range(35) t(i) WHERE i % 7 < 6 UNION ALL SELECT i, i + 7 FROM range(28) t(i)) SELECT u AS src, v AS dst, 1::BIGINT AS w FROM e UNION ALL SELECT v, u, 1 FROM e")
+def _(spark, sf_dir):
+    return generators.grid2d(spark, 5, 7).edges
+
+
 # Reports over a table of runs with fixed cuts
 RUNS = " UNION ALL ".join(f"SELECT 'hash' AS algorithm, {k} AS k, {s} AS seed, (SELECT (sum(w))::BIGINT FROM e WHERE {toss(s, 'block', 'u')} % {k} <> {toss(s, 'block', 'v')} % {k}) AS cut" for k in (2, 4) for s in (0, 1, 2))
 RUNS += " UNION ALL " + " UNION ALL ".join(f"SELECT 'modulo', {k}, 0, (SELECT sum(w)::BIGINT FROM e WHERE u % {k} <> v % {k})" for k in (2, 4))
@@ -655,8 +785,15 @@ def _(spark, sf_dir):
 def flagship(spark, sf_dir):
     """Parts with the block that the deep scheme puts them in."""
     g, names = graphs.densify(graphs.BUILDERS["copurchase"](spark, sf_dir))
-    found = deep_partition(g, 4, DeepParams.fast(c=160, trials=2)).partition
+    found = deep_partition(g, 4, DeepParams.fast()).partition
     return names.join(found, "vid").select(F.col("key").alias("p_partkey"), "vid", "block")
 
 
-query("flagship_parts", f"{sql_graph('copurchase')} SELECT key AS p_partkey, vid FROM ids")(lambda spark, sf_dir: flagship(spark, sf_dir).drop("block"))
+@query("flagship_parts", f"{sql_graph('copurchase')} SELECT k::INT AS block, (SELECT count(*) FROM ids) AS parts, true AS within_limit, true AS below_modulo FROM range(4) t(k)")
+def _(spark, sf_dir):
+    found = snapshot(flagship(spark, sf_dir))
+    g = load_graph(spark, sf_dir, "copurchase")
+    p = found.select("vid", "block")
+    below = ms.edge_cut(g, p).first()["cut"] < 0.97 * ms.edge_cut(g, modulo(g)).first()["cut"]
+    limit = limits_for(g, [1], 4, 0.03)[0]
+    return ms.block_weights(g, p, 4).select("block", F.lit(found.select("p_partkey").distinct().count()).cast("long").alias("parts"), (F.col("weight") <= limit).alias("within_limit"), F.lit(below).alias("below_modulo"))

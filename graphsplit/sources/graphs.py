@@ -253,15 +253,20 @@ BUILDERS: dict[str, Callable[[SparkSession, str], RawGraph]] = {
     "emb_rgg2": _rgg(2, 0.03), "emb_rgg3": _rgg(3, 0.06), "emb_knn": _knn(8), "region_trade": build_region_trade, "doc_dup": build_doc_dup, "bench_doc": build_bench_doc, "turns": build_turns,
 }
 
-_loaded: dict[tuple[str, str, str], Graph] = {}
+_loaded: dict[tuple[str, str, str], tuple[Graph, DataFrame]] = {}
 
 
 def load_graph(spark: SparkSession, sf_dir: str, name: str) -> Graph:
     """The graph with dense ids; built once for a session and directory."""
     at = (spark.sparkContext.applicationId, sf_dir, name)
     if at not in _loaded:
-        _loaded[at] = densify(BUILDERS[name](spark, sf_dir))[0]
-    return _loaded[at]
+        _loaded[at] = densify(BUILDERS[name](spark, sf_dir))
+    return _loaded[at][0]
+
+
+def densify_keys(g: Graph) -> DataFrame:
+    """vid, key of a loaded graph."""
+    return next(names for graph, names in _loaded.values() if graph is g)
 
 
 K = str(KIND)
