@@ -90,12 +90,16 @@ def not_for_training(doc_id: Column) -> Column:
 
 def train(docs: DataFrame, sample: int = 3000, held=not_for_training) -> Decoder | None:
     usable = docs.filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull() & ~held(F.col("doc_id")))
-    n = usable.select("lang").distinct().count()
+    counts = cut(usable.groupBy("lang").agg(F.count("*").alias("n")))
+    n = counts.count()
     if not n:
         return None
     each = max(LEAST, sample // n)
-    first = F.dense_rank().over(Window.partitionBy("lang").orderBy(unit_hash("language", F.col("doc_id")), "doc_id"))  # repeated rows rank alike
-    chosen = cut(usable.select("lang", "doc_id").withColumn("_r", first).filter(F.col("_r") <= each).select("lang", "doc_id").distinct())
+    # four times as many as needed by the hash, of every language alike; then the first of them
+    u = unit_hash("language", F.col("doc_id"))
+    drawn = join_small(usable.select("lang", "doc_id"), counts, ["lang"], n).filter(u * F.col("n") < 4.0 * each)
+    first = F.dense_rank().over(Window.partitionBy("lang").orderBy(u, "doc_id"))  # repeated rows rank alike
+    chosen = cut(drawn.select("lang", "doc_id").withColumn("_r", first).filter(F.col("_r") <= each).select("lang", "doc_id").distinct())
     some = join_small(usable.select("doc_id", "lang", "text"), chosen, ["lang", "doc_id"], each * n)
 
     def start():

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphsplit.llm.common import BROADCAST_ROWS, cut, map_texts
+from graphsplit.llm.common import BROADCAST_ROWS, cut, join_small, map_texts
 
 REGISTERS = 128
 #: Members of one bucket or family that a task compares.
@@ -227,7 +227,8 @@ def families(members: DataFrame, limit: float, used: int) -> DataFrame:
     """
     enough = (limit - 5 * (limit * (1 - limit) / used) ** 0.5) * used
     sizes = members.groupBy("bucket").agg(F.count("*").alias("n")).select("bucket", F.ceil(F.col("n") / MEMBERS).cast("int").alias("blocks"))
-    placed = members.join(sizes, "bucket").withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
+    sizes = cut(sizes)
+    placed = join_small(members, sizes, ["bucket"], sizes.count()).withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     placed = placed.select("bucket", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "group", "registers")
 
@@ -331,13 +332,13 @@ def group(docs: DataFrame, width: int = 5, limit: float = 0.8) -> DataFrame:
     own = named.select(F.col("doc_id").alias("id"), "same", "n_shingles", "bands").join(classes, ["id", "same"])
     bucketed = own.select("id", "n_shingles", F.explode("bands").alias("bucket"))
     heads = cut(bucketed.groupBy("bucket").agg(F.min("id").alias("head"), F.count("*").alias("n")).filter("n > 1").select("bucket", "head"))
-    shared = cut(bucketed.join(heads, "bucket").select("bucket", "id", "n_shingles", "head"))
+    shared = cut(join_small(bucketed, heads, ["bucket"], heads.count()).select("bucket", "id", "n_shingles", "head"))
     first = shared.groupBy("id").agg(F.min("head").alias("head"), F.max("n_shingles").alias("n_shingles")).filter("id <> head")
     links = verified(docs, first.select(F.col("id").alias("a"), F.col("head").alias("b"), "n_shingles"), width, percent)
     found = cut(components(links))
     spread = shared.select("bucket", "id").join(found.select(F.col("node").alias("id"), F.col("component").alias("_g")), "id", "left").select("bucket", "id", F.coalesce("_g", "id").alias("group"))
-    several = spread.groupBy("bucket").agg(F.min("group").alias("_a"), F.max("group").alias("_b")).filter("_a <> _b").select("bucket")
-    left = cut(spread.join(several, "bucket"))
+    several = cut(spread.groupBy("bucket").agg(F.min("group").alias("_a"), F.max("group").alias("_b")).filter("_a <> _b").select("bucket"))
+    left = cut(join_small(spread, several, ["bucket"], several.count()))
     detail = made.join(left.select(F.col("id").alias("doc_id")).distinct(), "doc_id", "left_semi").groupBy(F.col("doc_id").alias("id")).agg(F.min("registers").alias("registers"))
     joined = cut(families(left.join(detail, "id").select("bucket", "id", "group", "registers"), limit, rows * bands).distinct())
     kin = components(joined).select(F.col("node").alias("group"), F.col("component").alias("family"))

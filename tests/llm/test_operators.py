@@ -109,6 +109,19 @@ def test_word_ids_are_the_tokenizers():
         assert np.frombuffer(w.of(x), "<u4").tolist() == w.tokenizer.encode(x, add_special_tokens=False).ids
 
 
+def test_weights_are_least_squares_without_negatives():
+    """The conditions that tell the optimum of non-negative least squares."""
+    counts = np.bincount(np.random.default_rng(8).integers(1, 41, 600), minlength=41)
+    made = packing.patterns(counts, 40)
+    x = packing.fit(made, counts, 20_000)
+    a = np.zeros((41, len(made)))
+    for j, lengths in enumerate(made):
+        for k in lengths[lengths > 0]:
+            a[k, j] += 1
+    g = a.T @ (a @ x - np.where(np.arange(41) > 0, counts, 0))
+    assert (x >= 0).all() and g.min() > -1e-2 and np.abs(g * x).max() < 1e-1
+
+
 def test_runs_cover_counts():
     rng = np.random.default_rng(5)
     counts = np.bincount(rng.integers(1, 101, 5000), minlength=101)
@@ -197,20 +210,90 @@ def test_rule_ensemble_holds_out(spark):
     assert m.score.between(0, 1).all()
 
 
+def test_compiled_rules_are_the_paths(spark):
+    """The Spark columns against rules applied by numpy, and the lasso's optimality conditions."""
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(800, len(rules.NAMES)))
+    y = ((x[:, 0] > 0.2) & (x[:, 3] < 0.5) | (rng.random(800) < 0.05)).astype(int)
+    model = rules.learn(x, y, trees=8)
+    z = np.full(len(x), model.bias)
+    for rule, w in zip(model.rules, model.weights, strict=True):
+        met = np.ones(len(x), bool)
+        for name, above, t in rule:
+            column = x[:, rules.NAMES.index(name)]
+            met &= column > t if above else column <= t
+        z += w * met
+    frame = spark.createDataFrame(pd.DataFrame(x, columns=rules.NAMES).assign(k=range(800)))
+    got = frame.select("k", F.struct(*rules.NAMES).alias("s")).select("k", model.score("s").alias("p")).toPandas().sort_values("k").p
+    assert np.allclose(got, rules.sigmoid(z)) and ((z > 0) == y).mean() > 0.9
+    a = (x[:, :4] > 0).astype(float)
+    w, b = rules.lasso_logistic(a, y.astype(float), 0.02, 4000)
+    g = a.T @ (rules.sigmoid(a @ w + b) - y) / len(y)
+    assert np.allclose(g[w != 0], -0.02 * np.sign(w[w != 0]), atol=1e-4) and (np.abs(g) <= 0.02 + 1e-4).all()
+
+
+def test_statistics_by_definition(spark):
+    texts = ["Ab cd, cd!\n12 cd\n12 cd", "", "x" * 200_000]
+    docs = spark.createDataFrame(list(enumerate(texts)), "k int, text string")
+    for r in docs.select("k", rules.statistics(F.col("text")).alias("s")).collect():
+        t = texts[r.k]
+        ws, lines = t.split(), [x for x in t.split("\n") if x]
+        n, chars = max(1, len(ws)), max(1, len("".join(ws)))
+        want = [np.log1p(len(ws)), len("".join(ws)) / n, len(set(ws)) / n, sum("A" <= c <= "Z" for c in t) / chars, sum(c in "#*$%&|<>" for c in t) / n, sum(c in "!?" for c in t) / n, sum(c in ".,;:" for c in t) / n, sum("0" <= c <= "9" for c in t) / chars, len(set(lines)) / max(1, len(lines)), len(ws) / max(1, len(lines))]
+        assert list(r.s) == pytest.approx(want)
+
+
 def test_language_holds_out(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     m = language.predictions(docs).join(docs.select("doc_id", "lang"), "doc_id").filter("held_out").toPandas()
     assert (m.lang_pred == m.lang).mean() > 0.98
 
 
+def test_decoding_by_definition(spark):
+    """Loss-weighted decoding of whole rows against the sum of losses over each codeword, with nine languages."""
+    words = {f"l{k}": [f"{c}{v}{c}" for c in "bcdfghjklmnp"[k : k + 4] for v in "aeiou"] for k in range(9)}
+    rng = np.random.default_rng(1)
+    rows = [(j, " ".join(rng.choice(words[lang], 30)), lang) for j, lang in enumerate(sorted(words) * 40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string").withColumn("score", F.lit("clash")).withColumn("v", F.lit(1))
+    model = language.train(docs, 180)
+    assert model.languages == sorted(words)
+    out = language.identify(docs, model).toPandas().sort_values("doc_id")
+    right = 0
+    for (_, text, lang), p in zip(rows, out.itertuples(), strict=True):
+        margin = (language.trigrams(text) @ model.w + model.b) * model.scale
+        loss = [sum(np.log1p(np.exp(-b * m)) for b, m in zip(code, margin, strict=True)) for code in model.codes]
+        assert p.lang_pred == model.languages[int(np.argmin(loss))]
+        assert p.score == pytest.approx(np.exp(-min(loss)) / np.exp(-np.asarray(loss)).sum(), rel=1e-4)
+        right += p.lang_pred == lang
+    assert right > 0.95 * len(rows)
+
+
+def test_every_language_is_learned(spark):
+    # one language holds nearly all rows; the others have few
+    docs = spark.range(3000).select(F.col("id").alias("doc_id"), F.concat(F.lit("word "), "id").alias("text"), F.when(F.col("id") % 100 == 0, F.concat(F.lit("rare"), (F.col("id") / 100 % 10).cast("int"))).otherwise("common").alias("lang"))
+    assert language.train(docs, 50).languages == ["common"] + [f"rare{k}" for k in range(10)]
+
+
+def test_noisy_or_by_definition():
+    model = toxicity.SentenceModel(["bad", "vile*"], np.asarray([9.0, 12.0]), -8.0)
+    text = "All is well. This is bad! Vilely done\nÉnd. "
+    z = [0.0, 9.0, 12.0, 0.0, 0.0]
+    chance = [1 / (1 + np.exp(8 - v)) for v in z]
+    score, found = model.judge(text, toxicity.Known(model.weights))
+    assert score == pytest.approx(1 - np.prod([1 - p for p in chance]))
+    assert [text[a:b].strip() for a, b in found] == ["This is bad", "Vilely done"]
+    assert model.judge(None, toxicity.Known(model.weights))[0] == pytest.approx(chance[0])
+
+
 def test_toxicity_holds_out_and_locates(spark):
     d = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
     m = toxicity.scores(docs, labels).join(labels, "doc_id").toPandas()
     h = m[m.held_out]
     assert (h.predicted == h.toxic).mean() > 0.95
-    assert (h[h.toxic == 0].predicted == 0).mean() > 0.97
-    assert (m[m.predicted == 1].spans != "").mean() > 0.8
+    assert (h[h.toxic == 0].predicted == 0).mean() > 0.99
+    assert h[h.toxic == 1].predicted.mean() > 0.9  # recall
+    assert (m[m.predicted == 1].spans != "").mean() > 0.85
 
 
 def test_classifier_edges(spark, hard, none, labels):
@@ -222,10 +305,26 @@ def test_classifier_edges(spark, hard, none, labels):
     assert (out[out.doc_id.isin([0, 1, 2])].lang_pred == "und").all()
 
 
+def test_one_class_alone(spark, hard):
+    one = spark.createDataFrame([(1, 1, 1), (3, 1, 1), (5, 1, 1)], "doc_id long, quality int, toxic int")
+    assert rules.scores(hard, one).agg(F.min("score")).first()[0] > 0.9
+    assert toxicity.scores(hard, one).agg(F.max("score")).first()[0] == 0
+
+
 def test_codewords_differ():
-    for k in (2, 3, 5, 9):
+    for k in (2, 3, 5, 9, 40):
         c = language.codewords(k)
-        assert len({tuple(r) for r in c}) == k
+        assert min((a != b).sum() for i, a in enumerate(c) for b in c[:i]) >= (c.shape[1] / 4 if k > 6 else 1)
+        assert (np.abs(c.sum(axis=0)) < k).all()  # every bit tells some languages apart
+
+
+def test_rows_that_clash(spark):
+    """Extra columns named like working columns stay as they are."""
+    docs = spark.createDataFrame([(1, "A good text. " * 30, "en", "a", 1)], DOCS).withColumn("_stats", F.lit(7)).withColumn("_c", F.lit(8)).withColumn("_l", F.lit(9)).withColumn("_kept_words", F.lit(10))
+    kept = rules.accepted(docs, spark.createDataFrame([], "doc_id long, quality int, toxic int")).first()
+    assert (kept["_stats"], kept["_c"]) == (7, 8)
+    out = cleaning.clean(docs).first()
+    assert (out["_c"], out["_l"], out["_kept_words"], out["n_words"]) == (8, 9, 10, 90)
 
 
 # cleaning and privacy
@@ -281,6 +380,53 @@ def test_privacy_edges(spark, hard, none, labels):
     assert privacy.redact(hard).columns == hard.columns
 
 
+def test_votes_by_definition(spark):
+    """Each labeler's vote of each candidate, from the text."""
+    text = "call +49 30 1234567 now; card 4111 1111 1111 1111, card 4111 1111 1111 1112."
+    docs = spark.createDataFrame([(text,)], "text string")
+    found = docs.select(F.explode(privacy.candidates(F.col("text"))).alias("c")).select("c.*").collect()
+    votes = {(privacy.KINDS[r.kind], text[r.s : r.e]): [r.code // 3**j % 3 for j in range(3, -1, -1)] for r in found if r.kind in (2, 3) and r.e - r.s > 12}
+    # check, gazetteer, edges, shape: 2 yes, 1 no opinion, 0 no
+    assert votes[("phone", "+49 30 1234567")] == [2, 2, 2, 2]
+    assert votes[("card", "4111 1111 1111 1111")] == [2, 2, 2, 2]
+    assert votes[("card", "4111 1111 1111 1112")] == [0, 2, 2, 2]
+
+
+def test_no_context_outvotes_a_failed_check(spark):
+    rows = [(k, f"card number {4111111111111111 + k} and mail a{k}@b.cc") for k in range(60)]
+    out = privacy.find(spark.createDataFrame(rows, "doc_id long, text string")).toPandas()
+    for r, (_, text) in zip(out.sort_values("doc_id").itertuples(), rows, strict=True):
+        cards = [x.split(":") for x in r.spans.split(",") if x.startswith("card")]
+        assert all(luhn(text[int(a) : int(b)]) for _, a, b in cards)
+        assert len(cards) == luhn(text.split()[2])
+
+
+def test_added_spans(spark):
+    """Secrets have no base pattern: announced ones with both letters and digits are added, plain long words are not."""
+    rows = [(k, f"api token: {'ab12' * 10}{k} ok") for k in range(40)] + [(k, "x" * 40 + " " + "plain words here") for k in range(40, 80)]
+    out = privacy.find(spark.createDataFrame(rows, "doc_id long, text string")).toPandas().set_index("doc_id").spans
+    assert all(out[k].startswith("secret:11:") for k in range(40)) and all(out[k] == "" for k in range(40, 80))
+
+
+def test_estimation_is_at_a_fixed_point():
+    """A further round of expectation and maximisation, written out, changes no posterior."""
+    codes = {27 * 2 + 9 * 2 + 3 * 2 + 2: 40.0, 27 * 2 + 9 * 1 + 3 * 2 + 2: 30.0, 27 * 1 + 9 * 1 + 3 * 0 + 0: 50.0, 27 * 1 + 9 * 1 + 3 * 2 + 0: 9.0}
+    q = privacy.reliabilities(codes, 4000)
+    share = (sum(n * q[c] for c, n in codes.items()) + 1) / (sum(codes.values()) + 2)
+
+    def like(c, real):
+        out = share if real else 1 - share
+        for j in range(4):
+            seen = [(1, 2, 3)[v] if real else (3, 2, 1)[v] for v in range(3)]
+            for d, n in codes.items():
+                seen[d // 3**j % 3] += n * (q[d] if real else 1 - q[d])
+            out *= seen[c // 3**j % 3] / sum(seen)
+        return out
+
+    for c in codes:
+        assert q[c] == pytest.approx(like(c, True) / (like(c, True) + like(c, False)), abs=1e-6)
+
+
 def test_reliabilities_follow_the_votes():
     yes, no = 2 * 27 + 1 * 9 + 2 * 3 + 2, 1 * 9
     real = privacy.reliabilities({yes: 50.0, no: 50.0})
@@ -383,6 +529,17 @@ def test_near_duplicate_edges(spark, hard, none, labels):
 # pipeline
 
 
+def test_pipeline_on_hard_rows_and_on_none(spark, hard, none, labels, tmp_path):
+    import corpus_pipeline
+
+    labels.write.parquet(f"{tmp_path}/labels.parquet")
+    for docs, some in ((hard, True), (none, False)):
+        docs.write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
+        out = corpus_pipeline.run(spark, str(tmp_path)).toPandas()
+        assert (len(out) > 0) == some
+        assert out.groupby("sequence_id").length.sum().max() <= 2048 if some else True
+
+
 def test_pipeline_stage_by_stage(spark, sf):
     import corpus_pipeline
 
