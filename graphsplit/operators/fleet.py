@@ -10,8 +10,9 @@ met. A batch takes two steps, each of them a shuffle of messages by PE:
 2. Owners add up the changes and reply with the totals; labels of ghosts are updated.
 
 What travels is a row for each message, and the PE's own state to itself; the adjacency of a batch joins it from a table that is pruned by
-batch. A sweep is one Spark job with one cut of the lineage. A task takes one PE after the other and holds one PE's share at a time; how many
-tasks share the PEs follows from the number of arcs and changes no result. The driver sees a number for each sweep.
+batch. A sweep is one Spark job with one cut of the lineage. A task takes one PE after the other and holds one PE's share at a time. How many
+tasks share the PEs follows from the number of arcs and changes no result; where there is too little work for two tasks, one task passes the
+same messages between its PEs without shuffles. The driver sees a number for each sweep.
 
 Graphs may hold several copies (see `Graph.copies`): every copy has its own PEs, and labels never cross copies.
 """
@@ -31,7 +32,7 @@ from graphsplit.functions.columns import coin, num_batches
 from graphsplit.model import Graph, snapshot, written
 from graphsplit.operators.order import degree_buckets
 
-STATE, ADJACENCY, NOTE, DELTA, TOTAL = range(5)
+STATE, ADJACENCY, NOTE, DELTA, TOTAL, COUNT = range(6)
 ROW = "to int, kind int, frm int, body binary, n long"
 NAMES = ["to", "kind", "frm", "body", "n"]
 CHUNK = 64
@@ -321,7 +322,7 @@ def lay_out(g: Graph, pes: int, seed: int, batches: int | None = None, arcs: Dat
         src, dst, w = src[o], dst[o], w[o]
         last = np.append(np.flatnonzero(np.diff(src)), len(src) - 1)
         pe, batch = table.column("pe")[0].as_py(), table.column("batch")[0].as_py()
-        return pa.table({"to": pa.array([pe], pa.int32()), "kind": pa.array([ADJACENCY], pa.int32()), "frm": pa.array([pe], pa.int32()), "body": pa.array([pack(src[last], last + 1, dst, w)], pa.binary()), "n": pa.array([0], pa.int64()), "batch": pa.array([batch], pa.int32())})
+        return pa.table({"to": pa.array([pe], pa.int32()), "kind": pa.array([ADJACENCY], pa.int32()), "frm": pa.array([pe], pa.int32()), "body": pa.array([pack(src[last], last + 1, dst, w)], pa.binary()), "n": pa.array([batch], pa.int64()), "batch": pa.array([batch], pa.int32())})
 
     named = snapshot(arcs.join(tails, "src").join(layout.select(F.col("vid").alias("dst"), F.col("pe").alias("dst_pe")), "dst"))
     rows = named.select("pe", "batch", "bucket", "src", "dst", "w").groupBy("pe", "batch").applyInArrow(pack_arcs, ROW + ", batch int")
@@ -364,22 +365,62 @@ def start(fleet: Fleet, rules: Rules, labels: DataFrame | None, weights: list[in
 
 def sweeps(fleet: Fleet, rules: Rules, rows: DataFrame, iterations: int) -> tuple[DataFrame, list[int]]:
     """Rows after up to `iterations` sweeps, or until one moves nothing; moves of each sweep."""
+    if fleet.tasks == 1:
+        rows = snapshot(rows.union(fleet.adjacency.drop("batch")).coalesce(1).mapInArrow(together(fleet.batches, rules, iterations), ROW))
+        return rows, [r["n"] for r in sorted(rows.filter(F.col("kind") == COUNT).select("frm", "n").collect())]
     moves, so_far = [], 0
     for sweep in range(iterations):
         for b in range(fleet.batches):
             rows = rows.union(fleet.adjacency.filter(F.col("batch") == b).drop("batch"))
             rows = exchange(exchange(rows, fleet.tasks, moving(rules, sweep, b)), fleet.tasks, hearing(rules))
-        if rules.mode == "revert" and sweep == iterations - 1:  # what the last batch made overweight
-            rows = exchange(rows, fleet.tasks, moving(rules, sweep, -1))
         rows = snapshot(rows)
         total = rows.filter(F.col("kind") == STATE).agg(F.sum("n")).first()[0]
         moves.append(total - so_far)
         so_far = total
         if not moves[-1]:
             break
+    if rules.mode == "revert":  # what the last batch made overweight
+        rows = snapshot(exchange(rows, fleet.tasks, moving(rules, iterations, -1)))
     return rows, moves
 
 
+def together(batches: int, rules: Rules, iterations: int):
+    """All sweeps in one task: the same steps and messages as between tasks, passed from hand to hand."""
+
+    def run(incoming: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        inbox, adjacency = {}, {}
+        for batch in incoming:
+            for to, kind, frm, body, n in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+                if kind == ADJACENCY:
+                    adjacency[n, to] = [(kind, frm, unpack(body))]
+                else:
+                    inbox.setdefault(to, []).append((kind, frm, unpack(body)))
+
+        def step(inbox: dict, work, batch: int) -> tuple[dict, int]:
+            out, total = {}, 0
+            for pe in sorted(inbox):
+                for to, kind, body, n in work(pe, sorted(inbox[pe], key=lambda m: m[:2]) + adjacency.get((batch, pe), [])):
+                    out.setdefault(to, []).append((kind, pe, unpack(body)))
+                    total += n if kind == STATE else 0
+            return out, total
+
+        so_far, rows = 0, []
+        for sweep in range(iterations):
+            for b in range(batches):
+                inbox, _ = step(inbox, moving(rules, sweep, b), b)
+                inbox, total = step(inbox, hearing(rules), -1)
+            rows.append((-1, COUNT, sweep, b"", total - so_far))
+            if total == so_far:
+                break
+            so_far = total
+        if rules.mode == "revert":
+            inbox, _ = step(inbox, moving(rules, iterations, -1), -1)
+        rows += [(pe, STATE, pe, pack(*m[2]), 0) for pe, messages in sorted(inbox.items()) for m in messages if m[0] == STATE]
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.int64()), strict=True)], names=NAMES)
+
+    return run
+
+
 def labels_of(rows: DataFrame, rules: Rules) -> DataFrame:
     """vid, label of every vertex."""
 

@@ -31,8 +31,8 @@ def range_partition(g: Graph, k: int) -> DataFrame:
     return g.vertices.select("vid", F.floor(F.col("vid") * k / F.lit(max(g.n, 1))).cast("int").alias("block"))
 
 
-def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: int, seed: int, cluster, solve, balanced: bool, spans: list[int] | None = None, start: DataFrame | None = None, trace: list[dict] | None = None) -> DataFrame:
-    """Coarsen with cluster(graph, limit, seed, within, fleet) to c * len(spans) vertices, solve(csr, seed) there in a task, refine on the way up.
+def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: int, seed: int, cluster, solve, balanced: bool, spans: list[int] | None = None, start: DataFrame | None = None, trace: list[dict] | None = None, stop: int = 60) -> DataFrame:
+    """Coarsen with cluster(graph, limit, seed, within, fleet) to `stop` vertices a block, solve(csr, seed) there in a task, refine on the way up.
 
     Where a level shrinks by less than 5 %, vertices left alone that share their heaviest neighbour are paired, too; where even that stalls, what
     is left is solved, and fails with RuntimeError if a task can't hold it. spans: how many of the k final blocks each block of the result stands
@@ -40,7 +40,7 @@ def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: i
     """
     levels, spans = [], spans or [1] * k
     batches = num_batches(pes)
-    while g.n > max(2 * len(spans), c * len(spans)):
+    while g.n > stop * len(spans):
         limit, s = max_cluster_weight(g.total, g.n, k, c, eps), seed + 101 * len(levels)
         fleet = lay_out(g, pes, s, batches)
         clusters = snapshot(cluster(g, limit, s, start, None if start is not None else fleet))
@@ -65,7 +65,7 @@ def multilevel_down_up(g: Graph, k: int, eps: float, c: int, sweeps: int, pes: i
     return start
 
 
-def relaxed_lp_partition(g: Graph, k: int, eps: float = 0.03, preset: str = "fast", seed: int = 1, pes: int = 16, c: int = 160, cycles: int = 1, population: int = 3, trace: list[dict] | None = None) -> DataFrame:
+def relaxed_lp_partition(g: Graph, k: int, eps: float = 0.03, preset: str = "fast", seed: int = 1, pes: int = 16, c: int = 160, cycles: int = 1, population: int = 3, trace: list[dict] | None = None, stop: int = 60) -> DataFrame:
     """Label propagation whose cluster limit each PE keeps only for its own part, so that clusters reach P times the limit; no balancer.
 
     The 'eco' preset solves the coarsest graph by a population of starts and overlays of pairs of them, and adds V-cycles, which coarsen again inside
@@ -88,9 +88,9 @@ def relaxed_lp_partition(g: Graph, k: int, eps: float = 0.03, preset: str = "fas
         return pool[0]
 
     cluster = lambda h, limit, s, within, fleet: lp_cluster(h, limit, 3, pes, s, limit_mode="local", within=within, count=num_batches(pes), fleet=fleet)
-    found = multilevel_down_up(g, k, eps, c, 3, pes, seed, cluster, solve, False, trace=trace)
+    found = multilevel_down_up(g, k, eps, c, 3, pes, seed, cluster, solve, False, trace=trace, stop=stop)
     for j in range(cycles if preset == "eco" else 0):
-        found = multilevel_down_up(g, k, eps, c, 3, pes, seed + 1000 * (j + 1), cluster, solve, False, start=found)
+        found = multilevel_down_up(g, k, eps, c, 3, pes, seed + 1000 * (j + 1), cluster, solve, False, start=found, stop=stop)
     return found
 
 
@@ -100,10 +100,10 @@ def _heads(to: np.ndarray, n: int) -> np.ndarray:
     return first
 
 
-def matching_partition(g: Graph, k: int, eps: float = 0.03, seed: int = 1, pes: int = 16, c: int = 160, trace: list[dict] | None = None) -> DataFrame:
+def matching_partition(g: Graph, k: int, eps: float = 0.03, seed: int = 1, pes: int = 16, c: int = 160, trace: list[dict] | None = None, stop: int = 60) -> DataFrame:
     """Coarsening by heavy-edge matching, at most two vertices to a cluster; greedy refinement, no balancer."""
     solve = lambda csr, s: kernels.refine(csr, kernels.split(csr, [1] * k, limits := kernels.limits_of(csr, [1] * k, k, eps), s), limits, 3, s)
-    return multilevel_down_up(g, k, eps, c, 3, pes, seed, lambda h, limit, s, within, fleet: mutual_matching(h, max(limit, 2.0 * h.heaviest), 4, s), solve, False, trace=trace)
+    return multilevel_down_up(g, k, eps, c, 3, pes, seed, lambda h, limit, s, within, fleet: mutual_matching(h, max(limit, 2.0 * h.heaviest), 4, s), solve, False, trace=trace, stop=stop)
 
 
 def flat_lp_partition(g: Graph, k: int, eps: float = 0.03, iterations: int = 5, seed: int = 1, pes: int = 16) -> DataFrame:
@@ -118,7 +118,7 @@ def shared_deep_partition(g: Graph, k: int, eps: float = 0.03, params: DeepParam
     return snapshot(select_best(trials(g, 1, seed, solve)))
 
 
-def multilevel_partition(g: Graph, k: int, eps: float = 0.03, seed: int = 1, pes: int = 16, c: int = 160) -> DataFrame:
+def multilevel_partition(g: Graph, k: int, eps: float = 0.03, seed: int = 1, pes: int = 16, c: int = 160, stop: int = 60) -> DataFrame:
     """Plain multilevel scheme: one k-way initial partition of the coarsest graph, balanced on the way up."""
 
     def solve(csr: Csr, s: int) -> np.ndarray:
@@ -126,7 +126,7 @@ def multilevel_partition(g: Graph, k: int, eps: float = 0.03, seed: int = 1, pes
         return kernels.settle(csr, kernels.split(csr, [1] * k, limits, s), limits, 3, s)
 
     cluster = lambda h, limit, s, within, fleet: lp_cluster(h, limit, 3, pes, s, count=num_batches(pes), fleet=fleet)
-    return multilevel_down_up(g, k, eps, c, 3, pes, seed, cluster, solve, True)
+    return multilevel_down_up(g, k, eps, c, 3, pes, seed, cluster, solve, True, stop=stop)
 
 
 def recursive_bisection(g: Graph, k: int, eps: float = 0.03, seed: int = 1, pes: int = 16, c: int = 160) -> DataFrame:
@@ -153,7 +153,7 @@ def bisections(g: Graph, k: int, eps: float, seed: int, pes: int, c: int) -> Dat
     spans = [(k + 1) // 2, k // 2]
     solve = lambda csr, s: (limits := kernels.limits_of(csr, spans, k, eps), kernels.settle(csr, kernels.split(csr, spans, limits, s), limits, 3, s))[1]
     cluster = lambda h, limit, s, within, fleet: lp_cluster(h, limit, 3, pes, s, count=num_batches(pes), fleet=fleet)
-    sides = multilevel_down_up(g, k, eps, c, 3, pes, seed, cluster, solve, True, spans)
+    sides = multilevel_down_up(g, k, eps, c, 3, pes, seed, cluster, solve, True, spans, stop=c)
     arcs, own, out = snapshot(induced_subgraphs(g, sides)), g.vertices.join(sides, "vid"), None
     for side, span in enumerate(spans):
         half, names = induced(own.filter(F.col("block") == side), arcs.filter(F.col("block") == side))

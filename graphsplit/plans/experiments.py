@@ -189,11 +189,11 @@ def _strong(g, k, s):
 
 
 def _relaxed(preset):
-    return lambda g, k, s: baselines.relaxed_lp_partition(g, k, preset=preset, seed=s, c=25)
+    return lambda g, k, s: baselines.relaxed_lp_partition(g, k, preset=preset, seed=s, stop=25)
 
 
 def _matching(g, k, s):
-    return baselines.matching_partition(g, k, seed=s, c=25)
+    return baselines.matching_partition(g, k, seed=s, stop=25)
 
 
 SMALL: dict[str, list[tuple[str, Callable, str, int, int]]] = {

@@ -588,11 +588,11 @@ finds("deep_strong_planted", lambda g, k: deep_partition(g, k, DeepParams.strong
 finds("deep_wide_planted", deep(c=100, parts=4))
 finds("deep_bulk_planted", deep(c=160, mode="bulk", batches=2, sweeps=2))
 finds("initial_best_of_trials", lambda g, k: ini.initial_partition(g, [1] * k, k, 0.03, 3, 1))
-nears("base_relaxed_fast", lambda g, k: baselines.relaxed_lp_partition(g, k, c=20))
-nears("base_relaxed_eco", lambda g, k: baselines.relaxed_lp_partition(g, k, preset="eco", c=20))
-finds("base_matching", lambda g, k: baselines.matching_partition(g, k, c=20))
+nears("base_relaxed_fast", lambda g, k: baselines.relaxed_lp_partition(g, k, stop=20))
+nears("base_relaxed_eco", lambda g, k: baselines.relaxed_lp_partition(g, k, preset="eco", stop=20))
+finds("base_matching", lambda g, k: baselines.matching_partition(g, k, stop=20))
 finds("base_shared_deep", lambda g, k: baselines.shared_deep_partition(g, k, params=DeepParams(c=160)))
-finds("base_plain_multilevel", lambda g, k: baselines.multilevel_partition(g, k, c=20))
+finds("base_plain_multilevel", lambda g, k: baselines.multilevel_partition(g, k, stop=20))
 finds("base_recursive_bisection", lambda g, k: baselines.recursive_bisection(g, k, c=200))
 
 # The least cut of all bisections of the graph of regions that keep to the limit
