@@ -109,7 +109,7 @@ class Pe:
         start, size = int(rules.starts[self.number]), len(self.label)
         at = np.where((heads >= start) & (heads < start + size), heads - start, size + np.searchsorted(self.ghost, heads)).tolist()
         label, weight, c, w = np.concatenate([self.label, self.ghost_label]).tolist(), self.weight, self.c, w.tolist()
-        if rules.mode == "local":  # only the own part counts
+        if rules.mode in ("local", "none"):  # only the own part counts, and nobody tells of others' weights
             own, inverse = np.unique(self.label, return_inverse=True)
             weight = dict.fromkeys(label, 0) | dict(zip(own.tolist(), np.bincount(inverse, weights=c).astype(np.int64).tolist(), strict=True))
         rng = np.random.default_rng([rules.seed, sweep, batch, self.number])
