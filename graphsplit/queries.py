@@ -8,9 +8,10 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from graphsplit.functions import columns
+from graphsplit.functions import columns, views
 from graphsplit.functions.columns import relative_gain
 from graphsplit.model import snapshot
+from graphsplit.operators import asof
 from graphsplit.operators import balance as bal
 from graphsplit.operators import cluster as cl
 from graphsplit.operators import contract as con
@@ -782,6 +783,46 @@ def _(spark, sf_dir):
     return stream.finished(stream.assign(stream.event_stream(spark, sf_dir), F.col("user_id") % 4, anchors), "append")
 
 
+@query("stream_arrivals", "WITH m AS (SELECT max(ts) - INTERVAL 2 DAY AS mark FROM events), c AS (SELECT time_bucket(INTERVAL 1 DAY, ts) AS day, user_id, length(event_type) % 3 AS block, count(*) AS w FROM events GROUP BY ALL), r AS (SELECT *, row_number() OVER (PARTITION BY day, user_id ORDER BY w DESC, block) AS k FROM c) SELECT day, user_id, block::INT AS block, w FROM r, m WHERE k = 1 AND day + INTERVAL 1 DAY <= mark")
+def _(spark, sf_dir):
+    """Days that the watermark has passed: two aggregations in a stream."""
+    anchors = spark.range(3).select(F.col("id").cast("int").alias("anchor"), F.col("id").cast("int").alias("block"))
+    placed = stream.arrivals(stream.event_stream(spark, sf_dir, "2 days"), F.length("event_type") % 3, anchors)
+    return stream.finished(placed, "append").select(F.col("window.start").alias("day"), "user_id", "block", "w")
+
+
+# As-of join, SQL surface
+@query("asof_purchase", "WITH p AS (SELECT user_id, ts, max(event_id) AS found FROM events WHERE event_type = 'purchase' GROUP BY ALL) SELECT e.event_id, p.found FROM events e ASOF LEFT JOIN p ON e.user_id = p.user_id AND e.ts >= p.ts")
+def _(spark, sf_dir):
+    """Each event with its user's last purchase up to then, in slots of a day."""
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").select("event_id", "user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("at"))
+    bought = events.filter("event_type = 'purchase'").select("user_id", "at", "event_id")
+    return asof.asof(events.select("event_id", "user_id", "at"), bought, "user_id", "at", 86400e6).select("event_id", F.col("found.event_id").alias("found"))
+
+
+def in_sql(name, graph, sql):
+    """A measure as SQL text over the views of a graph and the partition by modulo."""
+
+    def run(g):
+        views.create_views(g, modulo(g))
+        # the views are the session's: rows are taken before another query replaces them
+        return snapshot(views.measure(g.vertices.sparkSession, name, 4))
+
+    return on(f"sql_{name}", graph, sql)(run)
+
+
+in_sql("cut", "custpart", "SELECT sum(w)::BIGINT AS cut FROM e WHERE u % 4 <> v % 4")
+in_sql("block_weights", "custpart", "SELECT (vid % 4)::INT AS block, sum(c)::BIGINT AS weight, count(*) AS vertices FROM ids GROUP BY ALL")
+in_sql("feasible", "trade", "SELECT (SELECT max(s) FROM (SELECT sum(c) AS s FROM ids GROUP BY vid % 4)) <= greatest(1.03::DOUBLE * sum(c) / 4, sum(c)::DOUBLE / 4 + max(c)) AS feasible FROM ids")
+in_sql("boundary", "partsupp", "SELECT (src % 4)::INT AS block, count(DISTINCT src) AS boundary FROM arcs WHERE src % 4 <> dst % 4 GROUP BY ALL")
+
+
+@query("block_spans", "WITH RECURSIVE t(k, level, first, span) AS (SELECT k, 0, 0, k FROM (VALUES (1), (6), (8)) v(k) UNION ALL SELECT k, level + 1, first + d * ((span + 1) // 2), CASE d WHEN 0 THEN (span + 1) // 2 ELSE span // 2 END FROM (SELECT t.*, max(span) OVER (PARTITION BY k, level) AS top FROM t) t, (VALUES (0), (1)) h(d) WHERE top > 1 AND (d = 0 OR span > 1)) SELECT k::INT AS k, level::INT AS level, (row_number() OVER (PARTITION BY k, level ORDER BY first) - 1)::INT AS block, first::INT AS first, span::INT AS span FROM t")
+def _(spark, sf_dir):
+    views.register_spans(spark)
+    return spark.sql("SELECT v.k, s.* FROM VALUES (1), (6), (8) v(k), LATERAL block_spans(v.k) s")
+
+
 def flagship(spark, sf_dir):
     """Parts with the block that the deep scheme puts them in."""
     g, names = graphs.densify(graphs.BUILDERS["copurchase"](spark, sf_dir))
