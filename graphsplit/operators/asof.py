@@ -11,7 +11,7 @@ def asof(left: DataFrame, right: DataFrame, by: str, at: str, slot: float) -> Da
 
     `at` is a number. Of right rows at one place the greatest row counts. Null keys and places find nothing. Both tables are united and
     filled forward inside slots of the given width, so that a key with many rows is spread over its slots; what a slot starts with comes
-    from the last rows of earlier slots, one row for each key and slot that right has.
+    from the last rows of earlier slots, one row for each key and slot.
     """
     at_slot = F.floor(F.col(at) / F.lit(float(slot)))
     row = F.struct(*[F.col(f"`{c}`") for c in left.columns])
@@ -22,10 +22,10 @@ def asof(left: DataFrame, right: DataFrame, by: str, at: str, slot: float) -> Da
     inside = Window.partitionBy("_by", "_slot").orderBy("_at", "_side", "_found").rowsBetween(Window.unboundedPreceding, 0)
     filled = ours.unionByName(theirs).withColumn("_found", F.last("_found", ignorenulls=True).over(inside)).filter("_side = 1")
     ends = theirs.groupBy("_by", "_slot").agg(F.max(F.struct("_at", "_found")).alias("_end"))
-    # a slot that right has carries its end up to the next one that right has
-    until = F.lead("_slot").over(Window.partitionBy("_by").orderBy("_slot"))
-    spans = ends.select(F.col("_by").alias("_key"), F.col("_slot").alias("_from"), until.alias("_to"), F.col("_end._found").alias("_carried"))
+    # what a slot starts with: the end of the last slot before it that right has; a row for each key and slot of either table
     wanted = filled.filter("_found is null").select("_by", "_slot").distinct()
-    first = wanted.join(spans, (F.col("_by") == F.col("_key")) & (F.col("_from") < F.col("_slot")) & (F.col("_to").isNull() | (F.col("_slot") <= F.col("_to")))).select("_by", "_slot", "_carried")
+    before = Window.partitionBy("_by").orderBy("_slot").rowsBetween(Window.unboundedPreceding, -1)
+    every = wanted.join(ends.select("_by", "_slot", F.col("_end._found").alias("_last")), ["_by", "_slot"], "full")
+    first = every.select("_by", "_slot", F.last("_last", ignorenulls=True).over(before).alias("_carried"))
     joined = filled.join(first, ["_by", "_slot"], "left")
     return joined.select("_row.*", F.coalesce("_found", "_carried").alias("found"))
