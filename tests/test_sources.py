@@ -1,10 +1,11 @@
 import pytest
 from pyspark.sql import functions as F
 
-from graphsplit.model import densify
-from graphsplit.operators.measures import edge_cut
+from graphsplit.model import RawGraph, densify
+from graphsplit.operators.measures import block_weights, edge_cut, feasibility, imbalance
+from graphsplit.operators.order import degree_buckets
 from graphsplit.sources import generators as gen
-from graphsplit.sources import io
+from graphsplit.sources import graphs, io
 
 
 @pytest.mark.parametrize("make,low,high", [(lambda s: gen.rgg2d(s, 9, 8), 5, 9), (lambda s: gen.rgg3d(s, 9, 8), 4, 9), (lambda s: gen.rhg(s, 9, 8), 3, 16)])
@@ -47,3 +48,24 @@ def test_files(spark, tmp_path):
     io.save_model(spark, str(tmp_path / "m"), p, {"k": 2})
     back, params = io.load_model(spark, str(tmp_path / "m"))
     assert back.count() == 3 and params == {"k": 2}
+
+
+def test_measures_of_vertices_make_no_arcs(spark):
+    v = spark.createDataFrame([(k, 1) for k in range(6)], "key long, c long")
+    g, _ = densify(RawGraph(v, spark.createDataFrame([(0, 1, 2), (1, 3, 1)], "u long, v long, w long"), closed=True))
+    p = g.vertices.select("vid", (F.col("vid") % 2).cast("int").alias("block"))
+    assert [tuple(r) for r in block_weights(g, p, 2).orderBy("block").collect()] == [(0, 3, 3), (1, 3, 3)]
+    assert imbalance(g, p, 2).first()[0] == 0 and feasibility(g, p, 2, 0.03).first()["feasible"]
+    assert {r["vid"]: r["deg"] for r in degree_buckets(g).collect()} == {0: 1, 1: 2, 2: 0, 3: 1, 4: 0, 5: 0}
+    assert "edges" not in g.__dict__
+    assert g.m == 2 and g.validate().count() == 0 and {r["vid"]: r["deg"] for r in g.degrees().collect()} == {0: 1, 1: 2, 3: 1}
+
+
+def test_pairs_that_share_values_are_made_in_blocks_and_not_shuffled(spark, monkeypatch):
+    monkeypatch.setattr(graphs, "HOLDERS", 4)
+    held = {k: {f"v{x}" for x in range(5) if (k * (x + 1)) % 7 < 3} | {"all"} | ({"twins"} if k > 27 else set()) for k in range(30)}
+    rows = spark.createDataFrame([(k, x) for k, xs in held.items() for x in xs] + [(None, "v0"), (3, None)], "k long, x string")
+    found = graphs.sharing(rows, "k", "x")
+    assert {(r["u"], r["v"]): r["w"] for r in found.collect()} == {(a, b): len(held[a] & held[b]) for a in held for b in held if a < b}
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("FlatMapGroupsInArrow") < plan.index("Aggregate") and "MapGroups" in plan.splitlines()[0]
