@@ -69,3 +69,18 @@ def test_pairs_that_share_values_are_made_in_blocks_and_not_shuffled(spark, monk
     assert {(r["u"], r["v"]): r["w"] for r in found.collect()} == {(a, b): len(held[a] & held[b]) for a in held for b in held if a < b}
     plan = found._jdf.queryExecution().optimizedPlan().toString()
     assert plan.index("FlatMapGroupsInArrow") < plan.index("Aggregate") and "MapGroups" in plan.splitlines()[0]
+
+
+def test_generators_and_spans_take_given_tables(spark, tmp_path):
+    from graphsplit import queries
+    from tests.compare import database, same
+
+    vectors = [(10 * k, [0.0, 0.0, (37 * k % 101) / 2048.0, (53 * k % 97) / 2048.0, (11 * k % 89) / 2048.0]) for k in range(40)]
+    spark.createDataFrame(vectors, "vec_id long, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    spark.createDataFrame([(7 * k + 3,) for k in range(602)], "o_orderkey long").write.parquet(str(tmp_path / "orders.parquet"))
+    spark.createDataFrame([(u,) for u, n in ((1, 17), (2, 16), (9, 90)) for _ in range(n)], "user_id long").write.parquet(str(tmp_path / "events.parquet"))
+    con = database(str(tmp_path))
+    for name in ("gen_rgg2d", "gen_rgg3d", "gen_rhg", "gen_grid2d", "block_spans"):
+        same(queries.QUERIES[name](spark, str(tmp_path)), queries.SQL[name], con)
+    assert queries.QUERIES["gen_grid2d"](spark, str(tmp_path)).count() == 2 * (299 + 299 + 1 + 300 + 2)
+    assert {r["k"] for r in queries.QUERIES["block_spans"](spark, str(tmp_path)).collect()} == {1, 2, 6}
