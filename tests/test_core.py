@@ -376,3 +376,16 @@ def test_profile_and_means(spark):
     two = spark.createDataFrame([("z", 10), ("z", 1000)], "a string, cut long")
     assert report.geo_mean(two, "cut", ["a"]).first()["geo_cut"] == pytest.approx(100)
     assert report.common_instances(runs).select("graph").distinct().count() == 2
+
+
+@pytest.mark.parametrize("arcs_a_task", [100_000, 100])
+def test_moves_of_the_last_sweep_leave_out_what_the_last_take_back_takes(spark, monkeypatch, arcs_a_task):
+    from graphsplit.operators import fleet
+    from graphsplit.operators.cluster import lp_cluster
+    from graphsplit.sources import generators
+
+    monkeypatch.setattr(fleet, "ARCS_A_TASK", arcs_a_task)
+    g, trace = generators.star(spark, 400), {}
+    w = g.vertices.join(lp_cluster(g, 12, 1, 4, 1, count=1, trace=trace), "vid").groupBy("cluster").agg(F.sum("c").alias("c"))
+    assert trace["reverted"] > 0 and trace["moves"] == [trace["kept"]]
+    assert w.agg(F.max("c")).first()[0] <= 12
