@@ -552,3 +552,19 @@ def test_pipeline_stage_by_stage(spark, sf):
     assert seen[1] < seen[0] and seen[2] < seen[1] and seen[3] == seen[2]
     assert docs.filter(F.col("text").rlike(r"[a-z0-9]@[a-z0-9]+\.")).count() == 0
     check_packed(packing.pack(docs).toPandas(), [(r.doc_id, r.text) for r in docs.collect()])
+
+
+def test_near_copies_that_only_meet_in_families_are_linked(spark):
+    from graphsplit.llm import near_dup as nd
+
+    links = spark.createDataFrame([(5, 2), (5, 9), (7, 8)], "a long, b long")
+    assert {tuple(r) for r in nd.components(links).collect()} == {(2, 2), (5, 2), (9, 2), (7, 7), (8, 7)}
+    # chains: neighbours are near copies, but most of a chain is no near copy of its least document
+    rows = []
+    for c in range(12):
+        words = [f"w{c}x{k}" for k in range(110)]
+        for step in range(25):
+            rows.append((100 * c + step, " ".join(words)))
+            words[4 * step + 2] = f"v{c}y{step}"
+    found = nd.group(spark.createDataFrame(rows, "doc_id long, text string"), 3, 0.85)
+    assert {r["doc_id"]: r["component_id"] for r in found.collect()} == {d: d // 100 * 100 for d, _ in rows}
