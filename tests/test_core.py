@@ -399,3 +399,10 @@ def test_shared_deep_finds_planted_groups_and_its_query_takes_given_tables(spark
     assert p.groupBy("block").agg(F.countDistinct(F.floor(F.col("vid") / 60)).alias("groups"), F.count("*").alias("n")).filter("groups <> 1 or n <> 60").count() == 0
     row = queries.QUERIES["base_shared_deep"](spark, "/root/testdata/sf0.001").first()
     assert (row["n"], row["covered"], row["blocks"]) == (25, 25, 4) and row["feasible"] and row["below_reference"]
+
+
+def test_rounds_of_the_balancer_do_not_grow_with_the_excess(spark):
+    g = frame(spark, 3000, [(a, a + 1) for a in range(2999)])
+    trace = {}
+    p = balance.balance(g, g.vertices.select("vid", F.lit(0).alias("block")), limits_for(g, [1] * 4, 4, 0.03), ell=64, trace=trace)
+    assert trace["rounds"] <= 8 and trace["balance_moves"] >= 2226 and measures.feasibility(g, p, 4, 0.03).first()["feasible"]
