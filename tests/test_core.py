@@ -1,4 +1,6 @@
 import numpy as np
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -406,3 +408,12 @@ def test_rounds_of_the_balancer_do_not_grow_with_the_excess(spark):
     trace = {}
     p = balance.balance(g, g.vertices.select("vid", F.lit(0).alias("block")), limits_for(g, [1] * 4, 4, 0.03), ell=64, trace=trace)
     assert trace["rounds"] <= 8 and trace["balance_moves"] >= 2226 and measures.feasibility(g, p, 4, 0.03).first()["feasible"]
+
+
+def test_large_k_is_solved_on_the_given_vectors(spark, tmp_path):
+    from graphsplit.plans import experiments
+
+    pq.write_table(pa.table({"vec_id": [5, 3, 9, 1], "embedding": [[2.0], None, [1.0], [1.0]]}), tmp_path / "embeddings.parquet")
+    g = experiments.small_graph(spark, "vectors", str(tmp_path))
+    assert (g.n, sorted(tuple(r) for r in g.edges.collect())) == (4, [(0, 1, 1), (1, 0, 1), (1, 2, 1), (2, 1, 1), (2, 3, 1), (3, 2, 1)])
+    assert {(n, k) for _, _, n, k, _ in experiments.SMALL["e5_large_k"]} == {("vectors", 64)} and "FROM embeddings" in experiments.small_sql("e5_large_k")
