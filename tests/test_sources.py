@@ -1,7 +1,9 @@
+from functools import partial
+
 import pytest
 from pyspark.sql import functions as F
 
-from graphsplit.model import RawGraph, densify
+from graphsplit.model import Graph, RawGraph, densify
 from graphsplit.operators.measures import block_weights, edge_cut, feasibility, imbalance
 from graphsplit.operators.order import degree_buckets
 from graphsplit.sources import generators as gen
@@ -84,3 +86,16 @@ def test_generators_and_spans_take_given_tables(spark, tmp_path):
         same(queries.QUERIES[name](spark, str(tmp_path)), queries.SQL[name], con)
     assert queries.QUERIES["gen_grid2d"](spark, str(tmp_path)).count() == 2 * (299 + 299 + 1 + 300 + 2)
     assert {r["k"] for r in queries.QUERIES["block_spans"](spark, str(tmp_path)).collect()} == {1, 2, 6}
+
+
+def test_what_goes_from_block_to_block_is_packed_and_arcs_are_stored_once(spark, monkeypatch):
+    monkeypatch.setattr(graphs, "HOLDERS", 5)
+    held = {3 * k + 1: {f"v{x}" for x in range(4) if (k * (x + 2)) % 5 < 2} | {"all"} for k in range(24)}
+    rows = spark.createDataFrame([(k, x) for k, xs in held.items() for x in xs], "k long, x string")
+    v = spark.createDataFrame([(k, 1) for k in [*held, 200]], "key long, c long")
+    g, names = densify(RawGraph(v, graphs.sharing(rows, "k", "x"), True, partial(graphs.sharing, rows.union(rows), "k", "x")))
+    plan = g.edges._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "Generate" in plan
+    key = {r["vid"]: r["key"] for r in names.collect()}
+    assert {(key[r["src"]], key[r["dst"]]): r["w"] for r in g.edges.collect()} == {(a, b): len(held[a] & held[b]) for a in held for b in held if a != b}
+    assert "body" in graphs.sharing(rows, "k", "x")._jdf.queryExecution().optimizedPlan().toString()
