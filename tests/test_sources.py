@@ -99,3 +99,16 @@ def test_what_goes_from_block_to_block_is_packed_and_arcs_are_stored_once(spark,
     key = {r["vid"]: r["key"] for r in names.collect()}
     assert {(key[r["src"]], key[r["dst"]]): r["w"] for r in g.edges.collect()} == {(a, b): len(held[a] & held[b]) for a in held for b in held if a != b}
     assert "body" in graphs.sharing(rows, "k", "x")._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_problems_of_a_graph_take_one_grouping_of_its_arcs(spark):
+    v = spark.createDataFrame([(k, 1) for k in range(5)], "vid long, c long")
+    ok = [(0, 1, 2), (1, 0, 2), (1, 2, 1), (2, 1, 1)]
+    found = lambda e: sorted((tuple(r) for r in Graph.of(v, spark.createDataFrame(e, "src long, dst long, w long")).validate().collect()), key=str)
+    assert found(ok) == []
+    assert found([*ok, (3, 4, 1), (4, 3, 2)]) == [("no reverse", 3, 4), ("no reverse", 4, 3)]
+    assert found([*ok, (3, 4, 1), (3, 4, 1), (4, 3, 2), (4, 3, 2)]) == [("no reverse", 3, 4)] * 2 + [("no reverse", 4, 3)] * 2 + [("repeated arc", 3, 4), ("repeated arc", 4, 3)]
+    assert found([*ok, (3, 3, 1), (4, 4, 1), (4, 4, 1), (2, 3, 0), (3, 2, 0)]) == [("edge weight", 2, 3), ("edge weight", 3, 2), ("loop", 3, 3), ("loop", 4, 4), ("loop", 4, 4), ("repeated arc", 4, 4)]
+    assert found([*ok, (3, None, 1), (3, 4, None), (4, 3, None)]) == sorted([("no reverse", 3, None), ("no reverse", 3, 4), ("no reverse", 4, 3), ("missing end", None, None), ("edge weight", 3, 4), ("edge weight", 4, 3)], key=str)
+    plan = Graph.of(v, spark.createDataFrame(ok, "src long, dst long, w long")).validate()._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join LeftAnti") == 1  # of the ends and the vertices; before, arcs were also joined with their reverse
