@@ -112,3 +112,19 @@ def test_problems_of_a_graph_take_one_grouping_of_its_arcs(spark):
     assert found([*ok, (3, None, 1), (3, 4, None), (4, 3, None)]) == sorted([("no reverse", 3, None), ("no reverse", 3, 4), ("no reverse", 4, 3), ("missing end", None, None), ("edge weight", 3, 4), ("edge weight", 4, 3)], key=str)
     plan = Graph.of(v, spark.createDataFrame(ok, "src long, dst long, w long")).validate()._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Join LeftAnti") == 1  # of the ends and the vertices; before, arcs were also joined with their reverse
+
+
+def test_arcs_of_copies_and_coarse_graphs_are_stored_compressed(spark):
+    import os
+
+    from graphsplit.model import checkpoint_folder
+    from graphsplit.operators.contract import contract
+    from graphsplit.operators.initial import replicate
+
+    folder = checkpoint_folder(spark).removeprefix("file:")
+    tables = lambda: {x for x in os.listdir(folder) if x.startswith("table-")}
+    g, before = gen.grid2d(spark, 6, 6), tables()
+    many = replicate(g, 2)
+    between = tables()
+    coarse, _ = contract(g, g.vertices.select("vid", (F.col("vid") - F.col("vid") % 2).alias("cluster")))
+    assert between > before and tables() > between and (many.m, coarse.m) == (2 * g.m, 2 * 6 + 3 * 5)
