@@ -417,3 +417,24 @@ def test_large_k_is_solved_on_the_given_vectors(spark, tmp_path):
     g = experiments.small_graph(spark, "vectors", str(tmp_path))
     assert (g.n, sorted(tuple(r) for r in g.edges.collect())) == (4, [(0, 1, 1), (1, 0, 1), (1, 2, 1), (2, 1, 1), (2, 3, 1), (3, 2, 1)])
     assert {(n, k) for _, _, n, k, _ in experiments.SMALL["e5_large_k"]} == {("vectors", 64)} and "FROM embeddings" in experiments.small_sql("e5_large_k")
+
+
+def test_light_blocks_are_split_in_proportion():
+    """A path below both limits: cutting nothing, all of it on one side, was the best bisection."""
+    n = 100
+    path = np.arange(n - 1)
+    g = kernels.Csr.of(np.ones(n, np.int64), np.concatenate([path, path + 1]), np.concatenate([path + 1, path]), np.ones(2 * n - 2, np.int64))
+    for seed in range(5):
+        sizes = np.bincount(kernels.split(g, [1, 1], [110.0, 110.0], seed), minlength=2)
+        assert sizes.max() <= 51
+        assert np.bincount(kernels.split(g, [1] * 4, [110.0] * 4, seed), minlength=4).min() >= 23
+
+
+def test_empty_blocks_are_filled(spark):
+    from graphsplit.operators.initial import fill_empty
+
+    g = frame(spark, 12, [(v, v + 1) for v in range(11)])
+    p = spark.createDataFrame([(v, 0 if v < 2 else 3) for v in range(12)], "vid long, block int")
+    found = fill_empty(g, p, 4, 0.03, 1)
+    assert found.count() == found.select("vid").distinct().count() == 12
+    assert {r.block: r["count"] for r in found.groupBy("block").count().collect()} == {0: 1, 1: 5, 2: 1, 3: 5}
