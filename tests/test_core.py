@@ -438,3 +438,24 @@ def test_empty_blocks_are_filled(spark):
     found = fill_empty(g, p, 4, 0.03, 1)
     assert found.count() == found.select("vid").distinct().count() == 12
     assert {r.block: r["count"] for r in found.groupBy("block").count().collect()} == {0: 1, 1: 5, 2: 1, 3: 5}
+
+
+def test_messages_take_few_bytes_and_few_arcs_one_task():
+    from graphsplit.operators import fleet
+
+    arrays = [[], [0, 127], [-128, 5, 128], [1 << 31, -1], list(range(1000))]
+    body = fleet.pack(*arrays)
+    found = fleet.unpack(body)
+    assert [x.tolist() for x in found] == arrays and all(x.dtype == np.int64 and x.flags.writeable for x in found)
+    assert len(body) < 2400  # 8 bytes for each number took 8,144
+    assert [fleet.tasks_for(16, x) for x in (0, 799_999, 800_000, 10_000_000)] == [1, 1, 8, 16]
+
+
+def test_weights_that_a_pe_learns():
+    from graphsplit.operators import fleet
+
+    none = np.zeros(0, np.int64)
+    pe = fleet.Pe(0, [none] * 6 + [np.array([2, 5]), np.array([20, 50])] + [none] * 7)
+    pe.learn(np.array([5, 9, 1, 9]), np.array([51, 90, 10, 91]))
+    assert dict(zip(pe.known.tolist(), pe.weight.tolist(), strict=True)) == {1: 10, 2: 20, 5: 51, 9: 91}
+    assert pe.weight_of(np.array([9, 3, 1, 100])).tolist() == [91, 0, 10, 0]
