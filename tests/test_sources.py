@@ -128,3 +128,15 @@ def test_arcs_of_copies_and_coarse_graphs_are_stored_compressed(spark):
     between = tables()
     coarse, _ = contract(g, g.vertices.select("vid", (F.col("vid") - F.col("vid") % 2).alias("cluster")))
     assert between > before and tables() > between and (many.m, coarse.m) == (2 * g.m, 2 * 6 + 3 * 5)
+
+
+def test_edges_that_give_the_vertices_are_made_once(spark, monkeypatch):
+    from graphsplit.sources import graphs
+
+    kept, store = [], graphs.stored
+    monkeypatch.setattr(graphs, "_loaded", {})
+    monkeypatch.setattr(graphs, "stored", lambda df: kept.append(store(df)) or kept[-1])
+    g = graphs.load_graph(spark, "/root/testdata/sf0.001", "word")
+    raw = graphs.BUILDERS["word"](spark, "/root/testdata/sf0.001")
+    assert len(kept) == 1 and g.arcs == 2 * kept[0].count() == 2 * raw.edges.count()
+    assert g.n == raw.vertices.count()
