@@ -526,6 +526,28 @@ def test_near_duplicate_edges(spark, hard, none, labels):
     assert left.columns == hard.columns and left.filter("doc_id = 3").count() == 1 and left.filter("doc_id = 4").count() == 0
 
 
+def test_tables_that_are_copied_to_salts_are_never_broadcast(spark, monkeypatch):
+    from graphsplit.llm import common
+
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    plans, own = [], near_dup.cut
+
+    def spy(df):
+        out = own(df)
+        plans.append(plan(df))
+        return out
+
+    monkeypatch.setattr(near_dup, "cut", spy)
+    links = spark.range(3000).selectExpr("10 * div(id, 2) + id % 2 + 1 as a", "10 * div(id, 2) as b")
+    found = {r.node: r.component for r in near_dup.components(links).collect()}
+    assert found == {k: k // 10 * 10 for k in range(15000) if k % 10 < 3}
+    assert len(plans) > 1 and all("isFinalPlan=true" in p and "BroadcastExchange" not in p for p in plans)
+    big, small = spark.range(500).selectExpr("if(id % 5 = 0, null, id % 7) as k", "id"), spark.range(70).groupBy(F.expr("if(id % 7 = 3, null, id % 7)").alias("k")).agg(F.count("*").alias("n"))
+    out = common.join_small(big, small, ["k"], common.BROADCAST_ROWS + 1, "left")
+    assert {(r.k, r.id, r.n) for r in out.collect()} == {(k, i, None if k == 3 else 10) for i in range(500) for k in [None if i % 5 == 0 else i % 7]}
+    assert "BroadcastExchange" not in plan(out)
+
+
 # pipeline
 
 
