@@ -459,3 +459,27 @@ def test_weights_that_a_pe_learns():
     pe.learn(np.array([5, 9, 1, 9]), np.array([51, 90, 10, 91]))
     assert dict(zip(pe.known.tolist(), pe.weight.tolist(), strict=True)) == {1: 10, 2: 20, 5: 51, 9: 91}
     assert pe.weight_of(np.array([9, 3, 1, 100])).tolist() == [91, 0, 10, 0]
+
+
+def test_connections_on_arrays_equal_a_plain_loop():
+    from graphsplit.operators import fleet
+
+    rng = np.random.default_rng(3)
+    for count in (5, 40, 100_000):
+        labels, w = rng.integers(0, count, 300), rng.integers(1, 4, 300)
+        plain = {}
+        for t, x in zip(labels.tolist(), w.tolist(), strict=True):
+            plain[t] = plain.get(t, 0) + x
+        for own in (int(labels[0]), count - 1):
+            here = plain.get(own, 0)
+            found, others = fleet.connected(labels, w, own, count)
+            assert found == here
+            assert list(others.items()) == [(t, s) for t, s in plain.items() if t != own and s >= here]
+
+
+def test_no_more_tasks_than_run_at_once(spark, monkeypatch):
+    from graphsplit.operators import fleet
+
+    monkeypatch.setattr(fleet, "ARCS_A_TASK", 1)
+    g = frame(spark, 64, [(a, a + 1) for a in range(63)])
+    assert fleet.lay_out(g, 16, 1, 2).tasks == max(2, spark.sparkContext.defaultParallelism) < 16
