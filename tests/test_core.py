@@ -483,3 +483,49 @@ def test_no_more_tasks_than_run_at_once(spark, monkeypatch):
     monkeypatch.setattr(fleet, "ARCS_A_TASK", 1)
     g = frame(spark, 64, [(a, a + 1) for a in range(63)])
     assert fleet.lay_out(g, 16, 1, 2).tasks == max(2, spark.sparkContext.defaultParallelism) < 16
+
+
+def test_tables_that_nothing_reads_any_more_are_deleted(spark):
+    import os
+
+    from graphsplit import model
+    from graphsplit.operators import fleet
+    from graphsplit.operators.contract import contract
+
+    def files():
+        return {os.path.join(at, f) for at, _, fs in os.walk(model.checkpoint_folder(spark).removeprefix("file:")) for f in fs if f.startswith("part-")}
+
+    g = frame(spark, 64, [(a, a + 1) for a in range(63)])
+    f = fleet.lay_out(g, 4, 1, 2)
+    before = files()
+    labels = fleet.propagate(g, 4, [8.0], 2, 1, fleet=f)
+    # of labels, states of PEs before and after each sweep, and totals, only the labels stay
+    assert {os.path.dirname(x) for x in files() - before} == {labels._written_at.removeprefix("file:")}
+    coarse, mapping = contract(g, labels.withColumnRenamed("label", "cluster"), 4)
+    assert coarse.edges.count() > 0 and mapping.count() == 64
+    model.discard(labels)
+    assert before - files() == set() and not any(x.startswith(labels._written_at.removeprefix("file:")) for x in files())
+
+
+def test_arcs_are_packed_before_they_are_shuffled(spark, monkeypatch):
+    """Many pieces of a batch give the same packed arcs as one, and ghosts follow from them."""
+    from graphsplit.operators import fleet
+
+    n = 90
+    edges = sorted({(min(a, b), max(a, b)) for a in range(n) for b in ((a + 1) % n, (a * a + 7) % n, (5 * a + 3) % n) if a != b})
+    g = frame(spark, n, edges)
+    g = Graph(g.vertices, g.edges.repartition(5), g.n, g.arcs, g.total, g.heaviest)
+    found = []
+    for piece in (1, 1_000_000):
+        monkeypatch.setattr(fleet, "PIECE", piece)
+        f = fleet.lay_out(g, 4, 1, 3)
+        found.append((sorted((r.to, r.batch, bytes(r.body)) for r in f.adjacency.collect()), sorted(map(tuple, f.ghosts.collect()))))
+    assert found[0] == found[1]
+    arcs, pe = set(), [int(np.searchsorted(f.starts, v, side="right")) - 1 for v in range(n)]
+    for to, _, body in found[0][0]:
+        vids, ends, heads, w = fleet.unpack(body)
+        arcs |= set(zip(np.repeat(vids, np.diff(ends, prepend=0)).tolist(), heads.tolist(), strict=True))
+        assert {pe[v] for v in vids.tolist()} == {to} and set(w.tolist()) == {1}
+        assert (np.diff(np.floor(np.log2(np.diff(ends, prepend=0)))) >= 0).all()
+    assert arcs == {x for a, b in edges for x in ((a, b), (b, a))}
+    assert found[0][1] == sorted({(pe[a], b, pe[b]) for a, b in arcs if pe[a] != pe[b]})
